@@ -5,6 +5,8 @@ from __future__ import annotations
 import importlib
 
 MODULES = {
+    "op4_term_at_a_time_topk": "topk",
+    "op7_bin_completion_packing": "packing",
     "op2_wu_manber_decontamination": "decontaminate",
     "op5_ngram_jaccard_join": "jaccard",
 }
