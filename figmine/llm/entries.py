@@ -5,6 +5,8 @@ from __future__ import annotations
 import importlib
 
 MODULES = {
+    "op6_noisy_channel_toxicity": "toxicity",
+    "op10_word_backoff_language": "language",
     "op4_term_at_a_time_topk": "topk",
     "op7_bin_completion_packing": "packing",
     "op2_wu_manber_decontamination": "decontaminate",

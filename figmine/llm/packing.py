@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import bounded_batches, stored
 
 CAPACITY = 2048
 GROUP_PIECES = 16384
@@ -261,4 +261,5 @@ def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, capacity:
 
 
 def op7_bin_completion_packing(spark, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     return pack_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"))
