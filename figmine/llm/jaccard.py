@@ -23,12 +23,12 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.graph import components
 from . import textvec as V
-from .common import stored
+from .common import bounded_batches, stored
 
 SKETCH = 1 << 20
 BINS = 128
@@ -88,12 +88,12 @@ def _sketch(sets: DataFrame) -> np.ndarray:
             piece = total[k * width : (k + 1) * width]
             at = np.flatnonzero(piece)
             if len(at):
-                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([at.astype(np.uint16).tobytes()]), pa.array([piece[at].astype(np.uint32).tobytes()])], names=["piece", "at", "counts"])
+                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([at.astype(np.uint16).tobytes()]), pa.array([piece[at].astype(np.uint8 if piece.max() < 256 else np.uint32).tobytes()])], names=["piece", "at", "counts"])
 
     def add(key, table):
         total = np.zeros(width, np.int64)
         for at, counts in zip(table.column("at").to_pylist(), table.column("counts").to_pylist()):
-            total[np.frombuffer(at, np.uint16)] += np.frombuffer(counts, np.uint32)
+            total[np.frombuffer(at, np.uint16)] += np.frombuffer(counts, np.uint8 if 2 * len(counts) == len(at) else np.uint32)
         return pa.table({"piece": pa.array([key[0].as_py()], pa.int32()), "total": pa.array([total.tobytes()])})
 
     rows = (
@@ -105,47 +105,56 @@ def _sketch(sets: DataFrame) -> np.ndarray:
     return np.minimum(total, np.iinfo(np.uint32).max).astype(np.uint32)
 
 
-def _prefixes(sets: DataFrame, sketch: np.ndarray, percent: int) -> DataFrame:
-    shared = sets.sparkSession.sparkContext.broadcast(sketch)
+def _prefix(grams: np.ndarray, counts: np.ndarray, percent: int) -> np.ndarray:
+    """The rare-first prefix: all n-grams that a class shows to others."""
+    n = len(grams)
+    p = n - -(-percent * n // 100) + 1
+    often = counts[grams % SKETCH]
+    keep = np.arange(n)
+    if p < n:
+        keep = np.flatnonzero(often <= np.partition(often, p - 1)[p - 1])
+    return grams[keep[np.lexsort((grams[keep], often[keep]))][:p]]
+
+
+def _prefixes(sets: DataFrame, sketch, percent: int) -> DataFrame:
+    """(token, fp, place, size): one small row per prefix n-gram."""
 
     def run(batches):
-        counts = shared.value
+        counts = sketch.value
         seen: set[bytes] = set()
         for batch in batches:
-            grams_of, fps, tokens, places, sizes, prefixes, spreads = [], [], [], [], [], [], []
+            fps, sizes, tokens, places = [], [], [], []
             for fp, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                grams = np.frombuffer(raw, np.uint64)
-                if not len(grams) or fp in seen:
+                if not raw or fp in seen:
                     continue
                 seen.add(fp)
-                n = len(grams)
-                p = n - -(-percent * n // 100) + 1
-                often = counts[grams % SKETCH]
-                if p < n:
-                    rare = np.partition(often, p - 1)[p - 1]
-                    keep = np.flatnonzero(often <= rare)
-                else:
-                    keep = np.arange(n)
-                keep = keep[np.lexsort((grams[keep], often[keep]))][:p]
-                place = np.flatnonzero(often[keep] > 1)
-                if not len(place):
-                    continue
-                shown = grams[keep[place]]
-                spread = np.bincount((grams >> np.uint64(40)).astype(np.int64) % BINS, minlength=BINS).astype(np.uint16 if n < 65536 else np.uint32).tobytes()
-                own = shown.tobytes()
-                for t, k in zip(shown.view(np.int64).tolist(), place.tolist()):
-                    fps.append(fp)
-                    tokens.append(t)
-                    places.append(k)
-                    sizes.append(n)
-                    prefixes.append(own)
-                    spreads.append(spread)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(tokens, pa.int64()), pa.array(fps, pa.binary()), pa.array(places, pa.int32()), pa.array(sizes, pa.int64()), pa.array(prefixes, pa.binary()), pa.array(spreads, pa.binary())],
-                names=["token", "fp", "place", "size", "prefix", "spread"],
-            )
-
-    return sets.select("fp", "grams").mapInArrow(run, "token bigint, fp binary, place int, size bigint, prefix binary, spread binary")
+                grams = np.frombuffer(raw, np.uint64)
+                prefix = _prefix(grams, counts, percent)
+                place = np.flatnonzero(counts[prefix % SKETCH] > 1)
+                fps += [fp] * len(place)
+                sizes.append(np.full(len(place), len(grams), np.int64))
+                tokens.append(prefix[place].view(np.int64))
+                places.append(place.astype(np.int32))
+            if fps:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(tokens)), pa.array(fps, pa.binary()), pa.array(np.concatenate(places)), pa.array(np.concatenate(sizes))], names=["token", "fp", "place", "size"])
+
+    return sets.select("fp", "grams").mapInArrow(run, "token bigint, fp binary, place int, size bigint")
+
+
+def _traits(sets: DataFrame, sketch, percent: int) -> DataFrame:
+    """(fp, prefix, spread): what the filters compare, for classes that may have a partner."""
+
+    def run(batches):
+        counts = sketch.value
+        for batch in batches:
+            prefixes, spreads = [], []
+            for raw in batch.column(1).to_pylist():
+                grams = np.frombuffer(raw, np.uint64)
+                prefixes.append(_prefix(grams, counts, percent).tobytes())
+                spreads.append(np.bincount((grams >> np.uint64(40)).astype(np.int64) % BINS, minlength=BINS).astype(np.uint16 if len(grams) < 65536 else np.uint32).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prefixes, pa.binary()), pa.array(spreads, pa.binary())], names=["fp", "prefix", "spread"])
+
+    return sets.select("fp", "grams").mapInArrow(run, "fp binary, prefix binary, spread binary")
 
 
 def _pairs_of_list(percent: int):
@@ -202,16 +211,18 @@ def _pairs_of_list(percent: int):
     return run
 
 
-def candidate_pairs(prefixes: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
+def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
     """(a, b) fingerprints of classes that share a prefix n-gram and pass every filter; each pair once."""
-    rows = stored(prefixes.repartition("token").dropDuplicates(["token", "fp"]), "op5-prefixes")
-    length = rows.groupBy("token").agg(F.count("*").alias("length")).where("length > 1")
-    dealt = rows.join(length, "token").withColumn("tiles", F.ceil(F.col("length") / tile).cast("int"))
-    own = F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")
+    sketch = sets.sparkSession.sparkContext.broadcast(_sketch(sets))
+    rows = _prefixes(sets, sketch, percent).repartition("token").dropDuplicates(["token", "fp"])
+    rows = stored(rows.withColumn("length", F.count("*").over(Window.partitionBy("token"))).where("length > 1"), "op5-prefixes")
+    met = rows.select("fp").distinct()
+    traits = _traits(sets.where("n_shingles > 0").select("fp", "grams").join(met, "fp", "left_semi").dropDuplicates(["fp"]), sketch, percent)
+    dealt = rows.withColumn("tiles", F.ceil(F.col("length") / tile).cast("int"))
     # each row goes to the tile pairs (i, j), i <= j, that contain its own tile
-    dealt = dealt.withColumn("tile", own).withColumn("with", F.explode(F.expr("sequence(0, tiles - 1)")))
-    dealt = dealt.select("token", F.least("tile", "with").alias("tile_a"), F.greatest("tile", "with").alias("tile_b"), "tile", "fp", "place", "size", "prefix", "spread")
-    return dealt.groupBy("token", "tile_a", "tile_b").applyInArrow(_pairs_of_list(percent), "a binary, b binary")
+    dealt = dealt.withColumn("tile", F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")).withColumn("with", F.explode(F.expr("sequence(0, tiles - 1)")))
+    dealt = dealt.select("token", F.least("tile", "with").alias("tile_a"), F.greatest("tile", "with").alias("tile_b"), "tile", "fp", "place", "size")
+    return dealt.join(traits, "fp").groupBy("token", "tile_a", "tile_b").applyInArrow(_pairs_of_list(percent), "a binary, b binary")
 
 
 def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -239,9 +250,9 @@ def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def jaccard_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id and n_links (documents it links with, copies included)."""
+    bounded_batches(docs.sparkSession)
     sets = stored(shingle_sets(docs, doc_id, text, n), "op5-sets")
-    prefixes = _prefixes(sets, _sketch(sets), percent)
-    links = stored(verify(stored(candidate_pairs(prefixes, percent), "op5-pairs"), sets, percent), "op5-links")
+    links = stored(verify(stored(candidate_pairs(sets, percent), "op5-pairs"), sets, percent), "op5-links")
     classes = sets.where("n_shingles > 0").groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("copies"))
     # a class is named by its fingerprint while labels travel, then every component takes its smallest document
     found = components(links, "a", "b")
