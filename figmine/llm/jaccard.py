@@ -71,19 +71,20 @@ def shingle_sets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
     return docs.select(F.col(doc_id).alias("doc_id"), text).mapInArrow(run, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, fp binary, n_shingles bigint, grams binary")
 
 
-def _sketch(sets: DataFrame) -> np.ndarray:
-    """Counter totals over all classes. Fixed size, so what reaches the driver does not grow with the input."""
+def _counters(rows: DataFrame, hashes_of, size: int = SKETCH) -> np.ndarray:
+    """Totals of ``size`` counters over all rows. Fixed size, so what reaches the driver does not grow with the input.
+
+    ``hashes_of(batch)`` yields arrays of unsigned hashes; each adds one to the counter it falls on.
+    """
     pieces = 64
-    width = SKETCH // pieces
+    width = size // pieces
 
     def count(batches):
-        total = np.zeros(SKETCH, np.int64)
+        total = np.zeros(size, np.int64)
         seen: set[bytes] = set()
         for batch in batches:
-            for fp, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                if fp not in seen:
-                    seen.add(fp)
-                    np.add.at(total, np.frombuffer(raw, np.uint64) % SKETCH, 1)
+            for h in hashes_of(batch, seen):
+                np.add.at(total, h % size, 1)
         for k in range(pieces):
             piece = total[k * width : (k + 1) * width]
             at = np.flatnonzero(piece)
@@ -94,15 +95,44 @@ def _sketch(sets: DataFrame) -> np.ndarray:
         total = np.zeros(width, np.int64)
         for at, counts in zip(table.column("at").to_pylist(), table.column("counts").to_pylist()):
             total[np.frombuffer(at, np.uint16)] += np.frombuffer(counts, np.uint8 if 2 * len(counts) == len(at) else np.uint32)
-        return pa.table({"piece": pa.array([key[0].as_py()], pa.int32()), "total": pa.array([total.tobytes()])})
+        return pa.table({"piece": pa.array([key[0].as_py()], pa.int32()), "total": pa.array([np.minimum(total, 2**32 - 1).astype(np.uint32).tobytes()])})
 
-    rows = (
-        sets.select("fp", "grams").mapInArrow(count, "piece int, at binary, counts binary").groupBy("piece").applyInArrow(add, "piece int, total binary").collect()
-    )
-    total = np.zeros(SKETCH, np.int64)
-    for row in rows:
-        total[row["piece"] * width : (row["piece"] + 1) * width] = np.frombuffer(row["total"], np.int64)
-    return np.minimum(total, np.iinfo(np.uint32).max).astype(np.uint32)
+    total = np.zeros(size, np.uint32)
+    for row in rows.mapInArrow(count, "piece int, at binary, counts binary").groupBy("piece").applyInArrow(add, "piece int, total binary").collect():
+        total[row["piece"] * width : (row["piece"] + 1) * width] = np.frombuffer(row["total"], np.uint32)
+    return total
+
+
+def _grams_once(batch, seen):
+    for fp, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+        if fp not in seen:
+            seen.add(fp)
+            yield np.frombuffer(raw, np.uint64)
+
+
+def _fingerprints(batch, seen):
+    yield np.array([int.from_bytes(fp[:8], "little") for fp in batch.column(0).to_pylist()], np.uint64)
+
+
+def _present(sets: DataFrame, wanted: DataFrame) -> DataFrame:
+    """One row (fp, grams) per wanted class. A bitmap of fixed size keeps most other sets from being shuffled at all."""
+    marks = sets.sparkSession.sparkContext.broadcast(np.packbits(_counters(wanted.select("fp"), _fingerprints) > 0))
+
+    def run(batches):
+        bits = marks.value
+        seen: set[bytes] = set()
+        for batch in batches:
+            fps = batch.column(0).to_pylist()
+            h = np.array([int.from_bytes(fp[:8], "little") for fp in fps], np.uint64) % SKETCH
+            keep = (bits[h >> np.uint64(3)] >> (7 - (h & np.uint64(7))).astype(np.uint8)) & 1 > 0
+            for k in np.flatnonzero(keep):
+                if fps[k] in seen:
+                    keep[k] = False
+                seen.add(fps[k])
+            mask = pa.array(keep)
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], names=["fp", "grams"])
+
+    return sets.where("n_shingles > 0").select("fp", "grams").mapInArrow(run, "fp binary, grams binary")
 
 
 def _prefix(grams: np.ndarray, counts: np.ndarray, percent: int) -> np.ndarray:
@@ -141,20 +171,18 @@ def _prefixes(sets: DataFrame, sketch, percent: int) -> DataFrame:
     return sets.select("fp", "grams").mapInArrow(run, "token bigint, fp binary, place int, size bigint")
 
 
-def _traits(sets: DataFrame, sketch, percent: int) -> DataFrame:
-    """(fp, prefix, spread): what the filters compare, for classes that may have a partner."""
+def _spread(sets: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(fp, spread): how a class's n-grams fall into ``BINS`` bins."""
 
     def run(batches):
-        counts = sketch.value
         for batch in batches:
-            prefixes, spreads = [], []
+            spreads = []
             for raw in batch.column(1).to_pylist():
-                grams = np.frombuffer(raw, np.uint64)
-                prefixes.append(_prefix(grams, counts, percent).tobytes())
-                spreads.append(np.bincount((grams >> np.uint64(40)).astype(np.int64) % BINS, minlength=BINS).astype(np.uint16 if len(grams) < 65536 else np.uint32).tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prefixes, pa.binary()), pa.array(spreads, pa.binary())], names=["fp", "prefix", "spread"])
+                bins = np.bincount((np.frombuffer(raw, np.uint64) >> np.uint64(40)).astype(np.int64) % BINS, minlength=BINS)
+                spreads.append(bins.astype(np.uint8 if bins.max() < 256 else np.uint32).tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(spreads, pa.binary())], names=["fp", "spread"])
 
-    return sets.select("fp", "grams").mapInArrow(run, "fp binary, prefix binary, spread binary")
+    return _present(sets, wanted).mapInArrow(run, "fp binary, spread binary").dropDuplicates(["fp"])
 
 
 def _pairs_of_list(percent: int):
@@ -162,18 +190,17 @@ def _pairs_of_list(percent: int):
 
     def run(key, table):
         tile_a, tile_b = key[1].as_py(), key[2].as_py()
-        token = np.int64(key[0].as_py()).astype(np.uint64) if key[0].as_py() >= 0 else np.uint64(key[0].as_py() + (1 << 64))
+        token = key[0].as_py()
         fps = table.column("fp").to_pylist()
         size = table.column("size").to_numpy().astype(np.int64)
         place = table.column("place").to_numpy().astype(np.int64)
         tile = table.column("tile").to_numpy()
-        raw = table.column("prefix").to_pylist()
-        spread = np.stack([np.frombuffer(s, np.uint16 if z < 65536 else np.uint32).astype(np.int32) for s, z in zip(table.column("spread").to_pylist(), size)])
+        spread = np.stack([np.frombuffer(s, np.uint8 if len(s) == BINS else np.uint32).astype(np.int32) for s in table.column("spread").to_pylist()])
         before = []
-        for r in raw:
-            p = np.frombuffer(r, np.uint64)
+        for r in table.column("prefix").to_pylist():
+            p = np.array(r, np.int64)
             before.append(p[: int(np.flatnonzero(p == token)[0])])
-        flat = np.concatenate(before) if before else np.zeros(0, np.uint64)
+        flat = np.concatenate(before) if before else np.zeros(0, np.int64)
         names, inverse, often = np.unique(flat, return_inverse=True, return_counts=True)
         owner = np.repeat(np.arange(len(before)), [len(b) for b in before])
         column = np.cumsum(often > 1) - 1
@@ -213,11 +240,13 @@ def _pairs_of_list(percent: int):
 
 def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
     """(a, b) fingerprints of classes that share a prefix n-gram and pass every filter; each pair once."""
-    sketch = sets.sparkSession.sparkContext.broadcast(_sketch(sets))
-    rows = _prefixes(sets, sketch, percent).repartition("token").dropDuplicates(["token", "fp"])
+    filled = sets.where("n_shingles > 0")
+    sketch = sets.sparkSession.sparkContext.broadcast(_counters(filled.select("fp", "grams"), _grams_once))
+    rows = _prefixes(filled, sketch, percent).repartition("token").dropDuplicates(["token", "fp"])
     rows = stored(rows.withColumn("length", F.count("*").over(Window.partitionBy("token"))).where("length > 1"), "op5-prefixes")
-    met = rows.select("fp").distinct()
-    traits = _traits(sets.where("n_shingles > 0").select("fp", "grams").join(met, "fp", "left_semi").dropDuplicates(["fp"]), sketch, percent)
+    # the part of a class's prefix that others show too, in its order; at most as long as the prefix
+    shown = rows.groupBy("fp").agg(F.array_sort(F.collect_list(F.struct("place", "token"))).alias("s")).select("fp", F.transform("s", lambda x: x["token"]).alias("prefix"))
+    traits = shown.join(_spread(sets, rows), "fp")
     dealt = rows.withColumn("tiles", F.ceil(F.col("length") / tile).cast("int"))
     # each row goes to the tile pairs (i, j), i <= j, that contain its own tile
     dealt = dealt.withColumn("tile", F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")).withColumn("with", F.explode(F.expr("sequence(0, tiles - 1)")))
@@ -225,27 +254,34 @@ def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFram
     return dealt.join(traits, "fp").groupBy("token", "tile_a", "tile_b").applyInArrow(_pairs_of_list(percent), "a binary, b binary")
 
 
-def verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs that link, checked against whole sets."""
-    needed = pairs.select(F.explode(F.array("a", "b")).alias("fp")).distinct()
-    # sets of classes that are in no pair stay where they are
-    by_fp = sets.where("n_shingles > 0").select("fp", "grams").join(needed, "fp", "left_semi").dropDuplicates(["fp"])
-    both = pairs.join(by_fp.select(F.col("fp").alias("a"), F.col("grams").alias("x")), "a").join(by_fp.select(F.col("fp").alias("b"), F.col("grams").alias("y")), "b")
-
-    def run(batches):
-        for batch in batches:
-            a, b, x, y = (batch.column(k).to_pylist() for k in range(4))
-            keep = []
-            for p, q in zip(x, y):
-                p, q = np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64)
-                both = np.concatenate([p, q])
-                both.sort()
-                inter = int((both[1:] == both[:-1]).sum())
-                keep.append(100 * inter >= percent * (len(p) + len(q) - inter))
-            mask = pa.array(keep, pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], names=["a", "b"])
-
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a binary, b binary")
+def verify(pairs: DataFrame, sets: DataFrame, percent: int, tile: int = 256) -> DataFrame:
+    """The pairs that link, checked against whole sets.
+
+    Pairs are checked family by family (a component of the candidate graph), large families tile by tile: a set
+    travels once per tile pair it is needed in and not once per pair.
+    """
+    family = components(pairs, "a", "b").withColumnRenamed("component", "family")
+    size = family.groupBy("family").agg(F.count("*").alias("members"))
+    family = family.join(size, "family").withColumn("tile", F.pmod(F.xxhash64("node"), F.ceil(F.col("members") / tile)).cast("int"))
+    placed = pairs.join(family.select(F.col("node").alias("a"), "family", F.col("tile").alias("ta")), "a").join(family.select(F.col("node").alias("b"), F.col("tile").alias("tb")), "b")
+    placed = stored(placed.select("family", F.least("ta", "tb").alias("tile_a"), F.greatest("ta", "tb").alias("tile_b"), "a", "b"), "op5-placed")
+    needed = placed.select("family", "tile_a", "tile_b", F.explode(F.array("a", "b")).alias("fp")).distinct()
+    held = needed.join(_present(sets, needed).dropDuplicates(["fp"]), "fp")
+
+    def run(key, left, right):
+        grams = {fp: np.frombuffer(raw, np.uint64) for fp, raw in zip(right.column("fp").to_pylist(), right.column("grams").to_pylist())}
+        out = ([], [])
+        for a, b in zip(left.column("a").to_pylist(), left.column("b").to_pylist()):
+            both = np.concatenate([grams[a], grams[b]])
+            both.sort()
+            inter = int((both[1:] == both[:-1]).sum())
+            if 100 * inter >= percent * (len(both) - inter):
+                out[0].append(a)
+                out[1].append(b)
+        return pa.table([pa.array(x, pa.binary()) for x in out], names=["a", "b"])
+
+    held = held.select(F.col("family").alias("f"), F.col("tile_a").alias("i"), F.col("tile_b").alias("j"), "fp", "grams")
+    return placed.groupBy("family", "tile_a", "tile_b").cogroup(held.groupBy("f", "i", "j")).applyInArrow(run, "a binary, b binary")
 
 
 def jaccard_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
