@@ -5,6 +5,7 @@ from __future__ import annotations
 import importlib
 
 MODULES = {
+    "op1_random_forest_secrets": "secrets",
     "op9_signature_rule_licenses": "licenses",
     "op6_noisy_channel_toxicity": "toxicity",
     "op10_word_backoff_language": "language",
