@@ -5,6 +5,7 @@ from __future__ import annotations
 import importlib
 
 MODULES = {
+    "op3_merkle_fixity_audit": "fixity",
     "op8_log_frequency_bloom_lm": "lmscore",
     "op1_random_forest_secrets": "secrets",
     "op9_signature_rule_licenses": "licenses",
