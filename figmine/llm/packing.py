@@ -32,7 +32,9 @@ CACHED_WORDS = 400_000
 # characters for which the fast splitter below and the tokenizer's own agree: ASCII text and Latin letters
 _UNSAFE = re.compile(r"[^\t\n\r -~À-ÖØ-öø-ɏ]")
 _SPLIT = re.compile(r"'(?:s|t|re|ve|m|ll|d)| ?[A-Za-zÀ-ÖØ-öø-ɏ]+| ?[0-9]+| ?[^\sA-Za-zÀ-ÖØ-öø-ɏ0-9]+|\s+(?!\S)|\s+")
+# ids of words seen lately and, once that is full, of those seen before: bounded, and words in use stay
 _cache: dict[str, bytes] = {}
+_older: dict[str, bytes] = {}
 _loaded: dict = {}
 
 
@@ -45,16 +47,18 @@ def _tokenizer(path: str):
 
         _loaded.clear()
         _cache.clear()
+        _older.clear()
         _loaded[path] = Tokenizer.from_file(path)
     return _loaded[path]
 
 
 def token_bytes(texts: list[str | None], path: str) -> list[bytes]:
     """Ids of each text as little-endian 32-bit numbers. Words seen before come from a bounded cache."""
+    global _cache, _older
     tokenizer = _tokenizer(path)
     whole, split, fresh = {}, {}, {}
     if len(_cache) > CACHED_WORDS:
-        _cache.clear()
+        _cache, _older = {}, _cache
     for k, text in enumerate(texts):
         if not text:
             continue
@@ -64,7 +68,10 @@ def token_bytes(texts: list[str | None], path: str) -> list[bytes]:
             split[k] = words = _SPLIT.findall(text)
             for w in words:
                 if w not in _cache:
-                    fresh[w] = None
+                    if w in _older:
+                        _cache[w] = _older[w]
+                    else:
+                        fresh[w] = None
     if fresh:
         for w, e in zip(fresh, tokenizer.encode_batch(list(fresh), add_special_tokens=False)):
             _cache[w] = np.array(e.ids, "<u4").tobytes()
