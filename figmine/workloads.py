@@ -2,17 +2,15 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from .plans import chain_queries
+from .plans.analysis import flagship as FLAGSHIP  # noqa: N812
 
-
-def FLAGSHIP(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id")
+MODULES = (chain_queries,)
 
 
 def queries() -> dict:
-    return dict(QUERIES)
+    return {k: v for m in MODULES for k, v in m.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(ORACLES)
+    return {k: v for m in MODULES for k, v in m.ORACLES.items()}
