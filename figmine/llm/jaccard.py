@@ -2,7 +2,7 @@
 
 1. One scan turns each text into its sorted set of 64-bit n-gram hashes and a 128-bit fingerprint of that set. Texts
    with equal sets are one class from then on, so copies never meet one another in the join.
-2. How common an n-gram is comes from a count sketch of fixed size (``SKETCH`` counters, summed over all classes).
+2. How common an n-gram is comes from a count sketch of fixed size (``SKETCH`` counters, over all classes).
    (count, hash) orders the n-grams rare-first; any order gives the same links, this one gives short lists.
 3. Prefix filter: a class shows only the first n - ceil(t n) + 1 n-grams in that order. An n-gram that is alone in its
    counter has no partner and is not sent.
@@ -30,7 +30,11 @@ from ..operators.graph import components
 from . import textvec as V
 from .common import bounded_batches, stored
 
-SKETCH = 1 << 20
+#: Counters of the frequency sketch, a byte each: 32 MB whatever the input. More n-grams than that only blur the order.
+SKETCH = 1 << 25
+#: Bits of the bitmap that marks wanted classes.
+MARKS = 1 << 22
+PIECE = 1 << 16
 BINS = 128
 TILE = 2048
 
@@ -71,36 +75,46 @@ def shingle_sets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
     return docs.select(F.col(doc_id).alias("doc_id"), text).mapInArrow(run, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, fp binary, n_shingles bigint, grams binary")
 
 
-def _counters(rows: DataFrame, hashes_of, size: int = SKETCH) -> np.ndarray:
-    """Totals of ``size`` counters over all rows. Fixed size, so what reaches the driver does not grow with the input.
+def _counters(rows: DataFrame, hashes_of, size: int) -> np.ndarray:
+    """Totals of ``size`` counters over all rows, up to 255. Fixed size, so what reaches the driver does not grow.
 
-    ``hashes_of(batch)`` yields arrays of unsigned hashes; each adds one to the counter it falls on.
+    ``hashes_of(batch, seen)`` yields arrays of unsigned hashes; each adds one to the counter it falls on.
     """
-    pieces = 64
-    width = size // pieces
 
     def count(batches):
-        total = np.zeros(size, np.int64)
         seen: set[bytes] = set()
+        held, n = [], 0
+
+        def flush():
+            at, counts = np.unique(np.concatenate(held), return_counts=True)
+            counts = np.minimum(counts, 255).astype(np.uint8)
+            cuts = np.flatnonzero(np.diff(at // PIECE)) + 1
+            first = np.concatenate([[0], cuts])
+            return pa.RecordBatch.from_arrays(
+                [pa.array((at[first] // PIECE).astype(np.int32)), pa.array([x.astype(np.uint16).tobytes() for x in np.split(at % PIECE, cuts)]), pa.array([x.tobytes() for x in np.split(counts, cuts)])],
+                names=["piece", "at", "counts"],
+            )
+
         for batch in batches:
             for h in hashes_of(batch, seen):
-                np.add.at(total, h % size, 1)
-        for k in range(pieces):
-            piece = total[k * width : (k + 1) * width]
-            at = np.flatnonzero(piece)
-            if len(at):
-                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([at.astype(np.uint16).tobytes()]), pa.array([piece[at].astype(np.uint8 if piece.max() < 256 else np.uint32).tobytes()])], names=["piece", "at", "counts"])
+                held.append((h % np.uint64(size)).astype(np.uint32))
+                n += len(h)
+                if n > 4_000_000:
+                    yield flush()
+                    held, n = [], 0
+        if n:
+            yield flush()
 
     def add(key, table):
-        total = np.zeros(width, np.int64)
+        total = np.zeros(PIECE, np.int64)
         for at, counts in zip(table.column("at").to_pylist(), table.column("counts").to_pylist()):
-            total[np.frombuffer(at, np.uint16)] += np.frombuffer(counts, np.uint8 if 2 * len(counts) == len(at) else np.uint32)
-        return pa.table({"piece": pa.array([key[0].as_py()], pa.int32()), "total": pa.array([np.minimum(total, 2**32 - 1).astype(np.uint32).tobytes()])})
+            total[np.frombuffer(at, np.uint16)] += np.frombuffer(counts, np.uint8)
+        return pa.table({"piece": pa.array([key[0].as_py()], pa.int32()), "total": pa.array([np.minimum(total, 255).astype(np.uint8).tobytes()])})
 
-    total = np.zeros(size, np.uint32)
-    for row in rows.mapInArrow(count, "piece int, at binary, counts binary").groupBy("piece").applyInArrow(add, "piece int, total binary").collect():
-        total[row["piece"] * width : (row["piece"] + 1) * width] = np.frombuffer(row["total"], np.uint32)
-    return total
+    out = np.zeros(size, np.uint8)
+    for row in rows.mapInArrow(count, "piece int, at binary, counts binary").groupBy("piece").applyInArrow(add, "piece int, total binary").toLocalIterator():
+        out[row["piece"] * PIECE : (row["piece"] + 1) * PIECE] = np.frombuffer(row["total"], np.uint8)
+    return out
 
 
 def _grams_once(batch, seen):
@@ -116,14 +130,14 @@ def _fingerprints(batch, seen):
 
 def _present(sets: DataFrame, wanted: DataFrame) -> DataFrame:
     """One row (fp, grams) per wanted class. A bitmap of fixed size keeps most other sets from being shuffled at all."""
-    marks = sets.sparkSession.sparkContext.broadcast(np.packbits(_counters(wanted.select("fp"), _fingerprints) > 0))
+    marks = sets.sparkSession.sparkContext.broadcast(np.packbits(_counters(wanted.select("fp"), _fingerprints, MARKS) > 0))
 
     def run(batches):
         bits = marks.value
         seen: set[bytes] = set()
         for batch in batches:
             fps = batch.column(0).to_pylist()
-            h = np.array([int.from_bytes(fp[:8], "little") for fp in fps], np.uint64) % SKETCH
+            h = np.array([int.from_bytes(fp[:8], "little") for fp in fps], np.uint64) % np.uint64(MARKS)
             keep = (bits[h >> np.uint64(3)] >> (7 - (h & np.uint64(7))).astype(np.uint8)) & 1 > 0
             for k in np.flatnonzero(keep):
                 if fps[k] in seen:
@@ -139,7 +153,7 @@ def _prefix(grams: np.ndarray, counts: np.ndarray, percent: int) -> np.ndarray:
     """The rare-first prefix: all n-grams that a class shows to others."""
     n = len(grams)
     p = n - -(-percent * n // 100) + 1
-    often = counts[grams % SKETCH]
+    often = counts[grams % np.uint64(SKETCH)]
     keep = np.arange(n)
     if p < n:
         keep = np.flatnonzero(often <= np.partition(often, p - 1)[p - 1])
@@ -160,7 +174,7 @@ def _prefixes(sets: DataFrame, sketch, percent: int) -> DataFrame:
                 seen.add(fp)
                 grams = np.frombuffer(raw, np.uint64)
                 prefix = _prefix(grams, counts, percent)
-                place = np.flatnonzero(counts[prefix % SKETCH] > 1)
+                place = np.flatnonzero(counts[prefix % np.uint64(SKETCH)] > 1)
                 fps += [fp] * len(place)
                 sizes.append(np.full(len(place), len(grams), np.int64))
                 tokens.append(prefix[place].view(np.int64))
@@ -241,7 +255,7 @@ def _pairs_of_list(percent: int):
 def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
     """(a, b) fingerprints of classes that share a prefix n-gram and pass every filter; each pair once."""
     filled = sets.where("n_shingles > 0")
-    sketch = sets.sparkSession.sparkContext.broadcast(_counters(filled.select("fp", "grams"), _grams_once))
+    sketch = sets.sparkSession.sparkContext.broadcast(_counters(filled.select("fp", "grams"), _grams_once, SKETCH))
     rows = _prefixes(filled, sketch, percent).repartition("token").dropDuplicates(["token", "fp"])
     rows = stored(rows.withColumn("length", F.count("*").over(Window.partitionBy("token"))).where("length > 1"), "op5-prefixes")
     # the part of a class's prefix that others show too, in its order; at most as long as the prefix
