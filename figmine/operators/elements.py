@@ -121,7 +121,7 @@ def relabel_other(raw, confidence, least: float = 0.70):
 def music_guard(label, confidence, caption, terms: list[str], least: float = 0.99, mode: str = "both"):
     """Music stays if it is sure or its caption names a musical thing, or by one of the two alone."""
     sure = confidence >= least
-    named = F.coalesce(caption, F.lit("")).rlike(r"(?i)\b(?:" + "|".join(re.escape(t) for t in terms) + r")\b")
+    named = F.coalesce(caption, F.lit("")).rlike(r"(?i)(?:^|[^\p{L}\p{N}])(?:" + "|".join(re.escape(t) for t in terms) + r")(?:$|[^\p{L}\p{N}])")
     stays = {"confidence": sure, "keywords": named, "both": sure | named}[mode]
     return F.when((label == "music") & ~stays, "other").otherwise(label)
 

@@ -301,7 +301,7 @@ def music_modes(spark, sf_dir):
     return d.agg(F.count_if(F.col("raw_class") == "music").alias("music"), *kept)
 
 
-_add("w05_music_guard", music_modes, f"WITH {A.ELEMENTS_SQL}, m AS (SELECT class_confidence >= 0.99 AS sure, regexp_matches(coalesce(array_to_string(list_filter(regexp_split_to_array(coalesce(text, ''), '\\s+'), lambda x: x <> '')[1:50], ' '), ''), '(?i)\\b(?:the|und|que|les)\\b') AS named FROM elements WHERE raw_class = 'music') SELECT count(*) AS music, count_if(sure)::BIGINT AS confidence, count_if(named)::BIGINT AS keywords, count_if(sure OR named)::BIGINT AS both FROM m")
+_add("w05_music_guard", music_modes, f"WITH {A.ELEMENTS_SQL}, m AS (SELECT class_confidence >= 0.99 AS sure, regexp_matches(coalesce(array_to_string(list_filter(regexp_split_to_array(coalesce(text, ''), '\\s+'), lambda x: x <> '')[1:50], ' '), ''), '(?i)(?:^|[^\\p{{L}}\\p{{N}}])(?:the|und|que|les)(?:$|[^\\p{{L}}\\p{{N}}])') AS named FROM elements WHERE raw_class = 'music') SELECT count(*) AS music, count_if(sure)::BIGINT AS confidence, count_if(named)::BIGINT AS keywords, count_if(sure OR named)::BIGINT AS both FROM m")
 
 
 def detect_pages(spark, sf_dir):
@@ -345,7 +345,7 @@ def gate_sweep(spark, sf_dir):
 _add("w12_gate_sweep", gate_sweep)
 _add("w13_prepare", A.flagship, f"""WITH RECURSIVE {EDGE_SQL}, {GROUP_SQL}, {A.ELEMENTS_SQL}, sure AS (SELECT e.*, h.group_id FROM elements e JOIN hash_groups h USING (id) WHERE detection_confidence >= 0.75),
 best AS (SELECT group_id, arg_max(id, (detection_confidence, -id)) AS id FROM sure GROUP BY 1), f AS (SELECT s.*, nullif(array_to_string(list_filter(regexp_split_to_array(coalesce(text, ''), '\\s+'), lambda x: x <> '')[1:50], ' '), '') AS caption FROM sure s JOIN best USING (id))
-SELECT id, barcode_src, language_src, round(detection_confidence, 6) AS detection_confidence_gen, CASE WHEN class_confidence < 0.70 THEN 'other' WHEN raw_class = 'music' AND NOT (class_confidence >= 0.99 OR regexp_matches(coalesce(caption, ''), '(?i)\\b(?:the|und|que|les)\\b')) THEN 'other' ELSE raw_class END AS class_gen,
+SELECT id, barcode_src, language_src, round(detection_confidence, 6) AS detection_confidence_gen, CASE WHEN class_confidence < 0.70 THEN 'other' WHEN raw_class = 'music' AND NOT (class_confidence >= 0.99 OR regexp_matches(coalesce(caption, ''), '(?i)(?:^|[^\\p{{L}}\\p{{N}}])(?:the|und|que|les)(?:$|[^\\p{{L}}\\p{{N}}])')) THEN 'other' ELSE raw_class END AS class_gen,
 round(class_confidence, 6) AS class_confidence_gen, f.group_id AS group_gen, length(text)::INTEGER AS width_gen, 48 AS height_gen, round(greatest(length(text), 1) * 48 / 1e6, 6) AS megapixels_gen, CASE WHEN raw_class NOT IN ('decorative', 'artifact') THEN coalesce(caption, 'CAPTION FAILED') END AS caption_gen FROM f""")
 
 
