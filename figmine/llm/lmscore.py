@@ -143,13 +143,12 @@ class BloomShard:
     @staticmethod
     def build(grams: np.ndarray, counts: np.ndarray) -> BloomShard:
         levels = _levels_of(counts)
-        size = max(64, int(levels.sum()) * BITS_PER_KEY)
-        out = np.zeros((size + 7) // 8, np.uint8)
-        shard = BloomShard(out)
+        size = -(-max(64, int(levels.sum()) * BITS_PER_KEY) // 8) * 8
+        out = np.zeros(size, bool)
         for level in range(1, int(levels.max(initial=0)) + 1):
-            for at in _bits(grams[levels >= level], level, shard.size):
-                np.bitwise_or.at(out, at >> np.uint64(3), np.uint8(1) << (at & np.uint64(7)).astype(np.uint8))
-        return shard
+            for at in _bits(grams[levels >= level], level, size):
+                out[at] = True
+        return BloomShard(np.packbits(out, bitorder="little"))
 
     def levels(self, grams: np.ndarray) -> np.ndarray:
         """Level of each gram, by probing until a miss."""
@@ -225,19 +224,26 @@ def _lookup(broadcasts: list, shards: int):
         bits, grams, counts = b.value
         tables[kind, shard] = (BloomShard(np.frombuffer(bits, np.uint8)), np.frombuffer(grams, np.uint64), np.frombuffer(counts, np.int64))
 
+    def by_shard(h):
+        """Places of the hashes of each shard, as slices of one order."""
+        shard = _shard_of(h, shards)
+        order = np.argsort(shard, kind="stable")
+        cuts = np.searchsorted(shard[order], np.arange(shards + 1))
+        return lambda k: order[cuts[k] : cuts[k + 1]]
+
     def fill(tokens, pairs, counts, levels, pair_levels):
         unique, inverse = np.unique(tokens, return_inverse=True)
         c, level = np.zeros(len(unique), np.int64), np.zeros(len(unique), np.int8)
-        of = _shard_of(unique, shards)
-        pair_of = _shard_of(pairs, shards)
+        of, pair_of = by_shard(unique), by_shard(pairs)
         for (kind, shard), (bloom, grams, exact) in tables.items():
             if kind == 1:
-                own = np.flatnonzero(of == shard)
+                own = of(shard)
                 at = V.position_of(grams, unique[own])
                 c[own[at >= 0]] = exact[at[at >= 0]]
                 level[own] = bloom.levels(unique[own] & np.uint64((1 << 40) - 1))
             else:
-                own = np.flatnonzero((pair_of == shard) & (pairs != 0))
+                own = pair_of(shard)
+                own = own[pairs[own] != 0]
                 pair_levels[own] = np.maximum(pair_levels[own], bloom.levels(pairs[own] & np.uint64((1 << 40) - 1)))
         np.maximum(counts, c[inverse], out=counts)
         np.maximum(levels, level[inverse], out=levels)
@@ -257,7 +263,7 @@ def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
                 column = batch.column(names.index(text))
                 before = None if is_first else [batch.column(names.index(k)).to_pylist() for k in ("_c", "_l", "_p")]
                 out: list[list] = [[], [], [], []]
-                for row, step in V.steps(column):
+                for row, step in V.steps(column, 1 << 20):
                     tokens, first = _tokens(step)
                     pairs = _pairs(tokens, first)
                     if is_first:
