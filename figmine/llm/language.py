@@ -22,7 +22,7 @@ from . import textvec as V
 from .common import bounded_batches, remainder
 
 TRAIN_ROWS = 20_000
-ENTRIES = 400_000
+ENTRIES = 250_000
 LONGEST = 5
 
 
@@ -112,7 +112,8 @@ def train(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str
     rows = docs.where(F.col(lang).isNotNull() & (remainder(doc_id, 5) != 0))
     counted = sampled(rows.select(doc_id, text, lang), doc_id, train_rows).select(text, lang).mapInArrow(_count, "lang string, n int, gram bigint, count bigint")
     table = counted.groupBy("lang", "n", "gram").agg(F.sum("count").alias("count")).where((F.col("count") > 1) | (F.col("n") == 1))
-    return LanguageModel([tuple(r) for r in table.orderBy(F.desc("count"), "n", "gram", "lang").limit(entries).collect()])
+    best = table.select("lang", "n", "gram", "count").orderBy(F.desc("count"), "n", "gram", "lang").limit(entries).toPandas()
+    return LanguageModel(list(best.itertuples(index=False, name=None)))
 
 
 def _no_letter(column, first: int, step: V.Step) -> np.ndarray:
