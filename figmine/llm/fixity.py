@@ -19,6 +19,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import stored
+
 FANOUT = 16
 RANGE_BYTES = 256 << 10
 #: Records per archive file, by their number.
@@ -59,12 +61,13 @@ def _level_up(nodes: DataFrame, keys: list[str], fanout: int) -> DataFrame:
 
 def tree(records: DataFrame, levels: int, file_levels: int, fanout: int = FANOUT, range_bytes: int = RANGE_BYTES) -> list[DataFrame]:
     """Levels from the leaves to the replica's root: (file, node, hash) inside files, then (file=-1, node, hash) over files."""
-    out = [leaves(records, range_bytes)]
+    # every level is written once: it is a small fraction of the one below, and the plan stays flat
+    out = [stored(leaves(records, range_bytes), "op3-leaves")]
     for _ in range(levels):
-        out.append(_level_up(out[-1], ["file"], fanout))
+        out.append(stored(_level_up(out[-1], ["file"], fanout), "op3-nodes"))
     top = out[-1].select(F.lit(-1).cast("bigint").alias("file"), F.col("file").alias("node"), "hash")
     for _ in range(file_levels):
-        top = _level_up(top, ["file"], fanout)
+        top = stored(_level_up(top, ["file"], fanout), "op3-roots")
         out.append(top)
     return out
 
@@ -86,6 +89,7 @@ def audit(left: DataFrame, right: DataFrame, fanout: int = FANOUT, range_bytes:
 
     status: changed, missing, extra or moved (same bytes at another offset).
     """
+    left, right = stored(left, "op3-manifest"), stored(right, "op3-manifest")
     spans = left.unionByName(right).agg(F.max("offset").alias("o"), F.max("file").alias("f"), F.min("file").alias("low")).first()
     if spans["o"] is None:
         return left.select("file", "record", "copy", F.lit("").alias("status"), "offset", "length").limit(0)
@@ -103,7 +107,7 @@ def audit(left: DataFrame, right: DataFrame, fanout: int = FANOUT, range_bytes:
             else:
                 up = live.select("file", F.col("node").alias("up"))
                 x, y = (t.withColumn("up", F.floor(F.col("node") / fanout).cast("bigint")).join(up, ["file", "up"], "left_semi").drop("up") for t in (x, y))
-        live = _differing(x, y)
+        live = stored(_differing(x, y), "op3-differing")
     inside = live.withColumnRenamed("node", "leaf")
     p, q = (t.withColumn("leaf", F.floor(F.col("offset") / range_bytes).cast("bigint")).join(inside, ["file", "leaf"], "left_semi").drop("leaf") for t in (left, right))
     keys = ["file", "record", "copy"]

@@ -300,7 +300,8 @@ def _scores(first, pairs, counts, levels, pair_levels, n: int, v: int):
     about = np.where(levels > 0, 1.5 * np.exp2(levels.astype(float) - 1), 0)
     about_pair = np.where(pair_levels > 0, 1.5 * np.exp2(pair_levels.astype(float) - 1), 0)
     base = np.log10((counts + 1.0) / (n + 1.0 * (v + 1)))
-    share = (about + 1.0) / (n + 1.0 * (v + 1))
+    # a quantised count can exceed the total it is a part of
+    share = np.minimum((about + 1.0) / (n + 1.0 * (v + 1)), 1.0)
     ahead = np.concatenate([[0.0], about[:-1]]) if len(about) else about
     ahead[first[:-1]] = 0
     held = (about_pair > 0) & (ahead > 0)
