@@ -209,7 +209,7 @@ def _pairs_of_list(percent: int):
         size = table.column("size").to_numpy().astype(np.int64)
         place = table.column("place").to_numpy().astype(np.int64)
         tile = table.column("tile").to_numpy()
-        spread = np.stack([np.frombuffer(s, np.uint8 if len(s) == BINS else np.uint32).astype(np.int32) for s in table.column("spread").to_pylist()])
+        spread = np.stack([np.frombuffer(s, np.uint8 if len(s) == BINS else np.uint32) for s in table.column("spread").to_pylist()])
         before = []
         for r in table.column("prefix").to_pylist():
             p = np.array(r, np.int64)
@@ -226,8 +226,11 @@ def _pairs_of_list(percent: int):
         right = np.flatnonzero(tile == tile_b)
         order = np.argsort(size[right], kind="stable")
         right = right[order]
-        matrix = np.zeros((len(before), int((often > 1).sum())), np.float32)
-        matrix[owner[several], column[inverse[several]]] = 1
+        # few shared columns: one product tests a row against all; many: sets, for the pairs that are left at the end
+        dense = int((often > 1).sum()) <= 256
+        if dense:
+            matrix = np.zeros((len(before), int((often > 1).sum())), np.float32)
+            matrix[owner[several], column[inverse[several]]] = 1
         out_a, out_b = [], []
         sorted_size = size[right]
         for a in left.tolist():
@@ -238,13 +241,15 @@ def _pairs_of_list(percent: int):
                 other = other[other > a]
             if not len(other):
                 continue
-            if matrix.shape[1] and earlier[a]:
+            if dense and earlier[a]:
                 other = other[matrix[other] @ matrix[a] == 0]
             need = -(-percent * (size[a] + size[other]) // (100 + percent))
             other, need = (x[np.minimum(size[a] - place[a], size[other] - place[other]) >= need] for x in (other, need)) if len(other) else (other, need)
             if not len(other):
                 continue
-            other = other[np.minimum(spread[a], spread[other]).sum(axis=1) >= need]
+            other = other[np.minimum(spread[a], spread[other]).sum(axis=1, dtype=np.int64) >= need]
+            if not dense:
+                other = np.array([o for o in other.tolist() if earlier[a].isdisjoint(earlier[o])], np.int64)
             out_a += [fps[a]] * len(other)
             out_b += [fps[k] for k in other.tolist()]
         return pa.table({"a": pa.array(out_a, pa.binary()), "b": pa.array(out_b, pa.binary())})
@@ -268,7 +273,7 @@ def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFram
     return dealt.join(traits, "fp").groupBy("token", "tile_a", "tile_b").applyInArrow(_pairs_of_list(percent), "a binary, b binary")
 
 
-def verify(pairs: DataFrame, sets: DataFrame, percent: int, tile: int = 256) -> DataFrame:
+def verify(pairs: DataFrame, sets: DataFrame, percent: int, tile: int = 128) -> DataFrame:
     """The pairs that link, checked against whole sets.
 
     Pairs are checked family by family (a component of the candidate graph), large families tile by tile: a set
