@@ -37,6 +37,8 @@ MARKS = 1 << 22
 PIECE = 1 << 16
 BINS = 128
 TILE = 2048
+#: Lists up to this length are compared pair by pair, longer ones as arrays.
+SHORT = 8
 
 
 def _set_of(hashes: np.ndarray, n: int) -> np.ndarray:
@@ -51,8 +53,14 @@ def _set_of(hashes: np.ndarray, n: int) -> np.ndarray:
     return np.unique(gram)
 
 
+def _spread_of(grams: np.ndarray) -> bytes:
+    bins = np.bincount((grams >> np.uint64(40)).astype(np.int64) % BINS, minlength=BINS)
+    return bins.astype(np.uint8 if bins.max() < 256 else np.uint32).tobytes()
+
+
 def shingle_sets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 3) -> DataFrame:
-    """(doc_id, fp, n_shingles, grams): grams is the sorted set as little-endian unsigned 64-bit numbers."""
+    """(doc_id, fp, n_shingles, grams, spread): grams is the sorted set as little-endian unsigned 64-bit numbers,
+    spread how many of them fall into each of ``BINS`` bins."""
 
     def run(batches):
         for batch in batches:
@@ -68,11 +76,12 @@ def shingle_sets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
                         pa.array([hashlib.blake2b(r, digest_size=16).digest() for r in raw], pa.binary()),
                         pa.array([len(s) for s in sets], pa.int64()),
                         pa.array(raw, pa.binary()),
+                        pa.array([_spread_of(s) for s in sets], pa.binary()),
                     ],
-                    names=["doc_id", "fp", "n_shingles", "grams"],
+                    names=["doc_id", "fp", "n_shingles", "grams", "spread"],
                 )
 
-    return docs.select(F.col(doc_id).alias("doc_id"), text).mapInArrow(run, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, fp binary, n_shingles bigint, grams binary")
+    return docs.select(F.col(doc_id).alias("doc_id"), text).mapInArrow(run, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, fp binary, n_shingles bigint, grams binary, spread binary")
 
 
 def _counters(rows: DataFrame, hashes_of, size: int) -> np.ndarray:
@@ -128,8 +137,8 @@ def _fingerprints(batch, seen):
     yield np.array([int.from_bytes(fp[:8], "little") for fp in batch.column(0).to_pylist()], np.uint64)
 
 
-def _present(sets: DataFrame, wanted: DataFrame) -> DataFrame:
-    """One row (fp, grams) per wanted class. A bitmap of fixed size keeps most other sets from being shuffled at all."""
+def _present(sets: DataFrame, wanted: DataFrame, payload: str = "grams") -> DataFrame:
+    """Rows (fp, payload) of the wanted classes, a few per class. A bitmap of fixed size keeps most other sets from being shuffled at all."""
     marks = sets.sparkSession.sparkContext.broadcast(np.packbits(_counters(wanted.select("fp"), _fingerprints, MARKS) > 0))
 
     def run(batches):
@@ -144,9 +153,9 @@ def _present(sets: DataFrame, wanted: DataFrame) -> DataFrame:
                     keep[k] = False
                 seen.add(fps[k])
             mask = pa.array(keep)
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], names=["fp", "grams"])
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], names=["fp", payload])
 
-    return sets.where("n_shingles > 0").select("fp", "grams").mapInArrow(run, "fp binary, grams binary")
+    return sets.where("n_shingles > 0").select("fp", payload).mapInArrow(run, f"fp binary, {payload} binary")
 
 
 def _prefix(grams: np.ndarray, counts: np.ndarray, percent: int) -> np.ndarray:
@@ -185,74 +194,108 @@ def _prefixes(sets: DataFrame, sketch, percent: int) -> DataFrame:
     return sets.select("fp", "grams").mapInArrow(run, "token bigint, fp binary, place int, size bigint")
 
 
-def _spread(sets: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(fp, spread): how a class's n-grams fall into ``BINS`` bins."""
+def _pairs_in_lists(percent: int):
+    """Pairs of each list (or of two tiles of it) that no filter can rule out. Rows come sorted by list and tiles."""
 
-    def run(batches):
-        for batch in batches:
-            spreads = []
-            for raw in batch.column(1).to_pylist():
-                bins = np.bincount((np.frombuffer(raw, np.uint64) >> np.uint64(40)).astype(np.int64) % BINS, minlength=BINS)
-                spreads.append(bins.astype(np.uint8 if bins.max() < 256 else np.uint32).tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(spreads, pa.binary())], names=["fp", "spread"])
-
-    return _present(sets, wanted).mapInArrow(run, "fp binary, spread binary").dropDuplicates(["fp"])
-
-
-def _pairs_of_list(percent: int):
-    """Pairs of one list (or of two tiles of it) that no filter can rule out."""
-
-    def run(key, table):
-        tile_a, tile_b = key[1].as_py(), key[2].as_py()
-        token = key[0].as_py()
-        fps = table.column("fp").to_pylist()
-        size = table.column("size").to_numpy().astype(np.int64)
-        place = table.column("place").to_numpy().astype(np.int64)
-        tile = table.column("tile").to_numpy()
-        spread = np.stack([np.frombuffer(s, np.uint8 if len(s) == BINS else np.uint32) for s in table.column("spread").to_pylist()])
-        before = []
-        for r in table.column("prefix").to_pylist():
-            p = np.array(r, np.int64)
-            before.append(p[: int(np.flatnonzero(p == token)[0])])
-        flat = np.concatenate(before) if before else np.zeros(0, np.int64)
-        names, inverse, often = np.unique(flat, return_inverse=True, return_counts=True)
+    def long_list(rows, token, same_tile: bool, out_a, out_b):
+        fps, size, place, tile, spreads, prefix = rows
+        spread = np.stack(spreads)
+        before = [p[: int(np.flatnonzero(p == token)[0])] for p in prefix]
+        names, inverse, often = np.unique(np.concatenate(before), return_inverse=True, return_counts=True)
         owner = np.repeat(np.arange(len(before)), [len(b) for b in before])
         column = np.cumsum(often > 1) - 1
         several = often[inverse] > 1
         earlier = [set() for _ in before]
         for o, c in zip(owner[several].tolist(), column[inverse[several]].tolist()):
             earlier[o].add(c)
-        left = np.flatnonzero(tile == tile_a)
-        right = np.flatnonzero(tile == tile_b)
-        order = np.argsort(size[right], kind="stable")
-        right = right[order]
+        left = np.flatnonzero(tile == tile[0])
+        right = left if same_tile else np.flatnonzero(tile != tile[0])
+        right = right[np.argsort(size[right], kind="stable")]
         # few shared columns: one product tests a row against all; many: sets, for the pairs that are left at the end
         dense = int((often > 1).sum()) <= 256
         if dense:
             matrix = np.zeros((len(before), int((often > 1).sum())), np.float32)
             matrix[owner[several], column[inverse[several]]] = 1
-        out_a, out_b = [], []
         sorted_size = size[right]
         for a in left.tolist():
             lo = np.searchsorted(sorted_size, -(-percent * size[a] // 100), "left")
             hi = np.searchsorted(sorted_size, 100 * size[a] // percent, "right")
             other = right[lo:hi]
-            if tile_a == tile_b:
+            if same_tile:
                 other = other[other > a]
-            if not len(other):
-                continue
-            if dense and earlier[a]:
+            if dense and len(other) and earlier[a]:
                 other = other[matrix[other] @ matrix[a] == 0]
-            need = -(-percent * (size[a] + size[other]) // (100 + percent))
-            other, need = (x[np.minimum(size[a] - place[a], size[other] - place[other]) >= need] for x in (other, need)) if len(other) else (other, need)
             if not len(other):
                 continue
+            need = -(-percent * (size[a] + size[other]) // (100 + percent))
+            near = np.minimum(size[a] - place[a], size[other] - place[other]) >= need
+            other, need = other[near], need[near]
             other = other[np.minimum(spread[a], spread[other]).sum(axis=1, dtype=np.int64) >= need]
             if not dense:
-                other = np.array([o for o in other.tolist() if earlier[a].isdisjoint(earlier[o])], np.int64)
+                other = [o for o in other.tolist() if earlier[a].isdisjoint(earlier[o])]
             out_a += [fps[a]] * len(other)
-            out_b += [fps[k] for k in other.tolist()]
-        return pa.table({"a": pa.array(out_a, pa.binary()), "b": pa.array(out_b, pa.binary())})
+            out_b += [fps[k] for k in other]
+
+    def short_list(rows, token, same_tile: bool, out_a, out_b):
+        fps, size, place, tile, spreads, prefix = rows
+        size, place, tile = size.tolist(), place.tolist(), tile.tolist()
+        before: list = [None] * len(fps)
+        for a in range(len(fps) - 1):
+            for b in range(a + 1, len(fps)):
+                if same_tile == (tile[a] != tile[b]) or percent * max(size[a], size[b]) > 100 * min(size[a], size[b]):
+                    continue
+                need = -(-percent * (size[a] + size[b]) // (100 + percent))
+                if min(size[a] - place[a], size[b] - place[b]) < need or int(np.minimum(spreads[a], spreads[b]).sum(dtype=np.int64)) < need:
+                    continue
+                for k in (a, b):
+                    if before[k] is None:
+                        p = prefix[k].tolist()
+                        before[k] = set(p[: p.index(token)])
+                if before[a].isdisjoint(before[b]):
+                    out_a.append(fps[a])
+                    out_b.append(fps[b])
+
+    def pairs_of(table):
+        """Pairs of all lists in ``table``, whose lists are whole."""
+        columns = {k: table.column(k).to_numpy() for k in ("token", "tile_a", "tile_b", "tile", "size", "place")}
+        lists = np.stack([columns[k].astype(np.int64) for k in ("token", "tile_a", "tile_b")])
+        cuts = [0, *(np.flatnonzero((lists[:, 1:] != lists[:, :-1]).any(axis=0)) + 1).tolist(), len(table)]
+        prefix = table.column("prefix").combine_chunks()
+        values, offsets = prefix.values.to_numpy(), prefix.offsets.to_numpy()
+        fps, spreads = table.column("fp").to_pylist(), table.column("spread").to_pylist()
+        size, place, tile = columns["size"].astype(np.int64), columns["place"].astype(np.int64), columns["tile"]
+        out_a, out_b = [], []
+        for lo, hi in zip(cuts, cuts[1:]):
+            if hi - lo > 1:
+                rows = (
+                    fps[lo:hi],
+                    size[lo:hi],
+                    place[lo:hi],
+                    tile[lo:hi],
+                    [np.frombuffer(x, np.uint8 if len(x) == BINS else np.uint32) for x in spreads[lo:hi]],
+                    [values[offsets[k] : offsets[k + 1]] for k in range(lo, hi)],
+                )
+                (short_list if hi - lo <= SHORT else long_list)(rows, int(columns["token"][lo]), bool(lists[1, lo] == lists[2, lo]), out_a, out_b)
+        return pa.RecordBatch.from_arrays([pa.array(out_a, pa.binary()), pa.array(out_b, pa.binary())], names=["a", "b"])
+
+    def run(batches):
+        rest = None
+        for batch in batches:
+            table = pa.Table.from_batches([batch])
+            table = table if rest is None else pa.concat_tables([rest, table]).combine_chunks()
+            # the last list may go on in the next batch; it is at most two tiles long
+            last = [table.column(k)[-1].as_py() for k in ("token", "tile_a", "tile_b")] if len(table) else None
+            if last is None:
+                continue
+            other = np.zeros(len(table), bool)
+            for k, x in zip(("token", "tile_a", "tile_b"), last):
+                other |= table.column(k).to_numpy() != x
+            cut = int(np.flatnonzero(other)[-1]) + 1 if other.any() else 0
+            rest = table.slice(cut)
+            if cut:
+                yield pairs_of(table.slice(0, cut))
+        if rest is not None and len(rest):
+            yield pairs_of(rest)
 
     return run
 
@@ -265,12 +308,13 @@ def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFram
     rows = stored(rows.withColumn("length", F.count("*").over(Window.partitionBy("token"))).where("length > 1"), "op5-prefixes")
     # the part of a class's prefix that others show too, in its order; at most as long as the prefix
     shown = rows.groupBy("fp").agg(F.array_sort(F.collect_list(F.struct("place", "token"))).alias("s")).select("fp", F.transform("s", lambda x: x["token"]).alias("prefix"))
-    traits = shown.join(_spread(sets, rows), "fp")
+    traits = shown.join(_present(sets, rows, "spread").dropDuplicates(["fp"]), "fp")
     dealt = rows.withColumn("tiles", F.ceil(F.col("length") / tile).cast("int"))
     # each row goes to the tile pairs (i, j), i <= j, that contain its own tile
     dealt = dealt.withColumn("tile", F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")).withColumn("with", F.explode(F.expr("sequence(0, tiles - 1)")))
     dealt = dealt.select("token", F.least("tile", "with").alias("tile_a"), F.greatest("tile", "with").alias("tile_b"), "tile", "fp", "place", "size")
-    return dealt.join(traits, "fp").groupBy("token", "tile_a", "tile_b").applyInArrow(_pairs_of_list(percent), "a binary, b binary")
+    lists = dealt.join(traits, "fp").repartition("token", "tile_a", "tile_b").sortWithinPartitions("token", "tile_a", "tile_b")
+    return lists.select("token", "tile_a", "tile_b", "tile", "fp", "place", "size", "prefix", "spread").mapInArrow(_pairs_in_lists(percent), "a binary, b binary")
 
 
 def verify(pairs: DataFrame, sets: DataFrame, percent: int, tile: int = 128) -> DataFrame:
