@@ -37,6 +37,7 @@ MARKS = 1 << 22
 PIECE = 1 << 16
 BINS = 128
 TILE = 2048
+FP_BYTES = 16
 #: Lists up to this length are compared pair by pair, longer ones as arrays.
 SHORT = 8
 
@@ -73,7 +74,7 @@ def shingle_sets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n:
                 yield pa.RecordBatch.from_arrays(
                     [
                         ids.slice(first, len(sets)),
-                        pa.array([hashlib.blake2b(r, digest_size=16).digest() for r in raw], pa.binary()),
+                        pa.array([hashlib.blake2b(r, digest_size=FP_BYTES).digest() for r in raw], pa.binary()),
                         pa.array([len(s) for s in sets], pa.int64()),
                         pa.array(raw, pa.binary()),
                         pa.array([_spread_of(s) for s in sets], pa.binary()),
@@ -194,13 +195,38 @@ def _prefixes(sets: DataFrame, sketch, percent: int) -> DataFrame:
     return sets.select("fp", "grams").mapInArrow(run, "token bigint, fp binary, place int, size bigint")
 
 
+def _forest(pairs) -> dict[bytes, list[bytes]]:
+    """The pairs that a spanning forest of all of them needs."""
+    parent: dict[bytes, bytes] = {}
+
+    def root(x):
+        while parent.setdefault(x, x) != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    kept: dict[bytes, list[bytes]] = {}
+    for a, b in pairs:
+        x, y = root(a), root(b)
+        if x != y:
+            parent[y] = x
+            kept.setdefault(a, []).append(b)
+    return kept
+
+
+def _edges(lists: DataFrame, column: str) -> DataFrame:
+    """(a, b) from rows that hold the fingerprints b of one a end to end."""
+    each = F.expr(f"transform(sequence(1, octet_length({column}), {FP_BYTES}), i -> substring({column}, i, {FP_BYTES}))")
+    return lists.where(F.octet_length(column) > 0).select("a", F.explode(each).alias("b"))
+
+
 def _pairs_in_lists(percent: int):
-    """Pairs of each list (or of two tiles of it) that no filter can rule out. Rows come sorted by list and tiles."""
+    """For each class of a list (or of two tiles of it) the partners that no filter can rule out, and those of them that
+    a spanning forest needs. Rows come sorted by list and tiles."""
 
-    def long_list(rows, token, same_tile: bool, out_a, out_b):
-        fps, size, place, tile, spreads, prefix = rows
+    def long_list(rows, same_tile: bool, out_a, out_b):
+        fps, size, place, tile, spreads, before = rows
         spread = np.stack(spreads)
-        before = [p[: int(np.flatnonzero(p == token)[0])] for p in prefix]
         names, inverse, often = np.unique(np.concatenate(before), return_inverse=True, return_counts=True)
         owner = np.repeat(np.arange(len(before)), [len(b) for b in before])
         column = np.cumsum(often > 1) - 1
@@ -236,8 +262,8 @@ def _pairs_in_lists(percent: int):
             out_a += [fps[a]] * len(other)
             out_b += [fps[k] for k in other]
 
-    def short_list(rows, token, same_tile: bool, out_a, out_b):
-        fps, size, place, tile, spreads, prefix = rows
+    def short_list(rows, same_tile: bool, out_a, out_b):
+        fps, size, place, tile, spreads, ahead = rows
         size, place, tile = size.tolist(), place.tolist(), tile.tolist()
         before: list = [None] * len(fps)
         for a in range(len(fps) - 1):
@@ -249,8 +275,7 @@ def _pairs_in_lists(percent: int):
                     continue
                 for k in (a, b):
                     if before[k] is None:
-                        p = prefix[k].tolist()
-                        before[k] = set(p[: p.index(token)])
+                        before[k] = set(ahead[k].tolist())
                 if before[a].isdisjoint(before[b]):
                     out_a.append(fps[a])
                     out_b.append(fps[b])
@@ -260,8 +285,8 @@ def _pairs_in_lists(percent: int):
         columns = {k: table.column(k).to_numpy() for k in ("token", "tile_a", "tile_b", "tile", "size", "place")}
         lists = np.stack([columns[k].astype(np.int64) for k in ("token", "tile_a", "tile_b")])
         cuts = [0, *(np.flatnonzero((lists[:, 1:] != lists[:, :-1]).any(axis=0)) + 1).tolist(), len(table)]
-        prefix = table.column("prefix").combine_chunks()
-        values, offsets = prefix.values.to_numpy(), prefix.offsets.to_numpy()
+        before = table.column("before").combine_chunks()
+        values, offsets = before.values.to_numpy(), before.offsets.to_numpy()
         fps, spreads = table.column("fp").to_pylist(), table.column("spread").to_pylist()
         size, place, tile = columns["size"].astype(np.int64), columns["place"].astype(np.int64), columns["tile"]
         out_a, out_b = [], []
@@ -275,8 +300,12 @@ def _pairs_in_lists(percent: int):
                     [np.frombuffer(x, np.uint8 if len(x) == BINS else np.uint32) for x in spreads[lo:hi]],
                     [values[offsets[k] : offsets[k + 1]] for k in range(lo, hi)],
                 )
-                (short_list if hi - lo <= SHORT else long_list)(rows, int(columns["token"][lo]), bool(lists[1, lo] == lists[2, lo]), out_a, out_b)
-        return pa.RecordBatch.from_arrays([pa.array(out_a, pa.binary()), pa.array(out_b, pa.binary())], names=["a", "b"])
+                (short_list if hi - lo <= SHORT else long_list)(rows, bool(lists[1, lo] == lists[2, lo]), out_a, out_b)
+        partners: dict[bytes, list[bytes]] = {}
+        for a, b in zip(out_a, out_b):
+            partners.setdefault(a, []).append(b)
+        tree = _forest(zip(out_a, out_b))
+        return pa.RecordBatch.from_arrays([pa.array(list(partners), pa.binary()), pa.array([b"".join(x) for x in partners.values()], pa.binary()), pa.array([b"".join(tree.get(a, ())) for a in partners], pa.binary())], names=["a", "partners", "tree"])
 
     def run(batches):
         rest = None
@@ -302,6 +331,12 @@ def _pairs_in_lists(percent: int):
 
 def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
     """(a, b) fingerprints of classes that share a prefix n-gram and pass every filter; each pair once."""
+    return _edges(candidate_lists(sets, percent, tile), "partners")
+
+
+def candidate_lists(sets: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
+    """The candidate pairs as (a, partners, tree): the fingerprints of the partners of a, end to end, and those of them
+    that keep every family of candidates connected. Each pair is in one row."""
     filled = sets.where("n_shingles > 0")
     sketch = sets.sparkSession.sparkContext.broadcast(_counters(filled.select("fp", "grams"), _grams_once, SKETCH))
     rows = _prefixes(filled, sketch, percent).repartition("token").dropDuplicates(["token", "fp"])
@@ -313,52 +348,95 @@ def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFram
     # each row goes to the tile pairs (i, j), i <= j, that contain its own tile
     dealt = dealt.withColumn("tile", F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")).withColumn("with", F.explode(F.expr("sequence(0, tiles - 1)")))
     dealt = dealt.select("token", F.least("tile", "with").alias("tile_a"), F.greatest("tile", "with").alias("tile_b"), "tile", "fp", "place", "size")
-    lists = dealt.join(traits, "fp").repartition("token", "tile_a", "tile_b").sortWithinPartitions("token", "tile_a", "tile_b")
-    return lists.select("token", "tile_a", "tile_b", "tile", "fp", "place", "size", "prefix", "spread").mapInArrow(_pairs_in_lists(percent), "a binary, b binary")
+    # the shared n-grams of a class before this one tell where else its pairs are looked at
+    told = dealt.join(traits, "fp").withColumn("before", F.expr("slice(prefix, 1, CAST(array_position(prefix, token) AS INT) - 1)")).drop("prefix")
+    lists = told.repartition("token", "tile_a", "tile_b").sortWithinPartitions("token", "tile_a", "tile_b")
+    return lists.select("token", "tile_a", "tile_b", "tile", "fp", "place", "size", "before", "spread").mapInArrow(_pairs_in_lists(percent), "a binary, partners binary, tree binary")
+
 
+def _tile_of(fp: bytes, tiles: int) -> int:
+    return int.from_bytes(fp[8:], "little") % tiles
 
-def verify(pairs: DataFrame, sets: DataFrame, percent: int, tile: int = 128) -> DataFrame:
-    """The pairs that link, checked against whole sets.
+
+def _place(tile: int):
+    """Candidates as (family, tile_a, tile_b, pairs): pairs holds two fingerprints a pair, end to end."""
+
+    def run(batches):
+        for batch in batches:
+            out: dict[tuple, list[bytes]] = {}
+            for a, partners, family, members in zip(*(batch.column(k).to_pylist() for k in range(4))):
+                tiles = -(-members // tile)
+                own = _tile_of(a, tiles)
+                for k in range(0, len(partners), FP_BYTES):
+                    b = partners[k : k + FP_BYTES]
+                    other = _tile_of(b, tiles)
+                    out.setdefault((family, min(own, other), max(own, other)), []).append(a + b)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([k[0] for k in out], pa.binary()), *(pa.array([k[n] for k in out], pa.int32()) for n in (1, 2)), pa.array([b"".join(x) for x in out.values()], pa.binary())],
+                names=["family", "tile_a", "tile_b", "pairs"],
+            )
+
+    return run
+
+
+def _ends(batches):
+    """The classes that each row of placed candidates needs."""
+    for batch in batches:
+        found = [sorted({raw[k : k + FP_BYTES] for k in range(0, len(raw), FP_BYTES)}) for raw in batch.column(3).to_pylist()]
+        at = np.repeat(np.arange(len(found)), [len(x) for x in found])
+        yield pa.RecordBatch.from_arrays([*(batch.column(k).take(pa.array(at)) for k in range(3)), pa.array([fp for x in found for fp in x], pa.binary())], names=["family", "tile_a", "tile_b", "fp"])
+
+
+def verify(candidates: DataFrame, sets: DataFrame, classes: DataFrame, percent: int, tile: int = 128) -> DataFrame:
+    """(a, others, tree) of what links, checked once per pair against whole sets: the documents that a links with in
+    other classes (several rows of one a add up), and the partners that keep every group connected.
 
     Pairs are checked family by family (a component of the candidate graph), large families tile by tile: a set
-    travels once per tile pair it is needed in and not once per pair.
+    travels once per tile pair it is needed in and not once per pair, and no row per pair is made.
     """
-    family = components(pairs, "a", "b").withColumnRenamed("component", "family")
+    family = components(_edges(candidates, "tree"), "a", "b").withColumnRenamed("component", "family")
     size = family.groupBy("family").agg(F.count("*").alias("members"))
-    family = family.join(size, "family").withColumn("tile", F.pmod(F.xxhash64("node"), F.ceil(F.col("members") / tile)).cast("int"))
-    placed = pairs.join(family.select(F.col("node").alias("a"), "family", F.col("tile").alias("ta")), "a").join(family.select(F.col("node").alias("b"), F.col("tile").alias("tb")), "b")
-    placed = stored(placed.select("family", F.least("ta", "tb").alias("tile_a"), F.greatest("ta", "tb").alias("tile_b"), "a", "b"), "op5-placed")
-    needed = placed.select("family", "tile_a", "tile_b", F.explode(F.array("a", "b")).alias("fp")).distinct()
-    held = needed.join(_present(sets, needed).dropDuplicates(["fp"]), "fp")
+    family = family.join(size, "family").select(F.col("node").alias("a"), "family", "members")
+    placed = candidates.select("a", "partners").join(family, "a").select("a", "partners", "family", "members")
+    placed = stored(placed.mapInArrow(_place(tile), "family binary, tile_a int, tile_b int, pairs binary"), "op5-placed")
+    needed = placed.mapInArrow(_ends, "family binary, tile_a int, tile_b int, fp binary").distinct()
+    held = needed.join(_present(sets, needed).dropDuplicates(["fp"]), "fp").join(classes.select("fp", "copies"), "fp")
 
     def run(key, left, right):
-        grams = {fp: np.frombuffer(raw, np.uint64) for fp, raw in zip(right.column("fp").to_pylist(), right.column("grams").to_pylist())}
-        out = ([], [])
-        for a, b in zip(left.column("a").to_pylist(), left.column("b").to_pylist()):
-            both = np.concatenate([grams[a], grams[b]])
-            both.sort()
-            inter = int((both[1:] == both[:-1]).sum())
-            if 100 * inter >= percent * (len(both) - inter):
-                out[0].append(a)
-                out[1].append(b)
-        return pa.table([pa.array(x, pa.binary()) for x in out], names=["a", "b"])
-
-    held = held.select(F.col("family").alias("f"), F.col("tile_a").alias("i"), F.col("tile_b").alias("j"), "fp", "grams")
-    return placed.groupBy("family", "tile_a", "tile_b").cogroup(held.groupBy("f", "i", "j")).applyInArrow(run, "a binary, b binary")
+        fps = right.column("fp").to_pylist()
+        grams = {fp: np.frombuffer(raw, np.uint64) for fp, raw in zip(fps, right.column("grams").to_pylist())}
+        copies = dict(zip(fps, right.column("copies").to_pylist()))
+        linked = []
+        for raw in left.column("pairs").to_pylist():
+            for k in range(0, len(raw), 2 * FP_BYTES):
+                a, b = raw[k : k + FP_BYTES], raw[k + FP_BYTES : k + 2 * FP_BYTES]
+                both = np.concatenate([grams[a], grams[b]])
+                both.sort()
+                inter = int((both[1:] == both[:-1]).sum())
+                if 100 * inter >= percent * (len(both) - inter):
+                    linked.append((a, b))
+        others: dict[bytes, int] = {}
+        for a, b in linked:
+            others[a] = others.get(a, 0) + copies[b]
+            others[b] = others.get(b, 0) + copies[a]
+        tree = _forest(linked)
+        return pa.table({"a": pa.array(list(others), pa.binary()), "others": pa.array(list(others.values()), pa.int64()), "tree": pa.array([b"".join(tree.get(a, ())) for a in others], pa.binary())})
+
+    held = held.select(F.col("family").alias("f"), F.col("tile_a").alias("i"), F.col("tile_b").alias("j"), "fp", "grams", "copies")
+    return placed.groupBy("family", "tile_a", "tile_b").cogroup(held.groupBy("f", "i", "j")).applyInArrow(run, "a binary, others bigint, tree binary")
 
 
 def jaccard_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id and n_links (documents it links with, copies included)."""
     bounded_batches(docs.sparkSession)
     sets = stored(shingle_sets(docs, doc_id, text, n), "op5-sets")
-    links = stored(verify(stored(candidate_pairs(sets, percent), "op5-pairs"), sets, percent), "op5-links")
-    classes = sets.where("n_shingles > 0").groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("copies"))
+    classes = stored(sets.where("n_shingles > 0").groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("copies")), "op5-copies")
+    links = stored(verify(stored(candidate_lists(sets, percent), "op5-pairs"), sets, classes, percent), "op5-links")
     # a class is named by its fingerprint while labels travel, then every component takes its smallest document
-    found = components(links, "a", "b")
+    found = components(_edges(links, "tree"), "a", "b")
     grouped = stored(classes.join(found.withColumnRenamed("node", "fp"), "fp", "left").withColumn("component", F.coalesce("component", "fp")), "op5-classes")
     lowest = grouped.groupBy("component").agg(F.min("low").alias("component_id"))
-    both = links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    degree = both.join(grouped.select(F.col("fp").alias("b"), "copies"), "b").groupBy(F.col("a").alias("fp")).agg(F.sum("copies").alias("others"))
+    degree = links.groupBy(F.col("a").alias("fp")).agg(F.sum("others").alias("others"))
     named = grouped.join(lowest, "component").join(degree, "fp", "left").select("fp", "component_id", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
     filled = F.col("n_shingles") > 0
     return (
