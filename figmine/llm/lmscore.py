@@ -29,12 +29,14 @@ from .common import bounded_batches, remainder, stored
 
 BITS_PER_KEY = 12
 PROBES = 4
-#: Distinct grams in a shard, aimed at; a shard of 2 million grams is about 4 MB of filter or 24 MB of exact counts.
-SHARD_GRAMS = 2_000_000
+#: Distinct grams in a shard, aimed at; a shard of 1 million grams is about 2 MB of filter or 16 MB of exact counts.
+SHARD_GRAMS = 1_000_000
 #: Bytes of shards that one pass holds.
 HELD_BYTES = 400 << 20
 END = np.uint64(0x5851F42D4C957F2D)
+#: Tokens that a worker holds before it passes partial counts on.
 COUNTED_BATCH = 1 << 20
+SENT_BYTES = 1 << 20
 
 
 def _tokens(step: V.Step) -> tuple[np.ndarray, np.ndarray]:
@@ -78,18 +80,19 @@ def _count(shards: int):
         size = 0
 
         def flush():
-            rows = [r for kind in (1, 2) if held[kind] for r in pack(held[kind], kind)]
-            held[1], held[2] = [], []
-            return pa.RecordBatch.from_arrays(
-                [
-                    pa.array([r[0] for r in rows], pa.int32()),
-                    pa.array([r[1] for r in rows], pa.int32()),
+            """Record batches of about ``SENT_BYTES``: a batch is one buffer outside the heap of the executor."""
+            rows, sent = [], 0
+            for kind in (1, 2):
+                parts, held[kind] = held[kind], []
+                for _, shard, h, c in pack(parts, kind) if parts else ():
                     # pairs travel as 40 bits, which the filter's own error rate dwarfs; tokens whole
-                    pa.array([r[2].tobytes() if r[0] == 1 else _narrow(r[2]) for r in rows], pa.binary()),
-                    pa.array([_small(r[3]) for r in rows], pa.binary()),
-                ],
-                names=["kind", "shard", "grams", "counts"],
-            )
+                    rows.append((kind, shard, h.tobytes() if kind == 1 else _narrow(h), _small(c)))
+                    sent += len(rows[-1][2]) + len(rows[-1][3])
+                    if sent > SENT_BYTES:
+                        yield _batch(rows)
+                        rows, sent = [], 0
+            if rows:
+                yield _batch(rows)
 
         for batch in batches:
             for _, step in V.steps(batch.column(0)):
@@ -98,15 +101,20 @@ def _count(shards: int):
                 held[1].append(tokens)
                 held[2].append(pairs[pairs != 0])
                 size += len(tokens)
-                if size >= 3 * COUNTED_BATCH:
-                    yield flush()
+                if size >= COUNTED_BATCH:
+                    yield from flush()
                     size = 0
         if size:
-            yield flush()
+            yield from flush()
 
     return run
 
 
+def _batch(rows: list) -> pa.RecordBatch:
+    kinds = (pa.int32(), pa.int32(), pa.binary(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows), kinds)], names=["kind", "shard", "grams", "counts"])
+
+
 def _narrow(h: np.ndarray) -> bytes:
     return np.ascontiguousarray(h.view(np.uint8).reshape(-1, 8)[:, :5]).tobytes()
 
