@@ -158,14 +158,31 @@ class BloomShard:
                 out[at] = True
         return BloomShard(np.packbits(out, bitorder="little"))
 
-    def levels(self, grams: np.ndarray) -> np.ndarray:
-        """Level of each gram, by probing until a miss."""
+
+class Filters:
+    """The filters of many shards as one string of bits, so that a probe serves grams of all shards at once."""
+
+    def __init__(self, parts: dict[int, bytes], shards: int):
+        self.base, self.size = np.zeros(shards, np.uint64), np.zeros(shards, np.uint64)
+        at = 0
+        for shard, raw in parts.items():
+            self.base[shard], self.size[shard] = 8 * at, 8 * len(raw)
+            at += len(raw)
+        self.bits = np.empty(at, np.uint8)
+        for shard, raw in parts.items():
+            first = int(self.base[shard]) // 8
+            self.bits[first : first + len(raw)] = np.frombuffer(raw, np.uint8)
+
+    def levels(self, grams: np.ndarray, shard: np.ndarray) -> np.ndarray:
+        """Level of each gram, by probing until a miss; 0 for the shards that are not here."""
         out = np.zeros(len(grams), np.int8)
-        live = np.arange(len(grams))
+        live = np.flatnonzero(self.size[shard])
         level = 1
         while len(live) and level < 64:
+            base = self.base[shard[live]]
             hit = np.ones(len(live), bool)
-            for at in _bits(grams[live], level, self.size):
+            for at in _bits(grams[live], level, self.size[shard[live]]):
+                at += base
                 hit &= (self.bits[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & 1 > 0
             live = live[hit]
             out[live] = level
@@ -227,32 +244,28 @@ def train(docs: DataFrame, text: str = "text", shard_grams: int = SHARD_GRAMS, h
 
 def _lookup(broadcasts: list, shards: int):
     """Fills in, for the shards of this pass, the count and level of each token and the level of each pair."""
-    tables = {}
+    exact = {}
+    raw: dict[int, dict[int, bytes]] = {1: {}, 2: {}}
     for kind, shard, b in broadcasts:
         bits, grams, counts = b.value
-        tables[kind, shard] = (BloomShard(np.frombuffer(bits, np.uint8)), np.frombuffer(grams, np.uint64), np.frombuffer(counts, np.int64))
-
-    def by_shard(h):
-        """Places of the hashes of each shard, as slices of one order."""
-        shard = _shard_of(h, shards)
-        order = np.argsort(shard, kind="stable")
-        cuts = np.searchsorted(shard[order], np.arange(shards + 1))
-        return lambda k: order[cuts[k] : cuts[k + 1]]
+        raw[kind][shard] = bits
+        if kind == 1:
+            exact[shard] = (np.frombuffer(grams, np.uint64), np.frombuffer(counts, np.int64))
+    words, doubles = Filters(raw[1], shards), Filters(raw[2], shards)
+    low = np.uint64((1 << 40) - 1)
 
     def fill(tokens, pairs, counts, levels, pair_levels):
         unique, inverse = np.unique(tokens, return_inverse=True)
-        c, level = np.zeros(len(unique), np.int64), np.zeros(len(unique), np.int8)
-        of, pair_of = by_shard(unique), by_shard(pairs)
-        for (kind, shard), (bloom, grams, exact) in tables.items():
-            if kind == 1:
-                own = of(shard)
-                at = V.position_of(grams, unique[own])
-                c[own[at >= 0]] = exact[at[at >= 0]]
-                level[own] = bloom.levels(unique[own] & np.uint64((1 << 40) - 1))
-            else:
-                own = pair_of(shard)
-                own = own[pairs[own] != 0]
-                pair_levels[own] = np.maximum(pair_levels[own], bloom.levels(pairs[own] & np.uint64((1 << 40) - 1)))
+        shard = _shard_of(unique, shards)
+        c, level = np.zeros(len(unique), np.int64), words.levels(unique & low, shard)
+        order = np.argsort(shard, kind="stable")
+        cuts = np.searchsorted(shard[order], np.arange(shards + 1))
+        for k, (grams, held) in exact.items():
+            own = order[cuts[k] : cuts[k + 1]]
+            at = V.position_of(grams, unique[own])
+            c[own[at >= 0]] = held[at[at >= 0]]
+        own = np.flatnonzero(pairs)
+        pair_levels[own] = np.maximum(pair_levels[own], doubles.levels(pairs[own] & low, _shard_of(pairs[own], shards)))
         np.maximum(counts, c[inverse], out=counts)
         np.maximum(levels, level[inverse], out=levels)
 
