@@ -63,10 +63,17 @@ def check_suffixes(df: DataFrame, keys=("id",)) -> list[str]:
     return [c for c in df.columns if c not in keys and not c.endswith(("_src", "_gen", "_exp"))]
 
 
+def release_groups(rows: DataFrame, cfg: PipelineConfig = DEFAULT) -> DataFrame:
+    """(id, group_id): elements are one group only where the bit hash and the vector both put them together."""
+    texts = rows.select("id", "text")
+    by_hash = dedup.hash_groups(fingerprints.sign_hash(texts).select("id", "hash"), cfg.hamming, cfg.bands, cfg.band_bits)
+    by_vector = dedup.vector_groups(fingerprints.embed(texts).select("id", "vec"), cfg.similarity)
+    return dedup.intersect_groups(by_hash, by_vector).select("id", "group_id")
+
+
 def flagship(spark, sf_dir: str) -> DataFrame:
     rows = document_elements(spark, sf_dir)
-    hashed = fingerprints.sign_hash(rows.select("id", "text"))
-    return prepare(rows, dedup.hash_groups(hashed.select("id", "hash")))
+    return prepare(rows, release_groups(rows))
 
 
 # ---- workloads over detections and volumes

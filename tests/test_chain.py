@@ -113,3 +113,18 @@ def test_failed_calls_are_retried_and_then_null(spark):
 def test_best_epoch_stops_at_patience(spark):
     log = spark.createDataFrame([(1, 0.5), (2, 0.6), (3, 0.55), (4, 0.5), (5, 0.9)], "epoch int, value double")
     assert elements.best_epoch(log, 2, 10).first()["epoch"] == 2
+
+
+def test_release_keeps_what_only_one_grouping_joins(spark, tmp_path):
+    import hashlib
+
+    from figmine.plans import analysis
+
+    sure = [k for k in range(100) if int(hashlib.md5(f"{k}:det".encode()).hexdigest()[:8], 16) / 2**32 > 0.65][:3]
+    near = "w21 w20 w105 w348 w132 w285 w161 "  # with either ending: 15 bits apart, cosine 0.83
+    texts = [near + "w187", near + "w190", near + "w187"]
+    spark.createDataFrame([(k, t, "en", "s") for k, t in zip(sure, texts)], "doc_id long, text string, lang string, source string").write.parquet(str(tmp_path / "documents.parquet"))
+    hashed = fingerprints.sign_hash(spark.read.parquet(str(tmp_path / "documents.parquet")).select(F.col("doc_id").alias("id"), "text"))
+    assert {r["group_id"] for r in dedup.hash_groups(hashed.select("id", "hash")).collect()} == {sure[0]}
+    got = {r["group_gen"] for r in analysis.flagship(spark, str(tmp_path)).collect()}
+    assert got == {sure[0], sure[1]}
