@@ -204,3 +204,44 @@ def test_empty_tables(spark):
     assert licenses.scan_licenses(none).count() == 0
     assert lmscore.score(none.select("doc_id", "text"), lmscore.train(none)).count() == 0
     assert language.predict(none.select("doc_id", "text"), language.train(none)).count() == 0
+
+
+def _samples(tree, blank, rng):
+    """A string of a parsed regular expression; look-arounds are left to the caller."""
+    out = ""
+    for op, arg in tree:
+        op = str(op)
+        if op == "LITERAL":
+            out += chr(arg)
+        elif op == "IN":
+            kind, value = rng.choice([x for x in arg if str(x[0]) != "NEGATE"])
+            out += {"LITERAL": lambda: chr(value), "RANGE": lambda: chr(rng.randint(*value)), "CATEGORY": lambda: blank[0] if "SPACE" in str(value) else "7"}[str(kind)]()
+        elif op == "MAX_REPEAT":
+            low, high, inner = arg
+            blanks = len(inner) == 1 and str(inner[0][0]) == "IN" and "SPACE" in str(inner[0][1])
+            out += blank if blanks and low else "".join(_samples(inner, blank, rng) for _ in range(rng.randint(low, min(int(high), max(low, 1)))))
+        elif op == "SUBPATTERN":
+            out += _samples(arg[3], blank, rng)
+        elif op == "BRANCH":
+            out += _samples(rng.choice(arg[1]), blank, rng)
+    return out
+
+
+def test_every_license_rule_passes_its_gate_bare_and_wrapped():
+    from re import _parser
+
+    rng = random.Random(5)
+    for _, label, keyword, rule in licenses.rules():
+        assert not re.search(r"\s", keyword)
+        for blank in (" ", "\n", "  "):
+            made = [x for x in (_samples(_parser.parse(rule), blank, rng) for _ in range(40)) if re.search(rule, x)]
+            assert made, rule
+            for text in made:
+                assert keyword in text and re.search(licenses._GATE, text), (label, text)
+
+
+def test_wrapped_and_bare_license_names(spark):
+    texts = ["GNU Lesser General\nPublic License v2.1", "Expat License", "BSD-3-Clause", "all rights\nreserved", "placed in the  public\ndomain", "Creative\nCommons Attribution 4.0", "SIL Open\nFont License", "released\nunder MIT"]
+    got = {r["doc_id"]: {d["label"] for d in r["detections"]} for r in licenses.scan_licenses(docs(spark, texts)).collect()}
+    want = ["lgpl-2.1", "mit", "bsd-3-clause", "proprietary", "public-domain", "cc-by-4", "ofl", "mit"]
+    assert [label in got[k] for k, label in enumerate(want)] == [True] * 8
