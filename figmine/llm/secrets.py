@@ -1,6 +1,7 @@
 """Secret scan: candidate strings, and a random forest that removes the false positives. DataFrame functions only.
 
-Candidates are unbroken runs that mix digits with letters, and values assigned to a secret-like name. Each is described
+Candidates are unbroken runs that mix digits with letters, with dots between their parts, and values assigned to a name
+that ends like a secret's; both are taken to their end, however long. Each is described
 by its length, the transitions between characters, how much of it dictionary words cover, whether it looks like a path,
 and the words next to it. The forest is grown by Spark ML from labelled findings (a table of context, candidate and
 label; ``labelled_findings`` makes a default one) and then written out as one column expression, so scoring is part of
@@ -22,17 +23,21 @@ from pyspark.sql import functions as F
 #: Rows of labelled findings the forest is fitted on, at most.
 TRAIN_ROWS = 6_000
 
+_NAME = r"(?i:password|passwd|secret|token|api[_\-]?key|access[_\-]?key|auth)"
+_SET = r"\s{0,3}[=:]\s{0,3}[\"']?"
+# a dot belongs to a run only between two of its characters; possessive, so that the length costs no stack
+_RUN = r"[A-Za-z0-9+/=_\-]"
 CANDIDATE = (
     r"(?<![A-Za-z0-9+/=_\-.@])(?:"
-    r"(?i:password|passwd|secret|token|api[_\-]?key|access[_\-]?key|auth)\s{0,3}[=:]\s{0,3}[\"']?[^\s\"',;]{6,200}"
-    r"|(?=[A-Za-z+/=_\-]{0,60}[0-9])(?=[0-9+/=_\-]{0,60}[A-Za-z])[A-Za-z0-9+/=_\-]{12,200}"
+    rf"[A-Za-z0-9_.\-]*{_NAME}{_SET}[^\s\"',;]{{6,}}+"
+    rf"|(?=[A-Za-z+/=_\-.]*+[0-9])(?=[0-9+/=_\-.]*+[A-Za-z])(?=(?:{_RUN}|\.(?={_RUN})){{12}}){_RUN}++(?:\.{_RUN}++)*+"
     r")"
 )
 #: A cheap test that passes over texts without any candidate.
-_GATE = r"(?i:password|passwd|secret|token|api[_\-]?key|access[_\-]?key|auth)\s{0,3}[=:]|[0-9][A-Za-z0-9+/=_\-]{0,11}[A-Za-z]|[A-Za-z][A-Za-z0-9+/=_\-]{0,11}[0-9]"
-_ASSIGNED = r"^(?i:password|passwd|secret|token|api[_\-]?key|access[_\-]?key|auth)\s{0,3}[=:]\s{0,3}[\"']?"
+_GATE = _NAME + r"\s{0,3}[=:]|[0-9][+/=_\-.]*+[A-Za-z]|[A-Za-z][+/=_\-.]*+[0-9]"
+_ASSIGNED = rf"^[A-Za-z0-9_.\-]*{_NAME}{_SET}"
 
-_NEAR_SECRET = r"(?i)\b(password|passwd|secret|token|api.?key|access.?key|credential|auth|bearer|private)\b"
+_NEAR_SECRET = r"(?i)(?<![A-Za-z0-9])(password|passwd|secret|token|api.?key|access.?key|credential|auth|bearer|private)(?![A-Za-z0-9])"
 _NEAR_HARMLESS = r"(?i)\b(commit|sha1|checksum|digest|uuid|version|build|index|href|src|file|path|image|isbn|example|page|figure)\b"
 
 #: Words that cover much of harmless identifiers.
@@ -86,6 +91,7 @@ def labelled_findings(spark: SparkSession, rows: int = TRAIN_ROWS) -> DataFrame:
     """
     hexed = lambda salt: F.sha2(F.concat(F.col("id").cast("string"), F.lit(salt)), 256)
     mixed = lambda salt: F.regexp_replace(F.base64(F.unhex(hexed(salt))), "[=]", "")
+    safe = lambda salt: F.translate(mixed(salt), "+/", "-_")
     upper = lambda salt, n: F.upper(F.substring(F.regexp_replace(mixed(salt), "[^A-Za-z2-7]", "Q"), 1, n))
     number = lambda salt: F.conv(F.substring(hexed(salt), 1, 13), 16, 10)
     pick = lambda salt, words: F.element_at(F.array(*[F.lit(w) for w in words]), (F.crc32(F.concat(F.col("id").cast("string"), F.lit(salt)).cast("binary")) % len(words) + 1).cast("int"))
@@ -101,6 +107,14 @@ def labelled_findings(spark: SparkSession, rows: int = TRAIN_ROWS) -> DataFrame:
         (1, prose, F.concat(F.lit("sk_live_"), F.substring(hexed("f"), 1, 24))),
         (1, prose, F.concat(F.upper(F.lit('token = "')), F.upper(F.substring(hexed("g"), 1, 40)))),
         (1, prose, F.concat(F.lit("AIza"), F.substring(F.regexp_replace(mixed("i"), "[+/]", "_"), 1, 35))),
+        (1, prose, F.concat(pick("v", ["DB_PASSWORD = ", "client_secret: ", "AWS_SECRET_ACCESS_KEY=", "my-app.auth: ", "x_api_key="]), F.substring(safe("v"), 1, 40))),
+        (1, prose, F.concat(pick("x", ["DB_PASSWORD = ", "client_secret: ", "user.passwd=", "ACCESS_TOKEN: "]), F.substring(safe("x"), 1, 8))),
+        (1, prose, F.concat(pick("y", ["DB_PASSWORD = ", "password=", "client_secret: "]), pick("ya", DICTIONARY), pick("yb", DICTIONARY), F.substring(number("y"), 1, 2), F.substring(hexed("yc"), 1, 1))),
+        (1, prose, F.concat(F.lit("eyJ"), F.substring(safe("z"), 1, 17), F.lit(".eyJ"), F.substring(safe("za"), 1, 40), F.lit("."), F.substring(safe("zb"), 1, 43))),
+        (1, prose, F.concat(pick("aa", ["token = ", "SERVICE_SECRET=", "secret: "]), hexed("ab"), safe("ac"), hexed("ad"), safe("ae"))),
+        (0, prose, F.concat(F.lit("www."), word("af"), F.lit(".org/"), word("ag"), F.substring(number("ag"), 1, 2))),
+        (0, prose, F.concat(word("ah"), F.lit("."), word("ai"), F.substring(number("ai"), 1, 2))),
+        (0, prose, F.concat(F.lit("lib"), pick("aj", DICTIONARY), F.lit("-"), F.substring(number("aj"), 1, 1), F.lit("."), F.substring(number("ak"), 1, 2), F.lit(".tar.gz"))),
         (0, harmless, F.substring(hexed("j"), 1, 40)),
         (0, prose, F.concat_ws("-", F.substring(hexed("l"), 1, 8), F.substring(hexed("l"), 9, 4), F.substring(hexed("l"), 13, 4), F.substring(hexed("l"), 17, 4), F.substring(hexed("l"), 21, 12))),
         (0, prose, F.concat(word("m"), F.substring(number("m"), 1, 2))),

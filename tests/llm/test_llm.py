@@ -245,3 +245,14 @@ def test_wrapped_and_bare_license_names(spark):
     got = {r["doc_id"]: {d["label"] for d in r["detections"]} for r in licenses.scan_licenses(docs(spark, texts)).collect()}
     want = ["lgpl-2.1", "mit", "bsd-3-clause", "proprietary", "public-domain", "cc-by-4", "ofl", "mit"]
     assert [label in got[k] for k, label in enumerate(want)] == [True] * 8
+
+
+def test_secrets_behind_longer_names_with_dots_and_of_any_length(spark):
+    forest = secrets.train(secrets.labelled_findings(spark))
+    long = "".join(f"{(k * 2654435761) % 2**32:08x}" for k in range(1, 200))
+    jwt = "eyJhbGciOiJIUzI1NiJ9.eyJzdWIiOiIxMjM0NTY3ODkwIn0.dozjgNryP4J3jVmNHl0w5N_XgL0n3I9PlFUP0THsR8U"
+    texts = ["set DB_PASSWORD = hunter22x now", "client_secret: Xk29fjs8 end", f"header {jwt}. Then", f"token = {long} end", "AWS_SECRET_ACCESS_KEY=wJalrXUtnFEMIK7MDENGbPxRfiCYzz9qLw81kdRt x"]
+    got = {r["doc_id"]: r["text"] for r in secrets.redact_secrets(docs(spark, texts), forest).collect()}
+    assert [got[k] for k in range(5)] == ["set DB_PASSWORD = [SECRET] now", "client_secret: [SECRET] end", "header [SECRET]. Then", "token = [SECRET] end", "AWS_SECRET_ACCESS_KEY=[SECRET] x"]
+    many = "a1." * 50_000 + "z" * 300_000
+    assert secrets.find_secrets(docs(spark, [many]), forest).selectExpr("size(findings) n").first()["n"] == 1
