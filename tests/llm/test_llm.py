@@ -256,3 +256,30 @@ def test_secrets_behind_longer_names_with_dots_and_of_any_length(spark):
     assert [got[k] for k in range(5)] == ["set DB_PASSWORD = [SECRET] now", "client_secret: [SECRET] end", "header [SECRET]. Then", "token = [SECRET] end", "AWS_SECRET_ACCESS_KEY=[SECRET] x"]
     many = "a1." * 50_000 + "z" * 300_000
     assert secrets.find_secrets(docs(spark, [many]), forest).selectExpr("size(findings) n").first()["n"] == 1
+
+
+def test_every_sign_is_decoded_at_every_place():
+    from collections import Counter
+
+    for sign, letters in toxicity.STANDS_FOR.items():
+        for c in letters:
+            for word in (f"{c}wxyk", f"kw{c}yx", f"kxyw{c}"):
+                tri = Counter()
+                for w in [word, "a", "such"] * 20:
+                    w = f"^^{w}^"
+                    tri.update(w[k : k + 3] for k in range(len(w) - 2))
+                m = toxicity.CharacterModel(dict(tri))
+                assert m.restore(f"such {word.replace(c, sign)} a") == f"such {word} a", (sign, word)
+
+
+def test_end_marks_and_lone_letters_stay():
+    from collections import Counter
+
+    tri = Counter()
+    for w in ["moron", "idiot", "such", "a", "great", "garbage"] * 5:
+        w = f"^^{w}^"
+        tri.update(w[k : k + 3] for k in range(len(w) - 2))
+    m = toxicity.CharacterModel(dict(tri))
+    others = set()
+    assert m.restore("such a m o r o n", others) == "such a moron" and "amoron" in others
+    assert m.restore("Great! 1d10t! 9arba9e idio7") == "Great! idiot! garbage idiot"
