@@ -3,8 +3,9 @@
 A known word adds its log frequency in each language. A word that training did not see falls back to its character
 n-grams, longest first: the first length at which any n-gram is known decides, down to single characters.
 
-The tables are learned from at most ``TRAIN_ROWS`` labelled rows, picked by a hash of the id, and hold at most
-``ENTRIES`` (language, gram) counts, so what is broadcast has a fixed bound; scoring covers every word of every text.
+The tables are learned from about ``TRAIN_ROWS`` labelled rows at most, picked by a hash of the id in each language so
+that a rare language keeps its rows, and hold every gram counted there more than once (single characters always);
+scoring covers every word of every text.
 
 Nulls and edge cases: a null text, or one without a letter, is ``und`` with score 0, and so is every text when
 nothing was learned; rows with a null language or id teach nothing; a null id is still predicted, as not held out;
@@ -15,6 +16,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -22,7 +24,6 @@ from . import textvec as V
 from .common import bounded_batches, remainder
 
 TRAIN_ROWS = 20_000
-ENTRIES = 250_000
 LONGEST = 5
 
 
@@ -63,16 +64,16 @@ def _count(batches):
 class LanguageModel:
     """Per gram length (0: words) a sorted hash table and log frequencies by language."""
 
-    def __init__(self, rows):
-        self.langs = sorted({r[0] for r in rows})
-        place = {lang: k for k, lang in enumerate(self.langs)}
+    def __init__(self, langs: list[str], rows: pa.Table):
+        """``rows``: place of the language, gram length, hash and count."""
+        self.langs = langs
+        place, length, gram, count = (rows.column(k).to_numpy() for k in range(4))
         self.tables = {}
         for n in range(LONGEST + 1):
-            own = [r for r in rows if r[1] == n]
-            keys, inverse = np.unique(np.array([r[2] for r in own], np.int64).astype(np.uint64) if own else np.zeros(0, np.uint64), return_inverse=True)
-            counts = np.zeros((len(keys), len(self.langs)))
-            for k, r in zip(inverse, own):
-                counts[k, place[r[0]]] += r[3]
+            own = length == n
+            keys, inverse = np.unique(gram[own].astype(np.int64).view(np.uint64), return_inverse=True)
+            counts = np.zeros((len(keys), len(langs)))
+            np.add.at(counts, (inverse, place[own]), count[own])
             logs = np.log((counts + 0.2) / (counts.sum(axis=0) + 0.2 * max(len(keys), 1))) if len(keys) else counts
             self.tables[n] = (keys, logs)
 
@@ -108,12 +109,33 @@ def sampled(rows: DataFrame, doc_id: str, bound: int) -> DataFrame:
     return rows.where(F.pmod(F.xxhash64(F.col(doc_id).cast("string"), F.lit("sample")), F.lit(1 << 20)) < int((1 << 20) * bound / total))
 
 
-def train(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", train_rows: int = TRAIN_ROWS, entries: int = ENTRIES) -> LanguageModel:
+def shares(counts: dict[str, int], bound: int) -> dict[str, int]:
+    """Rows to take of each language, ``bound`` in all at most: small ones whole, the rest in equal parts."""
+    out, left = {}, bound
+    for k, (lang, n) in enumerate(sorted(counts.items(), key=lambda x: (x[1], x[0]))):
+        out[lang] = min(n, max(1, left // (len(counts) - k)))
+        left -= out[lang]
+    return out
+
+
+def sampled_by(rows: DataFrame, doc_id: str, lang: str, bound: int) -> DataFrame:
+    """About ``bound`` of the rows at most, picked by a hash of the id within each language."""
+    counts = {r[0]: r[1] for r in rows.groupBy(lang).agg(F.count("*")).collect()}
+    if sum(counts.values()) <= bound:
+        return rows
+    cuts = F.create_map(*[F.lit(x) for k, n in shares(counts, bound).items() for x in (k, -(-(n << 20) // counts[k]))])
+    return rows.where(F.pmod(F.xxhash64(F.col(doc_id).cast("string"), F.lit("sample")), F.lit(1 << 20)) < F.element_at(cuts, F.col(lang)))
+
+
+def train(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", train_rows: int = TRAIN_ROWS) -> LanguageModel:
     rows = docs.where(F.col(lang).isNotNull() & (remainder(doc_id, 5) != 0))
-    counted = sampled(rows.select(doc_id, text, lang), doc_id, train_rows).select(text, lang).mapInArrow(_count, "lang string, n int, gram bigint, count bigint")
+    counted = sampled_by(rows.select(doc_id, text, lang), doc_id, lang, train_rows).select(text, lang).mapInArrow(_count, "lang string, n int, gram bigint, count bigint")
     table = counted.groupBy("lang", "n", "gram").agg(F.sum("count").alias("count")).where((F.col("count") > 1) | (F.col("n") == 1))
-    best = table.select("lang", "n", "gram", "count").orderBy(F.desc("count"), "n", "gram", "lang").limit(entries).toPandas()
-    return LanguageModel(list(best.itertuples(index=False, name=None)))
+    found = table.select("lang", "n", "gram", "count").toArrow()
+    langs = found.column(0).unique().to_pylist()
+    names = sorted(langs)
+    place = pc.index_in(found.column(0), pa.array(names, pa.string()))
+    return LanguageModel(names, found.set_column(0, "lang", place))
 
 
 def _no_letter(column, first: int, step: V.Step) -> np.ndarray:

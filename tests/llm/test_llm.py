@@ -283,3 +283,12 @@ def test_end_marks_and_lone_letters_stay():
     others = set()
     assert m.restore("such a m o r o n", others) == "such a moron" and "amoron" in others
     assert m.restore("Great! 1d10t! 9arba9e idio7") == "Great! idiot! garbage idiot"
+
+
+def test_language_tables_keep_a_rare_language_whole(spark):
+    rows = [(k, " ".join(f"w{j}" for j in range(k % 7, 60)), "en", "s", 0.0) for k in range(400)] + [(1000 + k, "palabra sola rara", "es", "s", 0.0) for k in range(10)]
+    model = language.train(spark.createDataFrame(rows, DOC), train_rows=60)
+    keys, logs = model.tables[0]
+    es = np.exp(logs[:, model.langs.index("es")])
+    assert model.langs == ["en", "es"] and (es > 0.1).sum() == 3
+    assert language.shares({"en": 900, "es": 5, "de": 95}, 100) == {"es": 5, "de": 47, "en": 48}
