@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+from collections import Counter
 from functools import partial
 
+import pyarrow as pa
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -95,11 +97,24 @@ def logprob_histogram(spark, sf_dir, sample: int = 10_000):
 _add("w10_logprob_hist", logprob_histogram, f"WITH {_SCORED}, m AS (SELECT doc_id, round(avg(lp), 6) AS x FROM s GROUP BY 1 ORDER BY md5(doc_id::VARCHAR) LIMIT 10000) SELECT CASE WHEN x < -12 THEN 0 WHEN x >= 0 THEN 25 ELSE floor((x + 12) * 2) + 1 END::INTEGER AS bin, count(*) AS captions FROM m GROUP BY 1")
 
 
+def gram_counts(docs, n: int = 3):
+    """(lang, gram, c): lower-case character n-grams of whole texts, each text walked once."""
+
+    def run(batches):
+        for batch in batches:
+            counts: dict = {}
+            for lang, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                counts.setdefault(lang, Counter()).update(text[k : k + n] for k in range(max(len(text) - n + 1, 1)))
+            for lang, c in counts.items():
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(c), pa.string()), pa.array(list(c), pa.string()), pa.array(list(c.values()), pa.int64())], names=["lang", "gram", "c"])
+
+    lower = docs.select("lang", F.lower(F.coalesce("text", F.lit(""))).alias("text"))
+    return lower.mapInArrow(run, "lang string, gram string, c bigint").groupBy("lang", "gram").agg(F.sum("c").alias("c"))
+
+
 def language_profiles(docs, n: int = 3):
     """(lang, gram, weight): log shares of lower-case character n-grams."""
-    text = F.lower(F.coalesce("text", F.lit("")))
-    grams = F.explode(F.transform(F.sequence(F.lit(1), F.greatest(F.length(text) - n + 1, F.lit(1))), lambda i: F.substring(text, i, n)))
-    c = docs.select("lang", grams.alias("gram")).groupBy("lang", "gram").agg(F.count("*").alias("c"))
+    c = gram_counts(docs, n)
     per = c.groupBy("lang").agg(F.sum("c").alias("total"), F.count("*").alias("v"))
     return c.join(F.broadcast(per), "lang").select("lang", "gram", F.log((F.col("c") + 1) / (F.col("total") + F.col("v"))).alias("weight"), F.log(1 / (F.col("total") + F.col("v"))).alias("unseen"))
 
@@ -107,8 +122,7 @@ def language_profiles(docs, n: int = 3):
 def language_agreement(spark, sf_dir):
     """Requested against detected language of the captions of held-out documents."""
     docs = C.read(spark, sf_dir, "documents").withColumn("u", C.unit_hash("doc_id", "lang"))
-    # profiles of captions: substrings of a short text, where a long one would be walked from its start for each gram
-    profiles = language_profiles(docs.where("u < 0.5").select("lang", elements.extractive_caption(F.col("text")).alias("text")))
+    profiles = language_profiles(docs.where("u < 0.5").select("lang", "text"))
     caption = F.lower(elements.extractive_caption(F.col("text")))
     held = docs.where("u >= 0.5").select("doc_id", "lang", caption.alias("caption")).where("caption IS NOT NULL")
     grams = held.select("doc_id", "lang", F.explode(F.transform(F.sequence(F.lit(1), F.greatest(F.length("caption") - 2, F.lit(1))), lambda i: F.substring("caption", i, 3))).alias("gram")).groupBy("doc_id", "lang", "gram").agg(F.count("*").alias("n"))

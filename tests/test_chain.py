@@ -128,3 +128,11 @@ def test_release_keeps_what_only_one_grouping_joins(spark, tmp_path):
     assert {r["group_id"] for r in dedup.hash_groups(hashed.select("id", "hash")).collect()} == {sure[0]}
     got = {r["group_gen"] for r in analysis.flagship(spark, str(tmp_path)).collect()}
     assert got == {sure[0], sure[1]}
+
+
+def test_language_profiles_read_whole_texts(spark):
+    from figmine.plans import chain_queries
+
+    rows = spark.createDataFrame([("en", "ab " * 60 + "xyz"), ("en", None), ("de", "Ü")], "lang string, text string")
+    got = {(r["lang"], r["gram"]): r["c"] for r in chain_queries.gram_counts(rows).collect()}
+    assert got["en", "xyz"] == 1 and got["en", "ab "] == 60 and got["en", ""] == 1 and got["de", "ü"] == 1
