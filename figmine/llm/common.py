@@ -10,20 +10,55 @@ from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors see; a temporary one is set only where the session names none (tests, one machine)."""
+    """The folder all executors see. On one machine, where the session names none, a temporary one; elsewhere an error."""
     sc = spark.sparkContext
     folder = sc._conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         current = sc._jsc.sc().getCheckpointDir()
-        folder = current.get() if current.isDefined() else tempfile.mkdtemp(prefix="figmine-")
+        if current.isDefined():
+            folder = current.get()
+        elif sc.master.startswith("local") and not sc.master.startswith("local-cluster"):
+            folder = tempfile.mkdtemp(prefix="figmine-")
+        else:
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     return folder.rstrip("/")
 
 
-def stored(df: DataFrame, label: str) -> DataFrame:
+def stored(df: DataFrame, label: str, compression: str = "snappy") -> DataFrame:
     """``df`` written once as Parquet in the shared folder and read back: cuts the lineage and survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return Scratch(df.sparkSession).put(df, label, compression)
+
+
+class Scratch:
+    """Written tables of one run, each dropped as soon as nothing reads it any more."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.folder, self.paths = spark, shared_folder(spark), {}
+
+    def put(self, df: DataFrame, label: str, compression: str = "zstd") -> DataFrame:
+        path = f"{self.folder}/{label}-{uuid.uuid4().hex}"
+        df.write.option("compression", compression).parquet(path)
+        back = self.spark.read.schema(df.schema).parquet(path)
+        self.paths[id(back)] = (back, path)
+        return back
+
+    def drop(self, *tables: DataFrame) -> None:
+        for table in tables:
+            _, path = self.paths.pop(id(table))
+            where = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def free_names(df: DataFrame, *names: str) -> list[str]:
+    """The names, changed until no column of ``df`` has them in any case of letters."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:

@@ -1,16 +1,18 @@
 """N-gram Jaccard join: documents whose sets of word n-grams overlap by a share of their union, and their groups.
 
-1. One scan turns each text into its sorted set of 64-bit n-gram hashes and a 128-bit fingerprint of that set. Texts
-   with equal sets are one class from then on, so copies never meet one another in the join.
-2. How common an n-gram is comes from a count sketch of fixed size (``SKETCH`` counters, over all classes).
-   (count, hash) orders the n-grams rare-first; any order gives the same links, this one gives short lists.
-3. Prefix filter: a class shows only the first n - ceil(t n) + 1 n-grams in that order. An n-gram that is alone in its
-   counter has no partner and is not sent.
+1. One scan turns each text into its set of 64-bit n-gram hashes and a 128-bit fingerprint of that set. Texts with equal
+   sets are one class from then on, so copies never meet one another in the join.
+2. The same scan asks how common each n-gram is. It writes its n-grams chunk by chunk (``CHUNK`` n-grams of one task),
+   sorted and cut into pieces of the hash range; a piece counts the n-grams of all chunks and answers each chunk with
+   those that occur more than once. Pieces follow the input, so the frequencies are as exact at any size. N-grams common
+   within a chunk are asked for once per chunk, so none makes a piece long.
+3. (count, hash) orders the n-grams of a class rare-first, and the prefix filter shows the first n - ceil(t n) + 1 of
+   them to others. Those that occur once come first in that order; they have no partner and are not sent.
 4. Classes meet where they show the same n-gram. There a pair must pass, in this order, the length filter, the first
    shared n-gram rule (a pair is looked at where its first common prefix n-gram is, and nowhere else), the positional
    filter, and the suffix filter, which bounds the overlap by how the n-grams of both spread over ``BINS`` bins.
    A list longer than ``TILE`` is dealt out as pairs of tiles, so no task holds an unbounded list and none is cut off.
-5. What is left is verified once per pair against the whole sets.
+5. What is left is verified once per pair against the whole sets, which are made again from the texts it needs.
 
 Nulls and edge cases: a null or blank text has an empty set and no link; fewer words than n make one n-gram of all of
 them; repeated rows are copies; a null id takes part but cannot name a group, and a group of null ids has a null
@@ -23,19 +25,28 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.graph import components
 from . import textvec as V
-from .common import bounded_batches, stored
-
-#: Counters of the frequency sketch, a byte each: 32 MB whatever the input. More n-grams than that only blur the order.
-SKETCH = 1 << 25
-#: Bits of the bitmap that marks wanted classes.
-MARKS = 1 << 22
-PIECE = 1 << 16
+from .common import Scratch, bounded_batches, free_names
+
+#: N-grams and documents of a chunk at most (but for the last text of it).
+CHUNK = 2_000_000
+CHUNK_DOCS = 60_000
+#: Bits by which a piece tells n-grams apart, and bytes of text a piece stands for: 64 values for each n-gram.
+VALUE_BITS = 28
+PIECE_BYTES = 24 << 20
+#: An n-gram in so many documents of a chunk is asked for once.
+HEAVY = 8
+#: Bits of the bitmap that keeps texts which nobody needs from being shuffled, and bits in a row of it.
+MARKS = 1 << 25
+MARK_ROW = 1 << 16
 BINS = 128
+#: Parts that the copies of one class are dealt to.
+SALTS = 4096
 TILE = 2048
 FP_BYTES = 16
 #: Lists up to this length are compared pair by pair, longer ones as arrays.
@@ -59,140 +70,250 @@ def _spread_of(grams: np.ndarray) -> bytes:
     return bins.astype(np.uint8 if bins.max() < 256 else np.uint32).tobytes()
 
 
-def shingle_sets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 3) -> DataFrame:
-    """(doc_id, fp, n_shingles, grams, spread): grams is the sorted set as little-endian unsigned 64-bit numbers,
-    spread how many of them fall into each of ``BINS`` bins."""
+def _sets(column: pa.Array, n: int):
+    """Yields (row, sorted set of n-grams) of each text."""
+    for first, step in V.steps(column):
+        start, end, bounds = step.words(V.SPACES)
+        hashes = step.span_hash(start, end)
+        for k in range(len(bounds) - 1):
+            yield first + k, _set_of(hashes[bounds[k] : bounds[k + 1]], n)
 
-    def run(batches):
-        for batch in batches:
-            ids = batch.column(0)
-            for first, step in V.steps(batch.column(1)):
-                start, end, bounds = step.words(V.SPACES)
-                hashes = step.span_hash(start, end)
-                sets = [_set_of(hashes[bounds[k] : bounds[k + 1]], n) for k in range(len(bounds) - 1)]
-                raw = [s.tobytes() for s in sets]
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        ids.slice(first, len(sets)),
-                        pa.array([hashlib.blake2b(r, digest_size=FP_BYTES).digest() for r in raw], pa.binary()),
-                        pa.array([len(s) for s in sets], pa.int64()),
-                        pa.array(raw, pa.binary()),
-                        pa.array([_spread_of(s) for s in sets], pa.binary()),
-                    ],
-                    names=["doc_id", "fp", "n_shingles", "grams", "spread"],
-                )
 
-    return docs.select(F.col(doc_id).alias("doc_id"), text).mapInArrow(run, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, fp binary, n_shingles bigint, grams binary, spread binary")
+def _name(grams: np.ndarray) -> bytes:
+    """The fingerprint of a set."""
+    return hashlib.blake2b(grams.tobytes(), digest_size=FP_BYTES).digest()
+
+
+def _planes(x: np.ndarray, width: int) -> bytes:
+    """The lowest ``width`` bytes of each number, all lowest bytes first: high bytes are mostly 0 and compress away."""
+    return np.ascontiguousarray(x.astype("<u4").view(np.uint8).reshape(-1, 4)[:, :width].T).tobytes()
+
+
+def _unplaned(raw: bytes, width: int) -> np.ndarray:
+    out = np.zeros((len(raw) // width, 4), np.uint8)
+    out[:, :width] = np.frombuffer(raw, np.uint8).reshape(width, -1).T
+    return out.reshape(-1).view("<u4").astype(np.int64)
+
 
+#: Rows of documents, of questions to a piece, and of what a chunk keeps to understand the answers.
+DOC, ASK, KEEP = 0, 1, 2
+SCAN = "kind tinyint, doc_id {}, fp binary, n_shingles bigint, spread binary, piece int, chunk bigint, a binary, b binary, c binary"
 
-def _counters(rows: DataFrame, hashes_of, size: int) -> np.ndarray:
-    """Totals of ``size`` counters over all rows, up to 255. Fixed size, so what reaches the driver does not grow.
 
-    ``hashes_of(batch, seen)`` yields arrays of unsigned hashes; each adds one to the counter it falls on.
+def scan(docs: DataFrame, pieces: int, doc_id: str = "doc_id", text: str = "text", n: int = 3, per_chunk: int = CHUNK) -> DataFrame:
+    """One pass over the texts.
+
+    ``DOC``: doc_id, fp, n_shingles, spread (how many n-grams fall into each of ``BINS`` bins). ``ASK``: for a piece and
+    a chunk, the n-grams as differences (a), the document in the chunk that has each (b) and how many have it (c).
+    ``KEEP``: fingerprints (a) and set sizes (b) of a chunk's documents, and its heavy n-grams with their documents (c).
     """
+    kind = docs.schema[doc_id].dataType.simpleString()
 
-    def count(batches):
+    def run(batches):
         seen: set[bytes] = set()
-        held, n = [], 0
+        task, flushed = TaskContext.get().partitionId(), 0
+        held, fps, sizes, total = [], [], [], 0
+
+        def rows(kinds, ids=None, **values):
+            count = len(kinds)
+            columns = {"kind": pa.array(kinds, pa.int8()), "doc_id": pa.nulls(count, ids_type) if ids is None else ids}
+            for name, type_ in (("fp", pa.binary()), ("n_shingles", pa.int64()), ("spread", pa.binary()), ("piece", pa.int32()), ("chunk", pa.int64()), ("a", pa.binary()), ("b", pa.binary()), ("c", pa.binary())):
+                columns[name] = pa.array(values[name], type_) if name in values else pa.nulls(count, type_)
+            return pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))
 
         def flush():
-            at, counts = np.unique(np.concatenate(held), return_counts=True)
-            counts = np.minimum(counts, 255).astype(np.uint8)
-            cuts = np.flatnonzero(np.diff(at // PIECE)) + 1
-            first = np.concatenate([[0], cuts])
-            return pa.RecordBatch.from_arrays(
-                [pa.array((at[first] // PIECE).astype(np.int32)), pa.array([x.astype(np.uint16).tobytes() for x in np.split(at % PIECE, cuts)]), pa.array([x.tobytes() for x in np.split(counts, cuts)])],
-                names=["piece", "at", "counts"],
+            chunk = (task << 24) + flushed
+            grams = np.concatenate(held)
+            which = np.repeat(np.arange(len(held), dtype=np.uint64), [len(x) for x in held])
+            piece = ((grams >> np.uint64(32)) * np.uint64(pieces)) >> np.uint64(32)
+            packed = (piece << np.uint64(VALUE_BITS + 16)) | ((grams & np.uint64((1 << VALUE_BITS) - 1)) << np.uint64(16)) | which
+            packed.sort()
+            key = packed >> np.uint64(16)
+            starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+            often = np.diff(np.append(starts, len(key)))
+            heavy = often >= HEAVY
+            inside = np.repeat(heavy, often)
+            heavy_key, heavy_n, heavy_docs = key[starts[heavy]], often[heavy], packed[inside] & np.uint64(0xFFFF)
+            first = ~inside
+            first[starts[heavy]] = True
+            many = np.ones(len(key), np.int64)
+            many[starts[heavy]] = heavy_n
+            key, packed, many = key[first], packed[first], np.minimum(many[first], 0xFFFF)
+            at = key >> np.uint64(VALUE_BITS)
+            cuts = np.flatnonzero(np.diff(at)) + 1
+            bounds = [0, *cuts.tolist(), len(key)]
+            value, doc = key & np.uint64((1 << VALUE_BITS) - 1), packed & np.uint64(0xFFFF)
+            spans = list(zip(bounds, bounds[1:]))
+            yield rows(
+                [ASK] * len(spans),
+                piece=[int(at[lo]) for lo, _ in spans],
+                chunk=[chunk] * len(spans),
+                a=[_planes(np.diff(value[lo:hi], prepend=np.uint64(0)), 4) for lo, hi in spans],
+                b=[_planes(doc[lo:hi], 2) for lo, hi in spans],
+                c=[_planes(many[lo:hi], 2) for lo, hi in spans],
             )
+            head = np.array([len(heavy_key)], np.int64)
+            yield rows([KEEP], chunk=[chunk], a=[b"".join(fps)], b=[np.array(sizes, np.int64).tobytes()], c=[head.tobytes() + heavy_key.tobytes() + heavy_n.tobytes() + heavy_docs.astype("<u2").tobytes()])
 
         for batch in batches:
-            for h in hashes_of(batch, seen):
-                held.append((h % np.uint64(size)).astype(np.uint32))
-                n += len(h)
-                if n > 4_000_000:
-                    yield flush()
-                    held, n = [], 0
-        if n:
-            yield flush()
+            ids, ids_type = batch.column(0), batch.column(0).type
+            names, lengths, spreads = [], [], []
+            for _, grams in _sets(batch.column(1), n):
+                name = _name(grams)
+                names.append(name)
+                lengths.append(len(grams))
+                spreads.append(_spread_of(grams))
+                if len(grams) and name not in seen:
+                    seen.add(name)
+                    held.append(grams)
+                    fps.append(name)
+                    sizes.append(len(grams))
+                    total += len(grams)
+                    if total >= per_chunk or len(held) >= CHUNK_DOCS:
+                        yield from flush()
+                        held, fps, sizes, total, flushed = [], [], [], 0, flushed + 1
+            yield rows([DOC] * len(names), ids, fp=names, n_shingles=lengths, spread=spreads)
+        if held:
+            yield from flush()
+
+    return docs.select(F.col(doc_id).alias("doc_id"), text).mapInArrow(run, SCAN.format(kind))
+
+
+def _answer(key, table):
+    """For each chunk that asked this piece, its n-grams that occur more than once, and how often on a scale of logarithms."""
+    values, whose, documents, many = [], [], [], []
+    chunks = table.column("chunk").to_pylist()
+    for k, (a, b, c) in enumerate(zip(*(table.column(x).to_pylist() for x in "abc"))):
+        values.append(np.cumsum(_unplaned(a, 4)))
+        documents.append(_unplaned(b, 2))
+        many.append(_unplaned(c, 2))
+        whose.append(np.full(len(documents[-1]), k, np.int64))
+    value, whose, document, many = (np.concatenate(x) for x in (values, whose, documents, many))
+    order = np.argsort(value, kind="stable")
+    value, whose, document, many = value[order], whose[order], document[order], many[order]
+    starts = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]]))
+    total = np.add.reduceat(many, starts)
+    often = np.repeat(total, np.diff(np.append(starts, len(value))))
+    shared = often > 1
+    value, whose, document, often = value[shared], whose[shared], document[shared], often[shared]
+    order = np.argsort(whose, kind="stable")
+    value, whose, document, often = value[order], whose[order], document[order], often[order]
+    cuts = [0, *(np.flatnonzero(np.diff(whose)) + 1).tolist(), len(whose)] if len(whose) else [0]
+    spans = list(zip(cuts, cuts[1:]))
+    level = np.minimum(np.rint(8 * np.log2(np.maximum(often, 1))), 255).astype(np.uint8)
+    whole = (np.int64(key[0].as_py()) << VALUE_BITS) | value
+    return pa.table(
+        {
+            "chunk": pa.array([chunks[whose[lo]] for lo, _ in spans], pa.int64()),
+            "keys": pa.array([whole[lo:hi].tobytes() for lo, hi in spans], pa.binary()),
+            "docs": pa.array([document[lo:hi].astype("<u2").tobytes() for lo, hi in spans], pa.binary()),
+            "levels": pa.array([level[lo:hi].tobytes() for lo, hi in spans], pa.binary()),
+        }
+    )
 
-    def add(key, table):
-        total = np.zeros(PIECE, np.int64)
-        for at, counts in zip(table.column("at").to_pylist(), table.column("counts").to_pylist()):
-            total[np.frombuffer(at, np.uint16)] += np.frombuffer(counts, np.uint8)
-        return pa.table({"piece": pa.array([key[0].as_py()], pa.int32()), "total": pa.array([np.minimum(total, 255).astype(np.uint8).tobytes()])})
-
-    out = np.zeros(size, np.uint8)
-    for row in rows.mapInArrow(count, "piece int, at binary, counts binary").groupBy("piece").applyInArrow(add, "piece int, total binary").toLocalIterator():
-        out[row["piece"] * PIECE : (row["piece"] + 1) * PIECE] = np.frombuffer(row["total"], np.uint8)
-    return out
 
+def _prefixes_of_chunk(percent: int):
+    def run(kept, answers):
+        none = pa.table({"token": pa.array([], pa.int64()), "fp": pa.array([], pa.binary()), "place": pa.array([], pa.int32()), "size": pa.array([], pa.int64())})
+        if not len(answers) or not len(kept):
+            return none
+        names = kept.column("a")[0].as_py()
+        size = np.frombuffer(kept.column("b")[0].as_py(), np.int64)
+        raw = kept.column("c")[0].as_py()
+        heavies = int(np.frombuffer(raw[:8], np.int64)[0])
+        heavy_key = np.frombuffer(raw, np.int64, heavies, 8)
+        heavy_n = np.frombuffer(raw, np.int64, heavies, 8 + 8 * heavies)
+        heavy_docs = np.frombuffer(raw, "<u2", -1, 8 + 16 * heavies).astype(np.int64)
+        heavy_from = np.cumsum(heavy_n) - heavy_n
+        token = np.concatenate([np.frombuffer(x, np.int64) for x in answers.column("keys").to_pylist()])
+        doc = np.concatenate([np.frombuffer(x, "<u2") for x in answers.column("docs").to_pylist()]).astype(np.int64)
+        level = np.concatenate([np.frombuffer(x, np.uint8) for x in answers.column("levels").to_pylist()])
+        at = V.position_of(heavy_key, token)
+        known = np.flatnonzero(at >= 0)
+        if len(known):
+            n = heavy_n[at[known]]
+            inside = np.repeat(heavy_from[at[known]] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+            rest = at < 0
+            token = np.concatenate([token[rest], np.repeat(token[known], n)])
+            level = np.concatenate([level[rest], np.repeat(level[known], n)])
+            doc = np.concatenate([doc[rest], heavy_docs[inside]])
+        order = np.lexsort((token, level, doc))
+        token, doc = token[order], doc[order]
+        shared = np.bincount(doc, minlength=len(size))
+        rank = np.arange(len(doc)) - (np.cumsum(shared) - shared)[doc]
+        place = (size - shared)[doc] + rank
+        show = place < (size - -(-percent * size // 100) + 1)[doc]
+        show[1:] &= (token[1:] != token[:-1]) | (doc[1:] != doc[:-1])
+        token, doc, place = token[show], doc[show], place[show]
+        fps = pa.array([names[k * FP_BYTES : (k + 1) * FP_BYTES] for k in range(len(size))], pa.binary())
+        return pa.table({"token": pa.array(token), "fp": fps.take(pa.array(doc)), "place": pa.array(place.astype(np.int32)), "size": pa.array(size[doc])})
 
-def _grams_once(batch, seen):
-    for fp, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-        if fp not in seen:
-            seen.add(fp)
-            yield np.frombuffer(raw, np.uint64)
+    return run
 
 
-def _fingerprints(batch, seen):
-    yield np.array([int.from_bytes(fp[:8], "little") for fp in batch.column(0).to_pylist()], np.uint64)
+def prefixes(scanned: DataFrame, percent: int) -> DataFrame:
+    """(token, fp, place, size): one small row per prefix n-gram that occurs more than once."""
+    asked = scanned.where(F.col("kind") == ASK).select("piece", "chunk", "a", "b", "c")
+    answers = asked.groupBy("piece").applyInArrow(_answer, "chunk bigint, keys binary, docs binary, levels binary")
+    kept = scanned.where(F.col("kind") == KEEP).select("chunk", "a", "b", "c")
+    rows = kept.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_prefixes_of_chunk(percent), "token bigint, fp binary, place int, size bigint")
+    return rows.repartition("token").dropDuplicates(["token", "fp"])
 
 
-def _present(sets: DataFrame, wanted: DataFrame, payload: str = "grams") -> DataFrame:
-    """Rows (fp, payload) of the wanted classes, a few per class. A bitmap of fixed size keeps most other sets from being shuffled at all."""
-    marks = sets.sparkSession.sparkContext.broadcast(np.packbits(_counters(wanted.select("fp"), _fingerprints, MARKS) > 0))
+def _pieces(docs: DataFrame, text: str) -> int:
+    amount = docs.agg(F.sum(F.octet_length(text).cast("bigint"))).first()[0] or 0
+    return min(max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-amount // PIECE_BYTES)), 1 << 20)
 
-    def run(batches):
-        bits = marks.value
-        seen: set[bytes] = set()
-        for batch in batches:
-            fps = batch.column(0).to_pylist()
-            h = np.array([int.from_bytes(fp[:8], "little") for fp in fps], np.uint64) % np.uint64(MARKS)
-            keep = (bits[h >> np.uint64(3)] >> (7 - (h & np.uint64(7))).astype(np.uint8)) & 1 > 0
-            for k in np.flatnonzero(keep):
-                if fps[k] in seen:
-                    keep[k] = False
-                seen.add(fps[k])
-            mask = pa.array(keep)
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(mask), batch.column(1).filter(mask)], names=["fp", payload])
 
-    return sets.where("n_shingles > 0").select("fp", payload).mapInArrow(run, f"fp binary, {payload} binary")
+def _marks(wanted: DataFrame) -> np.ndarray:
+    """A bitmap of the fingerprints in ``wanted``: ``MARKS`` bits whatever the input."""
 
+    def count(batches):
+        for batch in batches:
+            h = np.array([int.from_bytes(fp[:8], "little") % MARKS for fp in batch.column(0).to_pylist()], np.int64)
+            if len(h):
+                h = np.unique(h)
+                cuts = np.flatnonzero(np.diff(h // MARK_ROW)) + 1
+                found = np.split(h, cuts)
+                yield pa.RecordBatch.from_arrays([pa.array([int(x[0] // MARK_ROW) for x in found], pa.int32()), pa.array([(x % MARK_ROW).astype("<u2").tobytes() for x in found], pa.binary())], names=["part", "at"])
 
-def _prefix(grams: np.ndarray, counts: np.ndarray, percent: int) -> np.ndarray:
-    """The rare-first prefix: all n-grams that a class shows to others."""
-    n = len(grams)
-    p = n - -(-percent * n // 100) + 1
-    often = counts[grams % np.uint64(SKETCH)]
-    keep = np.arange(n)
-    if p < n:
-        keep = np.flatnonzero(often <= np.partition(often, p - 1)[p - 1])
-    return grams[keep[np.lexsort((grams[keep], often[keep]))][:p]]
+    def add(key, table):
+        bits = np.zeros(MARK_ROW, bool)
+        for raw in table.column("at").to_pylist():
+            bits[np.frombuffer(raw, "<u2")] = True
+        return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "bits": pa.array([np.packbits(bits).tobytes()], pa.binary())})
+
+    out = np.zeros(MARKS // 8, np.uint8)
+    for row in wanted.mapInArrow(count, "part int, at binary").groupBy("part").applyInArrow(add, "part int, bits binary").toLocalIterator():
+        out[row["part"] * MARK_ROW // 8 : (row["part"] + 1) * MARK_ROW // 8] = np.frombuffer(row["bits"], np.uint8)
+    return out
 
 
-def _prefixes(sets: DataFrame, sketch, percent: int) -> DataFrame:
-    """(token, fp, place, size): one small row per prefix n-gram."""
+def _wanted_sets(docs: DataFrame, wanted: DataFrame, text: str, n: int) -> DataFrame:
+    """(fp, grams) of the wanted classes, once each. Texts travel, and a bitmap keeps most others where they are."""
+    marks = docs.sparkSession.sparkContext.broadcast(_marks(wanted.select("fp")))
 
-    def run(batches):
-        counts = sketch.value
+    def find(batches):
+        bits = marks.value
         seen: set[bytes] = set()
         for batch in batches:
-            fps, sizes, tokens, places = [], [], [], []
-            for fp, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                if not raw or fp in seen:
-                    continue
-                seen.add(fp)
-                grams = np.frombuffer(raw, np.uint64)
-                prefix = _prefix(grams, counts, percent)
-                place = np.flatnonzero(counts[prefix % np.uint64(SKETCH)] > 1)
-                fps += [fp] * len(place)
-                sizes.append(np.full(len(place), len(grams), np.int64))
-                tokens.append(prefix[place].view(np.int64))
-                places.append(place.astype(np.int32))
-            if fps:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(tokens)), pa.array(fps, pa.binary()), pa.array(np.concatenate(places)), pa.array(np.concatenate(sizes))], names=["token", "fp", "place", "size"])
+            keep, names = [], []
+            for row, grams in _sets(batch.column(0), n):
+                name = _name(grams)
+                h = int.from_bytes(name[:8], "little") % MARKS
+                if len(grams) and bits[h >> 3] >> (7 - (h & 7)) & 1 and name not in seen:
+                    seen.add(name)
+                    keep.append(row)
+                    names.append(name)
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), batch.column(0).take(pa.array(keep, pa.int64()))], names=["fp", "text"])
+
+    def open_up(batches):
+        for batch in batches:
+            raw = [grams.tobytes() for _, grams in _sets(batch.column(1), n)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary())], names=["fp", "grams"])
 
-    return sets.select("fp", "grams").mapInArrow(run, "token bigint, fp binary, place int, size bigint")
+    found = docs.select(F.col(text).alias("text")).mapInArrow(find, "fp binary, text string").dropDuplicates(["fp"])
+    return found.mapInArrow(open_up, "fp binary, grams binary")
 
 
 def _forest(pairs) -> dict[bytes, list[bytes]]:
@@ -329,21 +450,22 @@ def _pairs_in_lists(percent: int):
     return run
 
 
-def candidate_pairs(sets: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
+def candidate_pairs(rows: DataFrame, classes: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
     """(a, b) fingerprints of classes that share a prefix n-gram and pass every filter; each pair once."""
-    return _edges(candidate_lists(sets, percent, tile), "partners")
+    return _edges(candidate_lists(rows, classes, percent, tile), "partners")
+
 
+def shared_prefixes(scanned: DataFrame, percent: int) -> DataFrame:
+    """The prefix rows whose n-gram several classes show, with their number as ``length``."""
+    return prefixes(scanned, percent).withColumn("length", F.count("*").over(Window.partitionBy("token"))).where("length > 1")
 
-def candidate_lists(sets: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
+
+def candidate_lists(rows: DataFrame, classes: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
     """The candidate pairs as (a, partners, tree): the fingerprints of the partners of a, end to end, and those of them
     that keep every family of candidates connected. Each pair is in one row."""
-    filled = sets.where("n_shingles > 0")
-    sketch = sets.sparkSession.sparkContext.broadcast(_counters(filled.select("fp", "grams"), _grams_once, SKETCH))
-    rows = _prefixes(filled, sketch, percent).repartition("token").dropDuplicates(["token", "fp"])
-    rows = stored(rows.withColumn("length", F.count("*").over(Window.partitionBy("token"))).where("length > 1"), "op5-prefixes")
     # the part of a class's prefix that others show too, in its order; at most as long as the prefix
     shown = rows.groupBy("fp").agg(F.array_sort(F.collect_list(F.struct("place", "token"))).alias("s")).select("fp", F.transform("s", lambda x: x["token"]).alias("prefix"))
-    traits = shown.join(_present(sets, rows, "spread").dropDuplicates(["fp"]), "fp")
+    traits = shown.join(classes.select("fp", "spread"), "fp")
     dealt = rows.withColumn("tiles", F.ceil(F.col("length") / tile).cast("int"))
     # each row goes to the tile pairs (i, j), i <= j, that contain its own tile
     dealt = dealt.withColumn("tile", F.pmod(F.xxhash64("fp"), F.col("tiles")).cast("int")).withColumn("with", F.explode(F.expr("sequence(0, tiles - 1)")))
@@ -387,7 +509,7 @@ def _ends(batches):
         yield pa.RecordBatch.from_arrays([*(batch.column(k).take(pa.array(at)) for k in range(3)), pa.array([fp for x in found for fp in x], pa.binary())], names=["family", "tile_a", "tile_b", "fp"])
 
 
-def verify(candidates: DataFrame, sets: DataFrame, classes: DataFrame, percent: int, tile: int = 128) -> DataFrame:
+def verify(candidates: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, text: str, n: int, scratch: Scratch, tile: int = 128) -> DataFrame:
     """(a, others, tree) of what links, checked once per pair against whole sets: the documents that a links with in
     other classes (several rows of one a add up), and the partners that keep every group connected.
 
@@ -398,9 +520,10 @@ def verify(candidates: DataFrame, sets: DataFrame, classes: DataFrame, percent:
     size = family.groupBy("family").agg(F.count("*").alias("members"))
     family = family.join(size, "family").select(F.col("node").alias("a"), "family", "members")
     placed = candidates.select("a", "partners").join(family, "a").select("a", "partners", "family", "members")
-    placed = stored(placed.mapInArrow(_place(tile), "family binary, tile_a int, tile_b int, pairs binary"), "op5-placed")
+    placed = scratch.put(placed.mapInArrow(_place(tile), "family binary, tile_a int, tile_b int, pairs binary"), "op5-placed")
+    scratch.drop(candidates)
     needed = placed.mapInArrow(_ends, "family binary, tile_a int, tile_b int, fp binary").distinct()
-    held = needed.join(_present(sets, needed).dropDuplicates(["fp"]), "fp").join(classes.select("fp", "copies"), "fp")
+    held = needed.join(_wanted_sets(docs, needed, text, n), "fp").join(classes.select("fp", "copies"), "fp")
 
     def run(key, left, right):
         fps = right.column("fp").to_pylist()
@@ -426,32 +549,63 @@ def verify(candidates: DataFrame, sets: DataFrame, classes: DataFrame, percent:
     return placed.groupBy("family", "tile_a", "tile_b").cogroup(held.groupBy("f", "i", "j")).applyInArrow(run, "a binary, others bigint, tree binary")
 
 
+def grouped_classes(docs: DataFrame, doc_id: str, text: str, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, fp, n_shingles, salt) of all rows, and (fp, low, copies, component, others) of all classes with n-grams."""
+    scanned = scratch.put(scan(docs, _pieces(docs, text), doc_id, text, n), "op5-scan")
+    rows = scratch.put(shared_prefixes(scanned, percent), "op5-prefixes")
+    own = scanned.where(F.col("kind") == DOC)
+    salt = F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int").alias("salt")
+    sets = scratch.put(own.select("doc_id", "fp", "n_shingles", salt), "op5-sets")
+    # copies are counted part by part first
+    parts = own.where("n_shingles > 0").groupBy("fp", salt).agg(F.min("doc_id").alias("low"), F.count("*").alias("copies"), F.first("spread").alias("spread"))
+    classes = scratch.put(parts.groupBy("fp").agg(F.min("low").alias("low"), F.sum("copies").alias("copies"), F.first("spread").alias("spread")), "op5-copies")
+    scratch.drop(scanned)
+    candidates = scratch.put(candidate_lists(rows, classes, percent), "op5-pairs")
+    scratch.drop(rows)
+    links = scratch.put(verify(candidates, docs, classes, percent, text, n, scratch), "op5-links")
+    found = components(_edges(links, "tree"), "a", "b").withColumnRenamed("node", "fp")
+    degree = links.groupBy(F.col("a").alias("fp")).agg(F.sum("others").alias("others"))
+    grouped = classes.drop("spread").join(found, "fp", "left").join(degree, "fp", "left")
+    grouped = scratch.put(grouped.select("fp", "low", "copies", F.coalesce("component", "fp").alias("component"), F.coalesce("others", F.lit(0)).alias("others")), "op5-classes")
+    scratch.drop(links, classes)
+    return sets, grouped
+
+
 def jaccard_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id and n_links (documents it links with, copies included)."""
     bounded_batches(docs.sparkSession)
-    sets = stored(shingle_sets(docs, doc_id, text, n), "op5-sets")
-    classes = stored(sets.where("n_shingles > 0").groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("copies")), "op5-copies")
-    links = stored(verify(stored(candidate_lists(sets, percent), "op5-pairs"), sets, classes, percent), "op5-links")
+    sets, grouped = grouped_classes(docs, doc_id, text, n, percent, Scratch(docs.sparkSession))
     # a class is named by its fingerprint while labels travel, then every component takes its smallest document
-    found = components(_edges(links, "tree"), "a", "b")
-    grouped = stored(classes.join(found.withColumnRenamed("node", "fp"), "fp", "left").withColumn("component", F.coalesce("component", "fp")), "op5-classes")
     lowest = grouped.groupBy("component").agg(F.min("low").alias("component_id"))
-    degree = links.groupBy(F.col("a").alias("fp")).agg(F.sum("others").alias("others"))
-    named = grouped.join(lowest, "component").join(degree, "fp", "left").select("fp", "component_id", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"))
+    named = grouped.join(lowest, "component").select("fp", "component_id", (F.col("copies") - 1 + F.col("others")).alias("n_links"))
+    # a class of many copies meets its documents in as many parts as they were dealt to
+    parts = sets.where("n_shingles > 0").select("fp", "salt").distinct().join(named, "fp")
     filled = F.col("n_shingles") > 0
     return (
-        sets.select("doc_id", "n_shingles", "fp")
-        .join(named, "fp", "left")
-        .select("doc_id", "n_shingles", F.when(filled, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), F.when(filled, F.col("n_links")).otherwise(F.lit(0).cast("bigint")).alias("n_links"))
+        sets.join(parts, ["fp", "salt"], "left")
+        .select("doc_id", "n_shingles", F.when(filled, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), F.when(filled, F.col("n_links")).otherwise(F.lit(0)).cast("bigint").alias("n_links"))
     )
 
 
 def keep_one_per_group(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """``docs`` with one document of each near-duplicate group: that with the smallest doc_id (one row of it, if ids repeat)."""
-    groups = jaccard_groups(docs, n=n, percent=percent)
-    kept = groups.where((F.col("component_id") == F.col("doc_id")) | F.col("doc_id").isNull()).select("doc_id").distinct()
-    rest = docs.where("doc_id IS NULL").dropDuplicates()
-    return docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).unionByName(rest)
+    """``docs`` with one row of each near-duplicate group: of the texts in it that with the smallest doc_id, and one row of
+    that text. Rows that share a doc_id but not a text are judged each by its own text; texts without words all stay."""
+    scratch = Scratch(docs.sparkSession)
+    bounded_batches(docs.sparkSession)
+    _, grouped = grouped_classes(docs, "doc_id", "text", n, percent, scratch)
+    first = grouped.groupBy("component").agg(F.min_by(F.struct("fp", "low"), F.struct(F.col("low").isNull(), "low", "fp")).alias("x")).select("x.*")
+    fp, who, kept, rank = free_names(docs, "fp", "who", "kept", "rank")
+    spelled = lambda c: F.coalesce(F.concat(F.lit("="), c.cast("string")), F.lit("-"))
+    chosen = first.select(F.col("fp").alias(fp), spelled(F.col("low")).alias(who), F.lit(True).alias(kept))
+
+    @F.arrow_udf("binary")
+    def name(texts: pa.Array) -> pa.Array:
+        return pa.array([_name(grams) if len(grams) else None for _, grams in _sets(texts, n)], pa.binary())
+
+    # rows meet by text and id, so copies of one text go to as many tasks as they have ids
+    tagged = docs.withColumn(fp, name("text")).withColumn(who, spelled(F.col("doc_id")))
+    met = tagged.join(chosen, [fp, who], "left").withColumn(rank, F.row_number().over(Window.partitionBy(fp, who).orderBy(F.xxhash64(*docs.columns))))
+    return met.where(F.col(fp).isNull() | (F.col(kept) & (F.col(rank) == 1))).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op5_ngram_jaccard_join(spark, sf_dir: str) -> DataFrame:

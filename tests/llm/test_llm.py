@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from figmine.llm import decontaminate, fixity, jaccard, language, licenses, lmscore, packing, secrets, textvec, topk, toxicity
+from figmine.llm.common import stored
 
 DOC = "doc_id long, text string, lang string, source string, score double"
 
@@ -81,15 +82,40 @@ def test_jaccard_matches_brute_force(spark):
     assert got == {i: (len(sets[i]), label[i], len(links[i])) for i in range(len(texts))}
 
 
-def test_long_lists_are_tiled_without_loss(spark):
+@pytest.mark.parametrize("chunk", [jaccard.CHUNK, 100])
+def test_long_lists_are_tiled_without_loss(spark, chunk):
     texts = [" ".join(f"w{k}" for k in range(40)) + f" end{j}" for j in range(30)]
-    sets = jaccard.stored(jaccard.shingle_sets(docs(spark, texts)), "t")
-    whole = {tuple(r) for r in jaccard.candidate_pairs(sets, 90).select(F.hex("a"), F.hex("b")).collect()}
-    tiled = {tuple(r) for r in jaccard.candidate_pairs(sets, 90, tile=7).select(F.hex("a"), F.hex("b")).collect()}
+    scanned = stored(jaccard.scan(docs(spark, texts), 5, per_chunk=chunk), "t")
+    rows = stored(jaccard.shared_prefixes(scanned, 90), "t")
+    classes = scanned.where("n_shingles > 0").select("fp", "spread")
+    whole = {tuple(r) for r in jaccard.candidate_pairs(rows, classes, 90).select(F.hex("a"), F.hex("b")).collect()}
+    tiled = {tuple(r) for r in jaccard.candidate_pairs(rows, classes, 90, tile=7).select(F.hex("a"), F.hex("b")).collect()}
     norm = lambda s: {tuple(sorted(p)) for p in s}
     assert norm(whole) == norm(tiled) and len(tiled) == 30 * 29 // 2
 
 
+def test_prefix_rows_are_those_of_the_exact_frequencies(spark):
+    rng = random.Random(3)
+    texts = [" ".join(rng.choices("abcdefgh", k=rng.randint(3, 60))) for _ in range(40)]
+    rows = jaccard.prefixes(stored(jaccard.scan(docs(spark, texts), 5), "t"), 90).groupBy("fp").agg(F.count("*").alias("n"), F.first("size").alias("size")).collect()
+    sets = {frozenset(tuple(t.split()[k : k + 3]) for k in range(len(t.split()) - 2)) for t in texts}
+    often = {}
+    for g in (g for s in sets for g in s):
+        often[g] = often.get(g, 0) + 1
+    want = sorted(max(0, len(s) + 90 * len(s) // -100 + 1 - sum(often[g] == 1 for g in s)) for s in sets)
+    assert sorted([r["n"] for r in rows] + [0] * (len(want) - len(rows))) == want
+
+
+def test_one_text_of_each_group_stays_whatever_the_ids(spark):
+    base = " ".join(f"w{k}" for k in range(60))
+    rows = [(3, base), (1, base + " x"), (1, "quite another text of seven words"), (1, base + " x"), (None, base + " y"), (7, None), (7, ""), (None, "alone with no id at all"), (2, "  QUITE another text of seven words")]
+    given = spark.createDataFrame([(i, t, "en", "s", 0.5) for i, t in rows], "doc_id long, text string, lang string, fp string, kept double")
+    got = jaccard.keep_one_per_group(given)
+    assert got.columns == given.columns
+    left = sorted(((r["doc_id"], r["text"]) for r in got.collect()), key=str)
+    assert left == sorted([(1, base + " x"), (1, "quite another text of seven words"), (7, None), (7, ""), (None, "alone with no id at all")], key=str)
+
+
 def test_topk_with_odd_vectors(spark):
     rng = np.random.default_rng(3)
     rows = [(k, rng.normal(size=4).tolist()) for k in range(60)] + [(60, None), (61, [1.0, None]), (62, [float("nan")] * 4), (None, [1.0] * 4), (63, [])]
