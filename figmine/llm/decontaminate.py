@@ -3,21 +3,23 @@
 Patterns are the windows of the benchmark items: ``window`` consecutive words, or all words of a shorter item.
 Windows of one length form a class. For a class of length L the search reads blocks of B = min(2, L) words:
 
-* the shift table gives for each block of any pattern how far a pattern's end can be; a block outside the table
-  lets the search jump L - B + 1 words, so clean text is probed at every (L - B + 1)-th word only;
-* where a probe meets a known block, the ends within reach whose own block has shift 0 are looked up in the
-  buckets of the suffix hash;
+* the shift table gives for each block of any pattern how far away the nearest possible end of a pattern is; a block
+  outside the table lets the search jump L - B + 1 words, so clean text is probed at every (L - B + 1)-th word only.
+  The words are cut into stretches of that length and all stretches jump side by side, each by its own shifts;
+* where the shift is 0, the patterns in the bucket of the suffix hash are selected;
 * each pattern of the bucket is compared with the text word by word, as bytes.
 
 Nulls and edge cases: a null or empty text has no words and is never hit; an item without words has no window; a
 null item_id still marks words but is not listed; repeated items count once; repeated documents give a row each;
-extra columns are ignored. The benchmark is read in blocks of at most ``block_words`` words, each broadcast after
-that check; several blocks become several passes inside the same scan, so no size of benchmark is out of reach.
+extra columns pass through, and a given column with the name of a result column is replaced by it (removal keeps all
+given columns as they were). The benchmark is read in blocks of at most ``block_words`` words (a longer item is a
+block of its own), each broadcast after that check. A worker holds one block: what a block finds is written before the
+next block is searched.
 """
 
 from __future__ import annotations
 
-import hashlib
+import itertools
 import re
 from collections import defaultdict
 
@@ -27,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textvec as V
-from .common import bounded_batches
+from .common import bounded_batches, free_names, stored
 
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 _LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -60,19 +62,17 @@ class WindowClass:
 
     def ends(self, hashes: np.ndarray) -> np.ndarray:
         """Block positions at which a pattern may end, over the words of several texts."""
-        if len(hashes) < self.length:
-            return np.zeros(0, np.int64)
-        probes = np.arange(self.reach - 1, len(hashes) - self.block + 1, self.reach)
-        head = hashes[probes] if self.block == 1 else V.mix(hashes[probes] * np.uint64(3) + hashes[probes + 1])
-        found = V.position_of(self.known, head)
-        probes, found = probes[found >= 0], found[found >= 0]
-        if not len(probes):
-            return np.zeros(0, np.int64)
-        reach = np.unique((probes[:, None] + np.arange(self.reach)[None, :]).ravel())
-        reach = reach[(reach < len(hashes) - self.block + 1) & (reach >= self.reach - 1)]
-        tail = hashes[reach] if self.block == 1 else V.mix(hashes[reach] * np.uint64(3) + hashes[reach + 1])
-        found = V.position_of(self.known, tail)
-        return reach[(found >= 0) & (self.shift[found] == 0)]
+        at = np.arange(self.reach - 1, len(hashes) - self.block + 1, self.reach)
+        stop = np.minimum(at + self.reach, len(hashes) - self.block + 1)
+        found = [np.zeros(0, np.int64)]
+        while len(at):
+            head = hashes[at] if self.block == 1 else V.mix(hashes[at] * np.uint64(3) + hashes[at + 1])
+            place = V.position_of(self.known, head)
+            shift = np.where(place >= 0, self.shift[place], self.reach)
+            found.append(at[shift == 0])
+            at = at + np.maximum(shift, 1)
+            at, stop = at[at < stop], stop[at < stop]
+        return np.sort(np.concatenate(found))
 
 
 class PatternIndex:
@@ -127,22 +127,24 @@ def _blocks(benchmark: DataFrame, item_id: str, text: str, block_words: int):
         yield block
 
 
-def _pass(broadcasts, text: str):
+def _pass(broadcast, text: str, names: list[str], first: bool):
     def run(batches):
-        indexes = [PatternIndex(*b.value) for b in broadcasts]
+        index = PatternIndex(*broadcast.value)
         for batch in batches:
             n_words, spans, items = [], [], []
             for _, step in V.steps(batch.column(batch.schema.names.index(text))):
-                merged = None
-                for index in indexes:
-                    n, _, s, i = index.search(step)
-                    merged = (n, s, i) if merged is None else (n, [x + y for x, y in zip(merged[1], s)], [x | y for x, y in zip(merged[2], i)])
-                n_words += merged[0].tolist()
-                spans += merged[1]
-                items += [sorted({str(x) for x in y if x is not None}) for y in merged[2]]
+                n, _, s, i = index.search(step)
+                n_words += n.tolist()
+                spans += s
+                items += i
+            items = [{str(x) for x in y if x is not None} for y in items]
+            given = batch.select([c for c in batch.schema.names if c not in names])
+            if not first:
+                spans = [x + y for x, y in zip(spans, batch.column(batch.schema.names.index(names[1])).to_pylist())]
+                items = [x | set(y) for x, y in zip(items, batch.column(batch.schema.names.index(names[2])).to_pylist())]
             yield pa.RecordBatch.from_arrays(
-                [*batch.columns, pa.array(n_words, pa.int64()), pa.array([_union(s) for s in spans], pa.list_(pa.int32())), pa.array(items, pa.list_(pa.string()))],
-                names=[*batch.schema.names, "_n_words", "_spans", "_items"],
+                [*given.columns, pa.array(n_words, pa.int64()), pa.array([_union(s) for s in spans], pa.list_(pa.int32())), pa.array([sorted(x) for x in items], pa.list_(pa.string()))],
+                names=[*given.schema.names, *names],
             )
 
     return run
@@ -159,12 +161,26 @@ def _union(flat: list[int]) -> list[int]:
     return out
 
 
-def find_benchmark(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = 10, block_words: int = 500_000) -> DataFrame:
-    """``docs`` with ``_n_words``, ``_spans`` (flat, disjoint [start, end) word positions) and ``_items`` (ids as sorted strings)."""
+RESULT = ["_n_words", "_spans", "_items"]
+
+
+def find_benchmark(docs: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = 10, block_words: int = 500_000, names: list[str] = RESULT) -> DataFrame:
+    """``docs`` with three columns, by default ``_n_words``, ``_spans`` (flat, disjoint [start, end) word positions) and
+    ``_items`` (ids as sorted strings)."""
     sc = docs.sparkSession.sparkContext
-    broadcasts = [sc.broadcast((block, window)) for block in _blocks(benchmark, item_id, item_text, block_words)] or [sc.broadcast(([], window))]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields), "_n_words bigint", "_spans array<int>", "_items array<string>"])
-    return docs.mapInArrow(_pass(broadcasts, text), schema)
+    found = docs.drop(*names)
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in found.schema.fields), f"`{names[0]}` bigint, `{names[1]}` array<int>, `{names[2]}` array<string>"])
+    last = None
+    for block in itertools.chain(_blocks(benchmark, item_id, item_text, block_words), [None]):
+        if block is None and last is not None:
+            break
+        if last is not None:
+            found = stored(found, "op2-found")
+            last.unpersist()
+        searched = last is not None
+        last = sc.broadcast((block or [], window))
+        found = found.mapInArrow(_pass(last, text, names, not searched), schema)
+    return found
 
 
 def hit_words(spans):
@@ -173,7 +189,9 @@ def hit_words(spans):
 
 def remove_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """``docs`` without those in which a benchmark window occurs; columns as they were."""
-    return find_benchmark(docs, benchmark).where(F.size("_items") + F.size("_spans") == 0).select(*docs.columns)
+    names = free_names(docs, *RESULT)
+    found = find_benchmark(docs, benchmark, names=names)
+    return found.where(F.size(names[2]) + F.size(names[1]) == 0).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op2_wu_manber_decontamination(spark, sf_dir: str) -> DataFrame:
