@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textvec as V
-from .common import bounded_batches, remainder
+from .common import bounded_batches, free_names, remainder
 
 TRAIN_ROWS = 20_000
 LONGEST = 5
@@ -148,8 +148,10 @@ def _no_letter(column, first: int, step: V.Step) -> np.ndarray:
     return none
 
 
-def predict(docs: DataFrame, model: LanguageModel, text: str = "text") -> DataFrame:
-    """``docs`` with ``lang_pred`` and ``score``, the posterior of a text of at most 20 words at the same rate."""
+def predict(docs: DataFrame, model: LanguageModel, text: str = "text", names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """``docs`` with ``lang_pred`` and ``score``, the posterior of a text of at most 20 words at the same rate. A given
+    column of such a name is replaced."""
+    docs = docs.drop(*names)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
@@ -169,9 +171,9 @@ def predict(docs: DataFrame, model: LanguageModel, text: str = "text") -> DataFr
                 none = _no_letter(column, first, step)
                 lang += ["und" if x else m.langs[b] for x, b in zip(none, best)]
                 score += np.where(none, 0.0, p).tolist()
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64())], names=[*batch.schema.names, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64())], names=[*batch.schema.names, *names])
 
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields), "lang_pred string, score double"])
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields), f"`{names[0]}` string, `{names[1]}` double"])
     return docs.mapInArrow(run, schema)
 
 
@@ -181,7 +183,8 @@ def keep_identified(docs: DataFrame, least: float = 0.5) -> DataFrame:
     model = train(plain)
     if not model.langs:
         return plain.where(F.col("text").rlike(r"\p{L}"))
-    return predict(plain, model).where((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(*docs.columns)
+    lang, score = free_names(docs, "lang_pred", "score")
+    return predict(plain, model, names=(lang, score)).where((F.col(lang) != "und") & (F.col(score) >= least)).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op10_word_backoff_language(spark, sf_dir: str) -> DataFrame:
