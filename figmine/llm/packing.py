@@ -2,9 +2,10 @@
 
 Texts become token ids, each document one row of pieces: ``capacity`` ids at most, the remainder first. The pieces are
 dealt into groups of bounded size and each group is packed on its own. In a group the largest open piece starts a bin;
-the search enumerates undominated fillings of the room it leaves (no filling that another one beats by swapping a
-piece for a larger one that still fits), fullest first, prunes with the waste bound (the room that a full packing of
-the rest cannot use), and keeps the best-fit-decreasing solution as incumbent until a better one is complete.
+the search enumerates the undominated fillings of the room it leaves (nothing that is open still fits, no piece can be
+swapped for a larger one, no two pieces for a single one), prunes those that waste more than one bin fewer than the
+incumbent leaves, and keeps the best-fit-decreasing solution as incumbent until a better one is complete. The search of
+a group ends when it is exhausted, when it reaches a lower bound, or after ``NODES`` fillings (plus one a piece).
 
 Nulls and edge cases: a null text is an empty one and holds only the end id; ids repeat freely, each row is packed;
 texts of any length are cut, never dropped; extra columns are ignored; an empty table gives an empty result.
@@ -12,6 +13,7 @@ texts of any length are cut, never dropped; extra columns are ignored; an empty
 
 from __future__ import annotations
 
+import itertools
 import re
 import zlib
 from bisect import bisect_left, bisect_right, insort
@@ -132,50 +134,91 @@ def best_fit(sizes: list[int], capacity: int) -> list[list[int]]:
     return bins
 
 
-def fillings(kinds: list[int], counts: dict[int, int], room: int, limit: int, depth: int = 3):
-    """Undominated multisets of piece sizes for ``room``, fullest first, at most ``limit`` looked at."""
-    found: list[tuple[int, tuple[int, ...]]] = []
-    looked = 0
-
-    def grow(room_left: int, top: int, chosen: tuple[int, ...], depth_left: int):
-        nonlocal looked
-        at = bisect_right(kinds, min(room_left, top)) - 1
-        if at < 0 or not depth_left:
-            # maximal: nothing that is still open fits, so no filling dominates it by an addition
-            found.append((room_left, chosen))
-            return
-        opened = 0
-        while at >= 0 and looked < limit and opened < 8:
+def undominated(chosen: list[int], left: int, kinds: list[int], counts: dict[int, int], used: dict[int, int]) -> bool:
+    """Whether no other filling is at least as good whatever comes after: nothing open still fits, no piece can be
+    swapped for a larger open one, and no two pieces for a single open one that takes their place."""
+    for size in kinds:
+        if size > left:
+            break
+        if counts[size] > used.get(size, 0):
+            return False
+
+    def open_from(size: int, most: int) -> bool:
+        at = bisect_left(kinds, size)
+        while at < len(kinds) and kinds[at] <= most:
+            if counts[kinds[at]] > used.get(kinds[at], 0):
+                return True
+            at += 1
+        return False
+
+    distinct = sorted(set(chosen))
+    if any(open_from(s + 1, s + left) for s in distinct):
+        return False
+    for i, a in enumerate(distinct):
+        for b in distinct[i:]:
+            if (a != b or used[a] > 1) and open_from(a + b, a + b + left):
+                return False
+    return True
+
+
+def fillings(kinds: list[int], counts: dict[int, int], room: int, waste: int):
+    """The undominated fillings of ``room`` that waste at most ``waste``, largest pieces first; None for each other
+    filling looked at. All are reached in the end: only the caller stops the search.
+
+    Between two steps the caller may change ``kinds`` and ``counts``, if they are back as they were for the next.
+    """
+    chosen: list[int] = []
+    used: dict[int, int] = {}
+    left = top = room
+    while True:
+        while True:
+            at = bisect_right(kinds, min(left, top)) - 1
+            while at >= 0 and counts[kinds[at]] <= used.get(kinds[at], 0):
+                at -= 1
+            if at < 0:
+                break
             size = kinds[at]
-            if counts[size] > chosen.count(size):
-                looked += 1
-                opened += 1
-                grow(room_left - size, size, (*chosen, size), depth_left - 1)
-                if found and found[-1][0] == 0:
-                    return
-                # a single piece dominates every smaller single piece in the last place
-                if depth_left == 1:
-                    return
-            at -= 1
-        if not opened:
-            found.append((room_left, chosen))
-
-    grow(room, room, (), depth)
-    found.sort(key=lambda f: f[0])
-    seen = set()
-    for waste, chosen in found:
-        if chosen not in seen:
-            seen.add(chosen)
-            yield waste, chosen
+            chosen.append(size)
+            used[size] = used.get(size, 0) + 1
+            left -= size
+            top = size
+        good = left <= waste and undominated(chosen, left, kinds, counts, used)
+        yield (left, tuple(chosen)) if good else None
+        if not chosen:
+            return
+        size = chosen.pop()
+        used[size] -= 1
+        left += size
+        top = size - 1
+
+
+def _fullest_first(found, every: int = 16):
+    """The same fillings, each ``every`` of them sorted by waste."""
+    while True:
+        some = list(itertools.islice(found, every))
+        yield from sorted((x for x in some if x is not None), key=lambda x: x[0])
+        yield from (x for x in some if x is None)
+        if len(some) < every:
+            return
 
 
-def bin_completion(sizes: list[int], capacity: int = CAPACITY, nodes: int = NODES) -> list[list[int]]:
-    """Bins of positions into ``sizes``; never more bins than best-fit decreasing gives."""
-    incumbent = best_fit(sizes, capacity)
-    total = sum(sizes)
-    bound = -(-total // capacity)
-    if len(incumbent) <= bound:
-        return incumbent
+def lower_bound(sizes: list[int], capacity: int) -> int:
+    """Bins that any packing needs: for each size k, pieces over capacity - k share no bin with pieces of k or more."""
+    ordered = sorted(sizes)
+    sums = np.concatenate([[0], np.cumsum(ordered)])
+    best = -(-int(sums[-1]) // capacity)
+    half = bisect_right(ordered, capacity // 2)
+    for k in sorted({s for s in ordered[:half]}):
+        low, high = bisect_left(ordered, k), bisect_right(ordered, capacity - k)
+        alone, large = len(ordered) - high, high - half
+        middle = int(sums[half] - sums[low])
+        rest = middle - (large * capacity - int(sums[high] - sums[half]))
+        best = max(best, alone + large + max(0, -(-rest // capacity)))
+    return best
+
+
+def _complete(sizes: list[int], capacity: int, bins: int, nodes: int) -> tuple[list[tuple[int, ...]] | None, int]:
+    """A packing into at most ``bins`` bins as sizes, or None if there is none or ``nodes`` are spent; fillings looked at."""
     counts: dict[int, int] = {}
     for s in sizes:
         counts[s] = counts.get(s, 0) + 1
@@ -191,47 +234,55 @@ def bin_completion(sizes: list[int], capacity: int = CAPACITY, nodes: int = NODE
             insort(kinds, size)
         counts[size] += 1
 
-    # an explicit stack: one entry per bin, holding the fillings of it that are still untried
+    # an explicit stack, one entry per bin: its largest piece, its untried fillings, and waste and pieces of the present one
     stack: list[list] = []
-    chosen: list[tuple[int, ...]] = []
-    waste_now, opened, best, allowed = 0, 0, None, (len(incumbent) - 1) * capacity - total
+    waste_now, opened, allowed = 0, 0, bins * capacity - sum(sizes)
 
     def open_bin() -> None:
         largest = kinds[-1]
         take(largest)
-        room = capacity - largest
-        stack.append([largest, iter(list(fillings(kinds, counts, room, 64)) if room else [(0, ())]), 0, ()])
+        stack.append([largest, _fullest_first(fillings(kinds, counts, capacity - largest, allowed - waste_now)), 0, ()])
 
     open_bin()
-    while stack and opened < nodes + len(sizes):
+    while stack and opened < nodes:
         top = stack[-1]
         for size in top[3]:
             give(size)
         waste_now -= top[2]
         top[2], top[3] = 0, ()
-        if len(chosen) >= len(stack):
-            chosen.pop()
-        step = next(top[1], None)
-        if step is None or waste_now + step[0] > allowed:
+        step = next(top[1], ())
+        opened += 1
+        if step is None:
+            continue
+        if not step:
             give(top[0])
             stack.pop()
             continue
-        opened += 1
         top[2], top[3] = step
         waste_now += step[0]
         for size in step[1]:
             take(size)
-        chosen.append((top[0], *step[1]))
         if not kinds:
-            best = list(chosen)
-            break
+            return [(x[0], *x[3]) for x in stack], opened
         open_bin()
-    if best is None or len(best) >= len(incumbent):
-        return incumbent
-    places: dict[int, list[int]] = {}
-    for k, s in enumerate(sizes):
-        places.setdefault(s, []).append(k)
-    return [[places[s].pop() for s in b] for b in best]
+    return None, opened
+
+
+def bin_completion(sizes: list[int], capacity: int = CAPACITY, nodes: int = NODES) -> list[list[int]]:
+    """Bins of positions into ``sizes``; never more bins than best-fit decreasing gives, and the fewest there are if the
+    search ends within ``nodes`` and one a piece."""
+    incumbent = best_fit(sizes, capacity)
+    least, left = lower_bound(sizes, capacity), nodes + len(sizes)
+    while len(incumbent) > least and left > 0:
+        best, opened = _complete(sizes, capacity, len(incumbent) - 1, left)
+        left -= opened
+        if best is None:
+            break
+        places: dict[int, list[int]] = {}
+        for k, s in enumerate(sizes):
+            places.setdefault(s, []).append(k)
+        incumbent = [[places[s].pop() for s in b] for b in best]
+    return incumbent
 
 
 def pack(rows: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_PIECES) -> DataFrame:
