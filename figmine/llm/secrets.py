@@ -2,13 +2,14 @@
 
 Candidates are unbroken runs that mix digits with letters, with dots between their parts, and values assigned to a name
 that ends like a secret's; both are taken to their end, however long. Each is described
-by its length, the transitions between characters, how much of it dictionary words cover, whether it looks like a path,
-and the words next to it. The forest is grown by Spark ML from labelled findings (a table of context, candidate and
-label; ``labelled_findings`` makes a default one) and then written out as one column expression, so scoring is part of
+by its length, the transitions between characters (pairs usual in words, changes of kind, case and sound), how much of it
+dictionary words cover, whether it looks like a path, and the words on both sides of it. The forest is grown by Spark ML
+from labelled findings (a table of context, candidate and label; ``quality`` measures it on findings held out; ``labelled_findings`` makes a default one) and then written out as one column expression, so scoring is part of
 the scan's own stage: no join, no shuffle, no row leaves the JVM.
 
 Nulls and edge cases: a null or empty text has no candidates; texts are read whole, whatever their length; repeated
-rows are scanned each; a null id is kept; extra columns are ignored, and redaction returns the columns it was given.
+rows are scanned each; a null id is kept; extra columns pass through (one named ``findings`` is replaced by the result),
+and redaction returns the columns it was given, whatever their names.
 """
 
 from __future__ import annotations
@@ -20,6 +21,8 @@ from pyspark.ml.feature import VectorAssembler
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import free_names
+
 #: Rows of labelled findings the forest is fitted on, at most.
 TRAIN_ROWS = 6_000
 
@@ -38,6 +41,9 @@ _GATE = _NAME + r"\s{0,3}[=:]|[0-9][+/=_\-.]*+[A-Za-z]|[A-Za-z][+/=_\-.]*+[0-9]"
 _ASSIGNED = rf"^[A-Za-z0-9_.\-]*{_NAME}{_SET}"
 
 _NEAR_SECRET = r"(?i)(?<![A-Za-z0-9])(password|passwd|secret|token|api.?key|access.?key|credential|auth|bearer|private)(?![A-Za-z0-9])"
+_AFTER_HARMLESS = r"(?i)^[\s\"')\]]{0,3}(?:bytes?|lines?|pages?|rows?|items?|files?|times|commits?|releases?|degrees|km|mm|kg|%)(?![a-z])"
+#: Pairs of letters that follow one another in words far more often than by chance.
+_USUAL_PAIRS = "th|he|in|er|an|re|on|at|en|nd|ti|es|or|te|of|ed|is|it|al|ar|st|to|nt|ng|se|ha|as|ou|io|le|ve|co|me|de|hi|ri|ro|ic|ne|ea|ra|ce|li|ch|ll|be|ma|si|om|ur|qu|un|el|la|di|ei|ie"
 _NEAR_HARMLESS = r"(?i)\b(commit|sha1|checksum|digest|uuid|version|build|index|href|src|file|path|image|isbn|example|page|figure)\b"
 
 #: Words that cover much of harmless identifiers.
@@ -48,8 +54,8 @@ DICTIONARY = (
 ).split()
 
 
-def _features(candidate, value, before):
-    """Named numeric columns over a candidate, its bare value and the text before it."""
+def _features(candidate, value, before, after):
+    """Named numeric columns over a candidate, its bare value and the text on both sides."""
     n = F.greatest(F.length(value), F.lit(1)).cast("double")
     lower = F.lower(value)
     kinds = F.regexp_replace(F.regexp_replace(F.regexp_replace(F.regexp_replace(value, r"[^A-Za-z0-9]", "-"), "[a-z]", "a"), "[A-Z]", "A"), "[0-9]", "9")
@@ -63,6 +69,8 @@ def _features(candidate, value, before):
         "class_changes": F.length(runs) / n,
         "digit_letter_changes": F.regexp_count(runs, F.lit("(?=(?:a9|9a|A9|9A))")) / n,
         "sound_changes": F.regexp_count(sounds, F.lit("(?=(?:vc|cv))")) / F.greatest(F.length(letters), F.lit(1)),
+        "usual_pairs": F.regexp_count(lower, F.lit(f"(?=(?:{_USUAL_PAIRS}))")) / F.greatest(F.length(letters), F.lit(1)),
+        "case_changes": F.regexp_count(runs, F.lit("(?=(?:aA|Aa))")) / n,
         "dictionary_cover": F.lit(1.0) - F.length(uncovered) / n,
         "digits": share("[^0-9]"),
         "upper": share("[^A-Z]"),
@@ -76,6 +84,8 @@ def _features(candidate, value, before):
         "assigned": F.when(candidate.rlike(_ASSIGNED), 1.0).otherwise(0.0),
         "near_secret": F.when(F.concat(before, candidate).rlike(_NEAR_SECRET), 1.0).otherwise(0.0),
         "near_harmless": F.when(before.rlike(_NEAR_HARMLESS), 1.0).otherwise(0.0),
+        "after_harmless": F.when(after.rlike(_AFTER_HARMLESS), 1.0).otherwise(0.0),
+        "closed": F.when(after.rlike("^[\"']"), 1.0).otherwise(0.0),
         "placeholder": F.when(lower.rlike(r"example|xxxx|your|change.?me|placeholder|dummy|<|>|\$\{|(.)\1{5}"), 1.0).otherwise(0.0),
     }
 
@@ -85,7 +95,7 @@ def bare(candidate):
 
 
 def labelled_findings(spark: SparkSession, rows: int = TRAIN_ROWS) -> DataFrame:
-    """(before, candidate, label): findings of known outcome, drawn from forms of secrets and of look-alikes.
+    """(before, candidate, after, label): findings of known outcome, drawn from forms of secrets and of look-alikes.
 
     Every value is a hash of its row number, so the table is the same on every run.
     """
@@ -126,8 +136,9 @@ def labelled_findings(spark: SparkSession, rows: int = TRAIN_ROWS) -> DataFrame:
         (0, prose, F.concat(pick("u", ["token: ", "secret=", "password: "]), word("u"))),
     ]
     kind = F.col("id") % len(forms)
+    ends = {1: pick("e1", ["", '"', "'", "\n", " and then", ". The"]), 0: pick("e0", ["", '"', " lines of it", " bytes", " pages", ". The", " in all", ")"])}
     chosen = lambda k: F.coalesce(*[F.when(kind == i, f[k] if k else F.lit(f[0])) for i, f in enumerate(forms)])
-    return spark.range(rows).select(chosen(1).alias("before"), chosen(2).alias("candidate"), chosen(0).cast("double").alias("label"))
+    return spark.range(rows).select(chosen(1).alias("before"), chosen(2).alias("candidate"), F.when(chosen(0) == 1, ends[1]).otherwise(ends[0]).alias("after"), chosen(0).cast("double").alias("label"))
 
 
 class Forest:
@@ -174,56 +185,82 @@ class Forest:
         return total / len(self.trees)
 
 
+def _of_finding() -> dict:
+    return _features(F.col("candidate"), bare(F.col("candidate")), F.coalesce("before", F.lit("")), F.coalesce("after", F.lit("")))
+
+
+def quality(findings: DataFrame, forest: Forest, least: float = 0.5) -> DataFrame:
+    """One row: precision and recall of the forest over labelled findings; null where nothing is counted."""
+    score = forest.score(F.struct(*[x.cast("double").alias(n) for n, x in _of_finding().items()]))
+    said, true = score >= least, F.col("label") == 1
+    both = F.count_if(said & true)
+    return findings.where("candidate IS NOT NULL AND label IS NOT NULL").agg(
+        F.try_divide(both, F.count_if(said)).alias("precision"), F.try_divide(both, F.count_if(true)).alias("recall"), F.count("*").alias("findings")
+    )
+
+
 def train(findings: DataFrame, trees: int = 15, depth: int = 5, train_rows: int = TRAIN_ROWS, seed: int = 7) -> Forest:
-    """A forest from labelled findings (before, candidate, label); at most ``train_rows`` of them."""
+    """A forest from labelled findings (before, candidate, after, label); at most ``train_rows`` of them."""
     rows = findings.where("candidate IS NOT NULL AND label IS NOT NULL").limit(train_rows)
-    features = _features(F.col("candidate"), bare(F.col("candidate")), F.coalesce("before", F.lit("")))
+    features = _of_finding()
     table = rows.select(F.col("label").cast("double").alias("label"), *[c.cast("double").alias(n) for n, c in features.items()])
     table = VectorAssembler(inputCols=list(features), outputCol="features").transform(table).select("label", "features").coalesce(1)
     model = RandomForestClassifier(numTrees=trees, maxDepth=depth, seed=seed, featureSubsetStrategy="sqrt").fit(table)
     return Forest.parse(model.toDebugString, list(features))
 
 
-def find_secrets(docs: DataFrame, forest: Forest, text: str = "text", least: float = 0.5, before: int = 32) -> DataFrame:
-    """``docs`` with ``findings``: array of (start, candidate, value, score, is_secret), start from 1; every candidate is listed."""
+def find_secrets(docs: DataFrame, forest: Forest, text: str = "text", least: float = 0.5, around: int = 32, into: str = "findings") -> DataFrame:
+    """``docs`` with ``findings``: array of (start, candidate, value, score, is_secret), start from 1; every candidate is
+    listed. A given column of that name is replaced."""
+    docs = docs.drop(into) if into.lower() != text.lower() else docs
+    matched, parts, located = free_names(docs, "matched", "parts", "located")
     body = F.coalesce(F.col(text), F.lit(""))
     matches = F.regexp_extract_all(body, F.lit(CANDIDATE), F.lit(0))
     pieces = F.split(body, CANDIDATE, -1)
-    kind = "array<struct<start:int,candidate:string,before:string>>"
+    kind = "array<struct<start:int,candidate:string,before:string,after:string>>"
     state = F.struct(F.lit(1).alias("at"), F.array().cast(kind).alias("seen"))
 
     def step(acc, i):
-        gap, m = F.get(F.col("_pieces"), i), F.get(F.col("_matches"), i)
+        gap, m = F.get(F.col(parts), i), F.get(F.col(matched), i)
         start = acc["at"] + F.length(gap)
-        one = F.struct(start.alias("start"), m.alias("candidate"), F.substring(gap, -before, before).alias("before"))
+        one = F.struct(start.alias("start"), m.alias("candidate"), F.substring(gap, -around, around).alias("before"), F.substring(F.get(F.col(parts), i + 1), 1, around).alias("after"))
         return F.struct((start + F.length(m)).alias("at"), F.concat(acc["seen"], F.array(one)).alias("seen"))
 
     def describe(c):
         value = bare(c["candidate"])
-        return F.struct(c["start"].alias("start"), c["candidate"].alias("candidate"), value.alias("value"), F.struct(*[x.cast("double").alias(n) for n, x in _features(c["candidate"], value, c["before"]).items()]).alias("f"))
+        return F.struct(c["start"].alias("start"), c["candidate"].alias("candidate"), value.alias("value"), F.struct(*[x.cast("double").alias(n) for n, x in _features(c["candidate"], value, c["before"], c["after"]).items()]).alias("f"))
 
     def judge(c):
         score = forest.score(c["f"])
         return F.struct(c["start"].alias("start"), c["candidate"].alias("candidate"), c["value"].alias("value"), F.round(score, 6).alias("score"), (score >= least).alias("is_secret"))
 
-    located = F.when(F.size("_matches") > 0, F.aggregate(F.sequence(F.lit(0), F.size("_matches") - 1), state, step, lambda s: s["seen"])).otherwise(F.array().cast(kind))
+    found = F.when(F.size(matched) > 0, F.aggregate(F.sequence(F.lit(0), F.size(matched) - 1), state, step, lambda s: s["seen"])).otherwise(F.array().cast(kind))
     gated = body.rlike(_GATE)
     return (
-        docs.withColumn("_matches", F.when(gated, matches))
-        .withColumn("_pieces", F.when(F.size("_matches") > 0, pieces))
-        .withColumn("_found", located)
-        .withColumn("findings", F.transform(F.transform("_found", describe), judge))
-        .drop("_matches", "_pieces", "_found")
+        docs.withColumn(matched, F.when(gated, matches))
+        .withColumn(parts, F.when(F.size(matched) > 0, pieces))
+        .withColumn(located, found)
+        .withColumn(into, F.transform(F.transform(located, describe), judge))
+        .drop(matched, parts, located)
     )
 
 
 def redact_secrets(docs: DataFrame, forest: Forest | None = None, mark: str = "[SECRET]") -> DataFrame:
-    """``docs`` with the value of every secret replaced by ``mark``; every document stays, columns as they were."""
+    """``docs`` with the value of every secret replaced by ``mark`` where it was found; every document stays, columns as
+    they were. The same characters elsewhere are not touched, and no finding changes the place of another."""
     forest = forest or train(labelled_findings(docs.sparkSession))
-    hit = F.filter("findings", lambda f: f["is_secret"])
-    cleaned = F.aggregate(F.transform(hit, lambda f: f["value"]), F.col("text"), lambda acc, v: F.replace(acc, v, F.lit(mark)))
-    found = find_secrets(docs, forest)
-    return found.withColumn("text", F.when(F.size(hit) > 0, cleaned).otherwise(F.col("text"))).select(*docs.columns)
+    (into,) = free_names(docs, "findings")
+    hit = F.filter(into, lambda f: f["is_secret"])
+
+    def step(acc, f):
+        # a value is the end of its candidate
+        start = f["start"] + F.length(f["candidate"]) - F.length(f["value"])
+        return F.struct(F.concat(acc["out"], F.col("text").substr(acc["at"], start - acc["at"]), F.lit(mark)).alias("out"), (start + F.length(f["value"])).alias("at"))
+
+    state = F.struct(F.lit("").alias("out"), F.lit(1).alias("at"))
+    cleaned = F.aggregate(hit, state, step, lambda acc: F.concat(acc["out"], F.col("text").substr(acc["at"], F.length("text"))))
+    found = find_secrets(docs, forest, into=into)
+    return found.withColumn("text", F.when(F.size(hit) > 0, cleaned).otherwise(F.col("text"))).select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def op1_random_forest_secrets(spark, sf_dir: str) -> DataFrame:
