@@ -49,6 +49,8 @@ BINS = 128
 SALTS = 4096
 TILE = 2048
 FP_BYTES = 16
+#: First bytes of a fingerprint that tell the classes of one family apart.
+NAME_BYTES = 8
 #: Lists up to this length are compared pair by pair, longer ones as arrays.
 SHORT = 8
 
@@ -316,28 +318,39 @@ def _wanted_sets(docs: DataFrame, wanted: DataFrame, text: str, n: int) -> DataF
     return found.mapInArrow(open_up, "fp binary, grams binary")
 
 
-def _forest(pairs) -> dict[bytes, list[bytes]]:
-    """The pairs that a spanning forest of all of them needs."""
-    parent: dict[bytes, bytes] = {}
-
-    def root(x):
-        while parent.setdefault(x, x) != x:
-            parent[x] = parent[parent[x]]
-            x = parent[x]
-        return x
-
-    kept: dict[bytes, list[bytes]] = {}
-    for a, b in pairs:
-        x, y = root(a), root(b)
-        if x != y:
-            parent[y] = x
-            kept.setdefault(a, []).append(b)
-    return kept
-
-
-def _edges(lists: DataFrame, column: str) -> DataFrame:
-    """(a, b) from rows that hold the fingerprints b of one a end to end."""
-    each = F.expr(f"transform(sequence(1, octet_length({column}), {FP_BYTES}), i -> substring({column}, i, {FP_BYTES}))")
+def _forest(rows, count: int):
+    """Yields (a, others, tree) for rows (a, others) of numbers below ``count``: tree holds those of the others that a
+    spanning forest of all pairs needs."""
+    if count <= 64:
+        parent = list(range(count))
+
+        def root(x):
+            while parent[x] != x:
+                parent[x] = parent[parent[x]]
+                x = parent[x]
+            return x
+
+        for a, others in rows:
+            tree = []
+            for b in others.tolist():
+                x, y = root(a), root(b)
+                if x != y:
+                    parent[y] = x
+                    tree.append(b)
+            yield a, others, np.array(tree, np.int64)
+        return
+    label = np.arange(count)
+    for a, others in rows:
+        labels, first = np.unique(label[others], return_index=True)
+        new = labels != label[a]
+        if new.any():
+            label[np.isin(label, labels[new])] = label[a]
+        yield a, others, others[first[new]]
+
+
+def _edges(lists: DataFrame, column: str, width: int = FP_BYTES) -> DataFrame:
+    """(a, b) from rows that hold the names b of one a end to end."""
+    each = F.expr(f"transform(sequence(1, octet_length({column}), {width}), i -> substring({column}, i, {width}))")
     return lists.where(F.octet_length(column) > 0).select("a", F.explode(each).alias("b"))
 
 
@@ -345,10 +358,10 @@ def _pairs_in_lists(percent: int):
     """For each class of a list (or of two tiles of it) the partners that no filter can rule out, and those of them that
     a spanning forest needs. Rows come sorted by list and tiles."""
 
-    def long_list(rows, same_tile: bool, out_a, out_b):
-        fps, size, place, tile, spreads, before = rows
+    def long_list(rows, same_tile: bool):
+        size, place, tile, spreads, before = rows
         spread = np.stack(spreads)
-        names, inverse, often = np.unique(np.concatenate(before), return_inverse=True, return_counts=True)
+        _, inverse, often = np.unique(np.concatenate(before), return_inverse=True, return_counts=True)
         owner = np.repeat(np.arange(len(before)), [len(b) for b in before])
         column = np.cumsum(often > 1) - 1
         several = often[inverse] > 1
@@ -379,16 +392,17 @@ def _pairs_in_lists(percent: int):
             other, need = other[near], need[near]
             other = other[np.minimum(spread[a], spread[other]).sum(axis=1, dtype=np.int64) >= need]
             if not dense:
-                other = [o for o in other.tolist() if earlier[a].isdisjoint(earlier[o])]
-            out_a += [fps[a]] * len(other)
-            out_b += [fps[k] for k in other]
+                other = np.array([o for o in other.tolist() if earlier[a].isdisjoint(earlier[o])], np.int64)
+            if len(other):
+                yield a, other
 
-    def short_list(rows, same_tile: bool, out_a, out_b):
-        fps, size, place, tile, spreads, ahead = rows
+    def short_list(rows, same_tile: bool):
+        size, place, tile, spreads, ahead = rows
         size, place, tile = size.tolist(), place.tolist(), tile.tolist()
-        before: list = [None] * len(fps)
-        for a in range(len(fps) - 1):
-            for b in range(a + 1, len(fps)):
+        before: list = [None] * len(size)
+        for a in range(len(size) - 1):
+            found = []
+            for b in range(a + 1, len(size)):
                 if same_tile == (tile[a] != tile[b]) or percent * max(size[a], size[b]) > 100 * min(size[a], size[b]):
                     continue
                 need = -(-percent * (size[a] + size[b]) // (100 + percent))
@@ -398,8 +412,9 @@ def _pairs_in_lists(percent: int):
                     if before[k] is None:
                         before[k] = set(ahead[k].tolist())
                 if before[a].isdisjoint(before[b]):
-                    out_a.append(fps[a])
-                    out_b.append(fps[b])
+                    found.append(b)
+            if found:
+                yield a, np.array(found, np.int64)
 
     def pairs_of(table):
         """Pairs of all lists in ``table``, whose lists are whole."""
@@ -410,23 +425,29 @@ def _pairs_in_lists(percent: int):
         values, offsets = before.values.to_numpy(), before.offsets.to_numpy()
         fps, spreads = table.column("fp").to_pylist(), table.column("spread").to_pylist()
         size, place, tile = columns["size"].astype(np.int64), columns["place"].astype(np.int64), columns["tile"]
-        out_a, out_b = [], []
+        out: list[tuple[bytes, bytes, bytes]] = []
+        held = 0
         for lo, hi in zip(cuts, cuts[1:]):
-            if hi - lo > 1:
-                rows = (
-                    fps[lo:hi],
-                    size[lo:hi],
-                    place[lo:hi],
-                    tile[lo:hi],
-                    [np.frombuffer(x, np.uint8 if len(x) == BINS else np.uint32) for x in spreads[lo:hi]],
-                    [values[offsets[k] : offsets[k + 1]] for k in range(lo, hi)],
-                )
-                (short_list if hi - lo <= SHORT else long_list)(rows, bool(lists[1, lo] == lists[2, lo]), out_a, out_b)
-        partners: dict[bytes, list[bytes]] = {}
-        for a, b in zip(out_a, out_b):
-            partners.setdefault(a, []).append(b)
-        tree = _forest(zip(out_a, out_b))
-        return pa.RecordBatch.from_arrays([pa.array(list(partners), pa.binary()), pa.array([b"".join(x) for x in partners.values()], pa.binary()), pa.array([b"".join(tree.get(a, ())) for a in partners], pa.binary())], names=["a", "partners", "tree"])
+            if hi - lo < 2:
+                continue
+            rows = (
+                size[lo:hi],
+                place[lo:hi],
+                tile[lo:hi],
+                [np.frombuffer(x, np.uint8 if len(x) == BINS else np.uint32) for x in spreads[lo:hi]],
+                [values[offsets[k] : offsets[k + 1]] for k in range(lo, hi)],
+            )
+            short = np.array([fp[:NAME_BYTES] for fp in fps[lo:hi]], f"V{NAME_BYTES}")
+            for a, others, tree in _forest((short_list if hi - lo <= SHORT else long_list)(rows, bool(lists[1, lo] == lists[2, lo])), hi - lo):
+                out.append((fps[lo + a], short[others].tobytes(), b"".join(fps[lo + k] for k in tree.tolist())))
+                held += len(others)
+                if held > 1_000_000:
+                    yield listed(out)
+                    out, held = [], 0
+        yield listed(out)
+
+    def listed(out):
+        return pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], pa.binary()) for k in range(3)], names=["a", "partners", "tree"])
 
     def run(batches):
         rest = None
@@ -443,16 +464,16 @@ def _pairs_in_lists(percent: int):
             cut = int(np.flatnonzero(other)[-1]) + 1 if other.any() else 0
             rest = table.slice(cut)
             if cut:
-                yield pairs_of(table.slice(0, cut))
+                yield from pairs_of(table.slice(0, cut))
         if rest is not None and len(rest):
-            yield pairs_of(rest)
+            yield from pairs_of(rest)
 
     return run
 
 
 def candidate_pairs(rows: DataFrame, classes: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
-    """(a, b) fingerprints of classes that share a prefix n-gram and pass every filter; each pair once."""
-    return _edges(candidate_lists(rows, classes, percent, tile), "partners")
+    """(a, b) short names of classes that share a prefix n-gram and pass every filter; each pair once."""
+    return _edges(candidate_lists(rows, classes, percent, tile), "partners", NAME_BYTES).select(F.substring("a", 1, NAME_BYTES).alias("a"), "b")
 
 
 def shared_prefixes(scanned: DataFrame, percent: int) -> DataFrame:
@@ -461,8 +482,8 @@ def shared_prefixes(scanned: DataFrame, percent: int) -> DataFrame:
 
 
 def candidate_lists(rows: DataFrame, classes: DataFrame, percent: int, tile: int = TILE) -> DataFrame:
-    """The candidate pairs as (a, partners, tree): the fingerprints of the partners of a, end to end, and those of them
-    that keep every family of candidates connected. Each pair is in one row."""
+    """The candidate pairs as (a, partners, tree): the short names of the partners of a, end to end, and the fingerprints
+    of those that keep every family of candidates connected. Each pair is in one row."""
     # the part of a class's prefix that others show too, in its order; at most as long as the prefix
     shown = rows.groupBy("fp").agg(F.array_sort(F.collect_list(F.struct("place", "token"))).alias("s")).select("fp", F.transform("s", lambda x: x["token"]).alias("prefix"))
     traits = shown.join(classes.select("fp", "spread"), "fp")
@@ -476,40 +497,82 @@ def candidate_lists(rows: DataFrame, classes: DataFrame, percent: int, tile: int
     return lists.select("token", "tile_a", "tile_b", "tile", "fp", "place", "size", "before", "spread").mapInArrow(_pairs_in_lists(percent), "a binary, partners binary, tree binary")
 
 
-def _tile_of(fp: bytes, tiles: int) -> int:
-    return int.from_bytes(fp[8:], "little") % tiles
+def _tile_of(names: np.ndarray, tiles: int) -> np.ndarray:
+    return (V.mix(names.view("<u8").astype(np.uint64)) % np.uint64(tiles)).astype(np.int64)
 
 
 def _place(tile: int):
-    """Candidates as (family, tile_a, tile_b, pairs): pairs holds two fingerprints a pair, end to end."""
+    """Candidates as (family, tile_a, tile_b, a, partners): the partners of a that lie in one tile; both as short names."""
 
     def run(batches):
         for batch in batches:
-            out: dict[tuple, list[bytes]] = {}
+            out: list[tuple] = []
             for a, partners, family, members in zip(*(batch.column(k).to_pylist() for k in range(4))):
                 tiles = -(-members // tile)
-                own = _tile_of(a, tiles)
-                for k in range(0, len(partners), FP_BYTES):
-                    b = partners[k : k + FP_BYTES]
-                    other = _tile_of(b, tiles)
-                    out.setdefault((family, min(own, other), max(own, other)), []).append(a + b)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array([k[0] for k in out], pa.binary()), *(pa.array([k[n] for k in out], pa.int32()) for n in (1, 2)), pa.array([b"".join(x) for x in out.values()], pa.binary())],
-                names=["family", "tile_a", "tile_b", "pairs"],
-            )
+                a = a[:NAME_BYTES]
+                if tiles == 1:
+                    out.append((family, 0, 0, a, partners))
+                    continue
+                names = np.frombuffer(partners, f"V{NAME_BYTES}")
+                own, other = int(_tile_of(np.frombuffer(a, f"V{NAME_BYTES}"), tiles)[0]), _tile_of(names, tiles)
+                for t in np.unique(other).tolist():
+                    out.append((family, min(own, t), max(own, t), a, names[other == t].tobytes()))
+            kinds = [pa.binary(), pa.int32(), pa.int32(), pa.binary(), pa.binary()]
+            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], kind) for k, kind in enumerate(kinds)], names=["family", "tile_a", "tile_b", "a", "partners"])
 
     return run
 
 
 def _ends(batches):
-    """The classes that each row of placed candidates needs."""
+    """(family, tile_a, tile_b, name) of the classes that each tile pair needs; one row per class of a task and tile pair."""
+    seen: dict[tuple, set[bytes]] = {}
     for batch in batches:
-        found = [sorted({raw[k : k + FP_BYTES] for k in range(0, len(raw), FP_BYTES)}) for raw in batch.column(3).to_pylist()]
-        at = np.repeat(np.arange(len(found)), [len(x) for x in found])
-        yield pa.RecordBatch.from_arrays([*(batch.column(k).take(pa.array(at)) for k in range(3)), pa.array([fp for x in found for fp in x], pa.binary())], names=["family", "tile_a", "tile_b", "fp"])
-
-
-def verify(candidates: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, text: str, n: int, scratch: Scratch, tile: int = 128) -> DataFrame:
+        out = []
+        for *key, a, partners in zip(*(batch.column(k).to_pylist() for k in range(5))):
+            known = seen.setdefault(tuple(key), set())
+            new = {a, *(partners[k : k + NAME_BYTES] for k in range(0, len(partners), NAME_BYTES))} - known
+            known |= new
+            out += [(*key, name) for name in new]
+        kinds = [pa.binary(), pa.int32(), pa.int32(), pa.binary()]
+        yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], kind) for k, kind in enumerate(kinds)], names=["family", "tile_a", "tile_b", "name"])
+        if sum(map(len, seen.values())) > 500_000:
+            seen = {}
+
+
+def _common(grams: list[np.ndarray], a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Common n-grams of the sets of each pair (a, b). Where most pairs of a tile are asked for, by products of matrices."""
+    left, right = np.unique(a), np.unique(b)
+    if len(a) < 256 or 16 * len(a) < len(left) * len(right):
+        out = np.zeros(len(a), np.int64)
+        for k, (x, y) in enumerate(zip(a.tolist(), b.tolist())):
+            both = np.concatenate([grams[x], grams[y]])
+            both.sort()
+            out[k] = (both[1:] == both[:-1]).sum()
+        return out
+    used = np.unique(np.concatenate([left, right]))
+    owner = np.repeat(used, [len(grams[k]) for k in used])
+    _, column, often = np.unique(np.concatenate([grams[k] for k in used]), return_inverse=True, return_counts=True)
+    shared = often[column] > 1
+    owner, column = owner[shared], (np.cumsum(often > 1) - 1)[column[shared]]
+    order = np.argsort(column, kind="stable")
+    owner, column = owner[order], column[order]
+    total = np.zeros((len(left), len(right)), np.float32)
+    row_l, row_r = np.full(len(grams), -1), np.full(len(grams), -1)
+    row_l[left], row_r[right] = np.arange(len(left)), np.arange(len(right))
+    width = 4096
+    for first in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+        lo, hi = np.searchsorted(column, [first, first + width])
+        sides = []
+        for place, count in ((row_l, len(left)), (row_r, len(right))):
+            side = np.zeros((count, width), np.float32)
+            at = place[owner[lo:hi]]
+            side[at[at >= 0], column[lo:hi][at >= 0] - first] = 1
+            sides.append(side)
+        total += sides[0] @ sides[1].T
+    return total[row_l[a], row_r[b]].astype(np.int64)
+
+
+def verify(candidates: DataFrame, docs: DataFrame, classes: DataFrame, percent: int, text: str, n: int, scratch: Scratch, tile: int = 1024) -> DataFrame:
     """(a, others, tree) of what links, checked once per pair against whole sets: the documents that a links with in
     other classes (several rows of one a add up), and the partners that keep every group connected.
 
@@ -518,32 +581,40 @@ def verify(candidates: DataFrame, docs: DataFrame, classes: DataFrame, percent:
     """
     family = components(_edges(candidates, "tree"), "a", "b").withColumnRenamed("component", "family")
     size = family.groupBy("family").agg(F.count("*").alias("members"))
-    family = family.join(size, "family").select(F.col("node").alias("a"), "family", "members")
+    family = scratch.put(family.join(size, "family").select(F.col("node").alias("a"), "family", "members"), "op5-families")
     placed = candidates.select("a", "partners").join(family, "a").select("a", "partners", "family", "members")
-    placed = scratch.put(placed.mapInArrow(_place(tile), "family binary, tile_a int, tile_b int, pairs binary"), "op5-placed")
+    placed = scratch.put(placed.mapInArrow(_place(tile), "family binary, tile_a int, tile_b int, a binary, partners binary"), "op5-placed")
     scratch.drop(candidates)
-    needed = placed.mapInArrow(_ends, "family binary, tile_a int, tile_b int, fp binary").distinct()
-    held = needed.join(_wanted_sets(docs, needed, text, n), "fp").join(classes.select("fp", "copies"), "fp")
+    ends = placed.mapInArrow(_ends, "family binary, tile_a int, tile_b int, name binary").distinct()
+    member = family.select("family", F.col("a").alias("fp"), F.substring("a", 1, NAME_BYTES).alias("name"))
+    needed = ends.join(member, ["family", "name"])
+    held = needed.join(_wanted_sets(docs, member, text, n), "fp").join(classes.select("fp", "copies"), "fp")
 
     def run(key, left, right):
         fps = right.column("fp").to_pylist()
-        grams = {fp: np.frombuffer(raw, np.uint64) for fp, raw in zip(fps, right.column("grams").to_pylist())}
-        copies = dict(zip(fps, right.column("copies").to_pylist()))
-        linked = []
-        for raw in left.column("pairs").to_pylist():
-            for k in range(0, len(raw), 2 * FP_BYTES):
-                a, b = raw[k : k + FP_BYTES], raw[k + FP_BYTES : k + 2 * FP_BYTES]
-                both = np.concatenate([grams[a], grams[b]])
-                both.sort()
-                inter = int((both[1:] == both[:-1]).sum())
-                if 100 * inter >= percent * (len(both) - inter):
-                    linked.append((a, b))
-        others: dict[bytes, int] = {}
-        for a, b in linked:
-            others[a] = others.get(a, 0) + copies[b]
-            others[b] = others.get(b, 0) + copies[a]
-        tree = _forest(linked)
-        return pa.table({"a": pa.array(list(others), pa.binary()), "others": pa.array(list(others.values()), pa.int64()), "tree": pa.array([b"".join(tree.get(a, ())) for a in others], pa.binary())})
+        grams = [np.frombuffer(raw, np.uint64) for raw in right.column("grams").to_pylist()]
+        size = np.array([len(g) for g in grams], np.int64)
+        copies = right.column("copies").to_numpy().astype(np.int64)
+        names = np.array([int.from_bytes(fp[:NAME_BYTES], "little") for fp in fps], np.uint64)
+        order = np.argsort(names)
+        partners = left.column("partners").to_pylist()
+        a = np.repeat(np.array([int.from_bytes(x, "little") for x in left.column("a").to_pylist()], np.uint64), [len(x) // NAME_BYTES for x in partners])
+        a, b = (order[np.searchsorted(names[order], x)] for x in (a, np.frombuffer(b"".join(partners), "<u8")))
+        # the product needs one tile on each side; within a tile any order of a pair does
+        inter = np.zeros(len(a), np.int64)
+        for lo in range(0, len(a), 1 << 21):
+            inter[lo : lo + (1 << 21)] = _common(grams, a[lo : lo + (1 << 21)], b[lo : lo + (1 << 21)])
+        linked = 100 * inter >= percent * (size[a] + size[b] - inter)
+        a, b = a[linked], b[linked]
+        others = np.zeros(len(fps), np.int64)
+        np.add.at(others, a, copies[b])
+        np.add.at(others, b, copies[a])
+        order = np.argsort(a, kind="stable")
+        a, b = a[order], b[order]
+        starts = np.flatnonzero(np.diff(a, prepend=-1)) if len(a) else np.zeros(0, np.int64)
+        trees = {x: b"".join(fps[k] for k in tree.tolist()) for x, _, tree in _forest(((int(a[lo]), b[lo:hi]) for lo, hi in zip(starts, [*starts[1:], len(a)])), len(fps))}
+        has = np.flatnonzero(others).tolist()
+        return pa.table({"a": pa.array([fps[k] for k in has], pa.binary()), "others": pa.array(others[has], pa.int64()), "tree": pa.array([trees.get(k, b"") for k in has], pa.binary())})
 
     held = held.select(F.col("family").alias("f"), F.col("tile_a").alias("i"), F.col("tile_b").alias("j"), "fp", "grams", "copies")
     return placed.groupBy("family", "tile_a", "tile_b").cogroup(held.groupBy("f", "i", "j")).applyInArrow(run, "a binary, others bigint, tree binary")

@@ -423,3 +423,26 @@ def test_filtering_stages_keep_columns_rows_and_odd_texts(spark, tmp_path, stage
     if stage == "decontamination":
         hit = given.limit(1).withColumn("text", F.lit("so One two three four five six seven eight nine ten and on"))
         assert call(spark, hit, str(tmp_path)).count() == 0
+
+
+def test_products_count_what_pairs_count():
+    rng = np.random.default_rng(2)
+    grams = [np.unique(rng.integers(0, 300, 60).astype(np.uint64)) for _ in range(40)]
+    a, b = np.triu_indices(40, 1)
+    want = [len(np.intersect1d(grams[x], grams[y])) for x, y in zip(a, b)]
+    assert jaccard._common(grams, a, b).tolist() == want == [int(jaccard._common(grams, a[k : k + 1], b[k : k + 1])[0]) for k in range(len(a))]
+
+
+def test_large_families_of_near_copies(spark):
+    rng = random.Random(9)
+    base = [f"w{k}" for k in range(120)]
+    texts = []
+    for k in range(90):
+        words = list(base)
+        for at in rng.sample(range(120), rng.randint(0, 6)):
+            words[at] = f"x{k}"
+        texts.append(" ".join(words))
+    sets = [{tuple(t.split()[k : k + 3]) for k in range(118)} for t in texts]
+    links = {(a, b) for a in range(90) for b in range(90) if a != b and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])}
+    got = {r["doc_id"]: r["n_links"] for r in jaccard.jaccard_groups(docs(spark, texts), percent=80).collect()}
+    assert got == {a: sum(x == a for x, _ in links) for a in range(90)}
