@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -63,11 +64,25 @@ def hash_groups(hashed: DataFrame, tau: int = 16, bands: int = 6, bits: int = 24
     return hashed.select("id", "hash").join(named, "hash", "left").select("id", F.coalesce("group_id", "id").alias("group_id"))
 
 
+def wide_edges(hashed: DataFrame) -> DataFrame:
+    """(src, dst, distance) of all pairs of hashes of any length: the baseline that sweeps of hash sizes are scored on."""
+    digits = F.length("hash")
+    words = F.transform(F.sequence(F.lit(1), digits, F.lit(8)), lambda i: F.conv(F.substring(F.col("hash"), i, F.lit(8)), 16, 10).cast("long"))
+    h = hashed.where("hash IS NOT NULL").select("id", words.alias("w"))
+    a, b = h.alias("a"), h.alias("b")
+    distance = F.aggregate(F.zip_with("a.w", "b.w", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
+    return a.join(b, F.col("a.id") < F.col("b.id")).select(F.col("a.id").alias("src"), F.col("b.id").alias("dst"), distance.alias("distance"))
+
+
 # ---- vectors
 
 
-def cosine_edges(vectors: DataFrame, least: float = 0.86, tile: int = 2048) -> DataFrame:
-    """(src, dst, similarity) of all pairs at or above ``least``: exact, tile by tile of bounded size."""
+def cosine_edges(vectors: DataFrame, least: float = 0.86, tile: int = 2048, forest: bool = False) -> DataFrame:
+    """(src, dst, similarity) of all pairs at or above ``least``: exact, tile by tile of bounded size.
+
+    ``forest`` keeps of each pair of tiles only the edges of a spanning forest: the same components from at most one edge
+    a vector and tile, where a class of many equal vectors would give the square of its size.
+    """
     rows = vectors.where("vec IS NOT NULL").select("id", "vec")
     n = rows.count()
     tiles = max(1, -(-n // tile))
@@ -78,25 +93,38 @@ def cosine_edges(vectors: DataFrame, least: float = 0.86, tile: int = 2048) -> D
     def run(key, table):
         i, j = key[0].as_py(), key[1].as_py()
         t = table.column("t").to_numpy()
-        ids = np.array(table.column("id").to_pylist(), object)
+        ids = table.column("id").combine_chunks()
+        order = np.empty(len(ids), np.int64)
+        order[pc.sort_indices(ids).to_numpy()] = np.arange(len(ids))
         v = np.array(table.column("vec").to_pylist())
         p, q = np.flatnonzero(t == i), np.flatnonzero(t == j)
-        out = ([], [], [])
         sims = v[p] @ v[q].T if len(p) and len(q) else np.zeros((0, 0))
-        for a, b in zip(*np.nonzero(sims >= least)):
-            x, y = ids[p[a]], ids[q[b]]
-            if p[a] == q[b] or (i == j and not x < y):
-                continue
-            out[0].append(min(x, y))
-            out[1].append(max(x, y))
-            out[2].append(float(sims[a, b]))
-        return pa.table([pa.array(out[0], table.schema.field("id").type), pa.array(out[1], table.schema.field("id").type), pa.array(out[2], pa.float64())], names=["src", "dst", "similarity"])
+        a, b = np.nonzero(sims >= least)
+        score = sims[a, b]
+        a, b = p[a], q[b]
+        once = order[a] < order[b] if i == j else a != b
+        a, b, score = a[once], b[once], score[once]
+        swap = order[a] > order[b]
+        a, b = np.where(swap, b, a), np.where(swap, a, b)
+        if forest and len(a):
+            label, keep = np.arange(len(ids)), np.zeros(len(a), bool)
+            by = np.argsort(a, kind="stable")
+            for lo, hi in zip(*(lambda x: (x, [*x[1:], len(a)]))(np.flatnonzero(np.diff(a[by], prepend=-1)))):
+                row = by[lo:hi]
+                own = label[a[row[0]]]
+                labels, first = np.unique(label[b[row]], return_index=True)
+                new = labels != own
+                if new.any():
+                    keep[row[first[new]]] = True
+                    label[np.isin(label, labels[new])] = own
+            a, b, score = a[keep], b[keep], score[keep]
+        return pa.table([ids.take(pa.array(a)), ids.take(pa.array(b)), pa.array(score, pa.float64())], names=["src", "dst", "similarity"])
 
     return dealt.groupBy("i", "j").applyInArrow(run, f"src {kind}, dst {kind}, similarity double")
 
 
 def vector_groups(vectors: DataFrame, least: float = 0.86, edges: DataFrame | None = None) -> DataFrame:
-    return assign(vectors, components(cosine_edges(vectors, least) if edges is None else edges))
+    return assign(vectors, components(cosine_edges(vectors, least, forest=True) if edges is None else edges))
 
 
 # ---- grouping

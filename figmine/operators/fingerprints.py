@@ -21,12 +21,22 @@ def _grams(text: str | None, n: int) -> list[str]:
     return list({" ".join(words[k : k + n]) for k in range(max(1, len(words) - n + 1))})
 
 
-def _gram_bits(gram: str, bits: int) -> np.ndarray:
-    raw, salt = b"", 0
-    while len(raw) * 8 < bits:
-        raw += hashlib.md5((gram if not salt else f"{gram}#{salt}").encode()).digest()
-        salt += 1
-    return np.unpackbits(np.frombuffer(raw, np.uint8))[:bits]
+def _digests(grams: list[str], size: int) -> np.ndarray:
+    """``size`` bytes of each n-gram's salted md5 digests, as a matrix."""
+    raw = []
+    for g in grams:
+        one = hashlib.md5(g.encode()).digest()
+        salt = 1
+        while len(one) < size:
+            one += hashlib.md5(f"{g}#{salt}".encode()).digest()
+            salt += 1
+        raw.append(one[:size])
+    return np.frombuffer(b"".join(raw), np.uint8).reshape(len(grams), size)
+
+
+def _sign_of(digests: np.ndarray, bits: int) -> str:
+    votes = np.unpackbits(digests, axis=1)[:, :bits].sum(axis=0, dtype=np.int64)
+    return np.packbits(2 * votes > len(digests)).tobytes().hex()[: bits // 4]
 
 
 def sign_hash(rows: DataFrame, text: str = "text", bits: int = 144, n: int = 3) -> DataFrame:
@@ -40,18 +50,36 @@ def sign_hash(rows: DataFrame, text: str = "text", bits: int = 144, n: int = 3)
             out = []
             for t in batch.column(batch.schema.names.index(text)).to_pylist():
                 grams = _grams(t, n)
-                if not grams:
-                    out.append(None)
-                    continue
-                votes = np.zeros(bits, np.int64)
-                for g in grams:
-                    votes += _gram_bits(g, bits)
-                out.append(np.packbits(2 * votes > len(grams)).tobytes().hex()[: bits // 4])
+                out.append(_sign_of(_digests(grams, -(-bits // 8)), bits) if grams else None)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], names=[*batch.schema.names, "hash"])
 
     return rows.mapInArrow(run, _schema(rows, "hash string"))
 
 
+def fingerprint(rows: DataFrame, text: str = "text", key: str = "id", bits: int = 144, n: int = 3, width: int = 512) -> DataFrame:
+    """(key, hash, vec): the sign hash and the dense vector of one set of word n-grams, whose digests are taken once."""
+
+    def run(batches):
+        for batch in batches:
+            hashes, vectors = [], []
+            for t in batch.column(1).to_pylist():
+                grams = _grams(t, n)
+                digests = _digests(grams, -(-bits // 8)) if grams else None
+                hashes.append(_sign_of(digests, bits) if grams else None)
+                vectors.append(_unit(_signed_counts(digests, width)) if grams else None)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hashes, pa.string()), pa.array([None if v is None else v.tolist() for v in vectors], pa.list_(pa.float64()))], names=[key, "hash", "vec"])
+
+    return rows.select(key, text).mapInArrow(run, f"`{key}` {rows.schema[key].dataType.simpleString()}, hash string, vec array<double>")
+
+
+def kept(df: DataFrame) -> DataFrame:
+    """``df`` written once into the shared checkpoint folder: what follows reads it and does not compute it again."""
+    from .graph import ensure_checkpoint_dir
+
+    ensure_checkpoint_dir(df.sparkSession)
+    return df.checkpoint()
+
+
 def sign_hash_sql(rows: DataFrame, key: str, text: str = "text") -> DataFrame:
     """(key, hash) of the 144-bit hash in DataFrame functions alone: the reference form, 36 rows a gram."""
     words = F.filter(F.split(F.lower(text), r"\s+"), lambda w: w != "")
@@ -116,10 +144,15 @@ def encode(text: str | None, kind: str, n: int, width: int) -> np.ndarray | None
     else:
         t = (text or "").lower()
         grams = [t[k : k + n] for k in range(len(t) - n + 1)]
-    v = np.zeros(width)
-    for g in grams:
-        d = hashlib.md5(g.encode()).hexdigest()
-        v[int(d[:8], 16) % width] += 1 if d[8] >= "8" else -1
+    return _unit(_signed_counts(_digests(grams, 16), width)) if grams else None
+
+
+def _signed_counts(digests: np.ndarray, width: int) -> np.ndarray:
+    place = digests[:, :4].astype(np.int64) @ np.array([1 << 24, 1 << 16, 1 << 8, 1]) % width
+    return np.bincount(place, np.where(digests[:, 4] >= 0x80, 1.0, -1.0), minlength=width)
+
+
+def _unit(v: np.ndarray) -> np.ndarray | None:
     size = float(np.sqrt(v @ v))
     return v / size if size else None
 

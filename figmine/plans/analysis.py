@@ -4,9 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..config import DEFAULT, PipelineConfig
-from ..operators import dedup, elements, fingerprints
+from ..config import CAPTION_FAILED, DEFAULT, PipelineConfig
+from ..functions.expressions import linear_prob
+from ..operators import collection, dedup, elements, fingerprints
 from ..sources import carriers as C
 
 
@@ -42,20 +44,63 @@ def prepare(rows: DataFrame, groups: DataFrame, cfg: PipelineConfig = DEFAULT) -
     best = dedup.representatives(sure)
     final = sure.join(best.select("id"), "id", "left_semi")
     side = F.greatest(F.length("text"), F.lit(1))
-    out = final.select(
+    return final.select(
         "id",
         "barcode_src",
-        "language_src",
-        F.round("detection_confidence", 6).alias("detection_confidence_gen"),
-        guarded.alias("class_gen"),
-        F.round("class_confidence", 6).alias("class_confidence_gen"),
-        F.col("group_id").alias("group_gen"),
         F.length("text").alias("width_gen"),
         F.lit(48).alias("height_gen"),
-        F.round(side * 48 / 1e6, 6).alias("megapixels_gen"),
-        elements.finalize_caption(elements.caption_eligible(F.col("raw_class")), caption).alias("caption_gen"),
+        F.round(side * 48 / 1e6, 6).alias("pixel_count_mpx_gen"),
+        F.round("detection_confidence", 6).alias("detection_confidence_gen"),
+        guarded.alias("classification_gen"),
+        F.round("class_confidence", 6).alias("classification_confidence_gen"),
+        elements.finalize_caption(elements.caption_eligible(F.col("raw_class")), caption).alias("caption_exp"),
     )
-    return out
+
+
+# fixed values: names and types of the published record
+FINAL_SCHEMA = """id bigint, crop_gen binary, barcode_src string, page_filename_src string, bbox_xyxy_gen array<float>, width_gen int, height_gen int,
+pixel_count_mpx_gen double, detection_confidence_gen double, classification_gen string, classification_confidence_gen double,
+classification_probs_gen array<struct<label:string,prob:double>>, phash_gen string, embedding_gen array<double>, caption_exp string,
+caption_linear_prob_exp double, caption_lang_passed_exp string, caption_lang_detected_exp string,
+caption_thesauri_matches_exp map<string,map<string,int>>, orientation_correction_gen string, orientation_correction_confidence_gen double,
+orientation_correction_probs_gen array<struct<label:string,prob:double>>"""
+# fixed values: the corrections, by quarter turns
+CORRECTIONS = ("upright", "rotate_90_clockwise", "rotate_180", "rotate_90_counterclockwise")
+
+
+def release_record(spark, sf_dir: str, released: DataFrame, prints: DataFrame, cfg: PipelineConfig = DEFAULT) -> DataFrame:
+    """The released elements as the published record of 22 columns. ``prints`` has (id, hash, vec). A document has no
+    picture, so ``crop_gen`` is null; what a step did not produce for an element is null too."""
+    docs = C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "lang", "text")
+    rows = released.join(docs, "id").join(prints.select("id", F.col("hash").alias("phash_gen"), F.col("vec").alias("embedding_gen")), "id", "left")
+    turned = elements.orientation_scores(rows.withColumn("degrees", F.lit(0)))
+    labels = F.array(*[F.lit(x) for x in CORRECTIONS])
+    probs = F.array_sort(F.transform("scores", lambda p, k: F.struct(F.get(labels, k).alias("label"), p.alias("prob"))), lambda a, b: F.when(a["prob"] > b["prob"], -1).when(a["prob"] < b["prob"], 1).when(a["label"] < b["label"], -1).otherwise(1))
+    pictured = F.col("classification_gen").isin("illustration", "chart")
+    best = F.get(probs, 0)
+    said = F.when(best["prob"] >= cfg.orient_confidence, best["label"]).otherwise(CORRECTIONS[0])
+    words = F.filter(F.split(F.coalesce("caption_exp", F.lit("")), r"\s+"), lambda w: w != "")
+    # the built-in provider is sure of short words; it stands for stored token log-probabilities
+    tokens = F.transform(words, lambda w: -F.length(w) / F.lit(100.0))
+    hits = F.map_from_entries(F.transform(F.array(*[F.lit(t) for t in MUSIC_TERMS]), lambda t: F.struct(t, F.map_from_arrays(F.array(t), F.array(F.size(F.filter(words, lambda w: w == t)))))))
+    code = F.coalesce(F.try_element_at(F.create_map(*[F.lit(x) for k, v in {"en": "eng", "de": "deu", "fr": "fra", "es": "spa"}.items() for x in (k, v)]), F.col("lang")), F.lit("eng"))
+    probs_of_class = collection.softmax([C.unit_hash("id", f"p{k}") for k in range(5)])
+    captioned = F.col("caption_exp").isNotNull()
+    columns = {
+        "crop_gen": F.lit(None),
+        "page_filename_src": F.concat("barcode_src", F.lit("/"), F.col("id").cast("string"), F.lit(".txt")),
+        "bbox_xyxy_gen": F.array(F.lit(0.0), F.lit(0.0), F.col("width_gen").cast("double"), F.col("height_gen").cast("double")),
+        "classification_probs_gen": probs_of_class,
+        "caption_linear_prob_exp": F.when(captioned, linear_prob(tokens)),
+        "caption_lang_passed_exp": F.when(captioned, code),
+        "caption_lang_detected_exp": F.when(captioned & (F.col("caption_exp") != CAPTION_FAILED), code),
+        "caption_thesauri_matches_exp": F.when(captioned, F.map_filter(hits, lambda k, v: F.element_at(F.map_values(v), 1) > 0)),
+        "orientation_correction_gen": F.when(pictured, said),
+        "orientation_correction_confidence_gen": F.when(pictured, best["prob"]),
+        "orientation_correction_probs_gen": F.when(pictured, probs),
+    }
+    schema = T.StructType.fromDDL(FINAL_SCHEMA)
+    return turned.select(*[columns.get(f.name, F.col(f.name) if f.name in turned.columns else F.lit(None)).cast(f.dataType).alias(f.name) for f in schema.fields])
 
 
 def check_suffixes(df: DataFrame, keys=("id",)) -> list[str]:
@@ -63,17 +108,27 @@ def check_suffixes(df: DataFrame, keys=("id",)) -> list[str]:
     return [c for c in df.columns if c not in keys and not c.endswith(("_src", "_gen", "_exp"))]
 
 
-def release_groups(rows: DataFrame, cfg: PipelineConfig = DEFAULT) -> DataFrame:
-    """(id, group_id): elements are one group only where the bit hash and the vector both put them together."""
-    texts = rows.select("id", "text")
-    by_hash = dedup.hash_groups(fingerprints.sign_hash(texts).select("id", "hash"), cfg.hamming, cfg.bands, cfg.band_bits)
-    by_vector = dedup.vector_groups(fingerprints.embed(texts).select("id", "vec"), cfg.similarity)
+def release_groups(prints: DataFrame, cfg: PipelineConfig = DEFAULT) -> DataFrame:
+    """(id, group_id) from (id, hash, vec): elements are one group only where the bit hash and the vector both put them
+    together."""
+    by_hash = dedup.hash_groups(prints.select("id", "hash"), cfg.hamming, cfg.bands, cfg.band_bits)
+    by_vector = dedup.vector_groups(prints.select("id", "vec"), cfg.similarity)
     return dedup.intersect_groups(by_hash, by_vector).select("id", "group_id")
 
 
-def flagship(spark, sf_dir: str) -> DataFrame:
+def released(spark, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    """The release's own columns, and the fingerprints they were grouped by, which are worked out once and kept."""
     rows = document_elements(spark, sf_dir)
-    return prepare(rows, release_groups(rows))
+    prints = fingerprints.kept(fingerprints.fingerprint(rows))
+    return prepare(rows, release_groups(prints)), prints
+
+
+def flagship(spark, sf_dir: str) -> DataFrame:
+    return released(spark, sf_dir)[0]
+
+
+def full_record(spark, sf_dir: str) -> DataFrame:
+    return release_record(spark, sf_dir, *released(spark, sf_dir))
 
 
 # ---- workloads over detections and volumes
@@ -148,18 +203,25 @@ def coverage_by(spark, sf_dir: str, by: str, top: int = 20, least: int = DEFAULT
     return out.orderBy(F.desc("detections"), by).limit(top)
 
 
-def reach_cube(spark, sf_dir: str, least: int = 8) -> DataFrame:
+def reach_cube(spark, sf_dir: str, least: int = DEFAULT.coverage_minimum) -> DataFrame:
     d = C.detections(spark, sf_dir).groupBy("volume_id").agg(F.count("*").alias("n"))
     v = C.volumes(spark, sf_dir).join(d, "volume_id", "left").withColumn("hit", F.coalesce(F.col("n") >= least, F.lit(False)).cast("int"))
     return v.cube("language_src", "topic").agg(F.count("*").alias("volumes"), F.round(F.avg("hit"), 6).alias("reach"))
 
 
 def concentration(spark, sf_dir: str) -> DataFrame:
-    """Share of detections that the tenth of the volumes with most of them holds, by topic."""
+    """Share of detections that the tenth of the volumes with most of them holds, by topic.
+
+    Volumes are counted by size first, so the window runs over the distinct sizes of a topic and not over its volumes;
+    the size at which the tenth ends counts with the part of its volumes that is inside.
+    """
     d = C.detections(spark, sf_dir).groupBy("volume_id").agg(F.count("*").alias("n"))
-    v = C.volumes(spark, sf_dir).join(d, "volume_id")
-    r = v.withColumn("r", F.percent_rank().over(Window.partitionBy("topic").orderBy(F.desc("n"), "volume_id")))
-    return r.groupBy("topic").agg(F.round(F.sum(F.when(F.col("r") < 0.1, F.col("n")).otherwise(0)) / F.sum("n"), 6).alias("top_share"))
+    sizes = C.volumes(spark, sf_dir).join(d, "volume_id").groupBy("topic", "n").agg(F.count("*").alias("volumes"))
+    larger = Window.partitionBy("topic").orderBy(F.desc("n")).rowsBetween(Window.unboundedPreceding, -1)
+    all_ = Window.partitionBy("topic")
+    r = sizes.withColumn("before", F.coalesce(F.sum("volumes").over(larger), F.lit(0))).withColumn("tenth", F.ceil(F.sum("volumes").over(all_) / 10))
+    inside = F.greatest(F.lit(0), F.least("volumes", F.col("tenth") - F.col("before")))
+    return r.groupBy("topic").agg(F.round(F.sum(inside * F.col("n")) / F.sum(F.col("volumes") * F.col("n")), 6).alias("top_share"))
 
 
 # ---- footprint

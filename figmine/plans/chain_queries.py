@@ -10,7 +10,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions.expressions import cosine, linear_prob, mean_logprob
-from ..operators import dedup, elements, fingerprints, knn
+from ..operators import collection, dedup, elements, fingerprints, knn
 from ..sources import carriers as C
 from . import analysis as A
 
@@ -37,8 +37,8 @@ _add("w05_confidence", A.confidence_profile, f"WITH {C.DETECTIONS_SQL} SELECT ra
 _add("w14_temporal", A.temporal_coverage, f"{DV}, d AS (SELECT volume_id, count(*) AS n, year(min(shipped)) AS date2 FROM detections GROUP BY 1) SELECT coalesce(date1_src, date2)::INTEGER AS year, count(*) AS volumes, count_if(n >= 10)::BIGINT AS visual FROM volumes LEFT JOIN d USING (volume_id) WHERE coalesce(date1_src, date2) IS NOT NULL GROUP BY 1")
 for _name, _by in (("w14_language", "language_src"), ("w14_topic", "topic")):
     _add(_name, partial(A.coverage_by, by=_by), f"{DV}, d AS (SELECT volume_id, count(*) AS n FROM detections GROUP BY 1), g AS (SELECT {_by}, count(*) AS volumes, coalesce(sum(n), 0)::BIGINT AS detections, count_if(n >= 10)::BIGINT AS visual FROM volumes LEFT JOIN d USING (volume_id) GROUP BY 1) SELECT {_by}, volumes, detections, visual, round(detections / sum(detections) OVER (), 6)::DOUBLE AS share_detections, round(volumes / sum(volumes) OVER (), 6)::DOUBLE AS share_volumes, round(visual / volumes, 6)::DOUBLE AS reach FROM g ORDER BY detections DESC, {_by} LIMIT 20")
-_add("w14_reach", A.reach_cube, f"{DV}, d AS (SELECT volume_id, count(*) AS n FROM detections GROUP BY 1) SELECT language_src, topic, count(*) AS volumes, round(avg(coalesce(n >= 8, false)::INT), 6) AS reach FROM volumes LEFT JOIN d USING (volume_id) GROUP BY CUBE (language_src, topic)")
-_add("w14_concentration", A.concentration, f"{DV}, d AS (SELECT volume_id, count(*) AS n FROM detections GROUP BY 1), r AS (SELECT topic, n, percent_rank() OVER (PARTITION BY topic ORDER BY n DESC, volume_id) AS r FROM volumes JOIN d USING (volume_id)) SELECT topic, round(sum(CASE WHEN r < 0.1 THEN n ELSE 0 END) / sum(n), 6)::DOUBLE AS top_share FROM r GROUP BY 1")
+_add("w14_reach", A.reach_cube, f"{DV}, d AS (SELECT volume_id, count(*) AS n FROM detections GROUP BY 1) SELECT language_src, topic, count(*) AS volumes, round(avg(coalesce(n >= 10, false)::INT), 6) AS reach FROM volumes LEFT JOIN d USING (volume_id) GROUP BY CUBE (language_src, topic)")
+_add("w14_concentration", A.concentration, f"{DV}, d AS (SELECT volume_id, count(*) AS n FROM detections GROUP BY 1), r AS (SELECT topic, n, row_number() OVER (PARTITION BY topic ORDER BY n DESC) AS r, count(*) OVER (PARTITION BY topic) AS k FROM volumes JOIN d USING (volume_id)) SELECT topic, round(sum(CASE WHEN r <= ceil(k / 10) THEN n ELSE 0 END) / sum(n), 6)::DOUBLE AS top_share FROM r GROUP BY 1")
 _LOG = "l AS (SELECT CAST(json_extract(props, '$.k') AS INTEGER) AS batch, event_type AS step, value AS seconds FROM events)"
 _add("w15_step_shares", A.step_shares, f"WITH {_LOG}, g AS (SELECT step, sum(seconds) AS s, count(*) AS items FROM l GROUP BY 1) SELECT step, items, round(s, 4) AS seconds, round(s / sum(s) OVER (), 6) AS share_span, round(CASE WHEN step <> 'error' THEN s END / sum(CASE WHEN step <> 'error' THEN s END) OVER (), 6) AS share_active FROM g")
 _add("w15_batch_profile", A.batch_profile, f"WITH {_LOG}, g AS (SELECT step, batch, sum(seconds) AS s FROM l GROUP BY 1, 2) SELECT step, count(*) AS batches, round(avg(s), 4) AS mean, round(min(s), 4) AS least, round(max(s), 4) AS most FROM g GROUP BY 1")
@@ -162,7 +162,7 @@ GROUP_SQL = """both_ways AS (SELECT src, dst FROM banded UNION SELECT dst, src F
 
 
 def hashed_documents(spark, sf_dir):
-    return fingerprints.sign_hash(C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")).select("id", "hash")
+    return fingerprints.kept(fingerprints.sign_hash(C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")).select("id", "hash"))
 
 
 _add("w07_sign_hash", lambda s, d: hashed_documents(s, d).where("hash IS NOT NULL"), f"WITH {HASH_SQL} SELECT id, hash FROM hashes")
@@ -174,7 +174,7 @@ _add("w07_bucket_sizes", lambda s, d: dedup.bucket_sizes(hashed_documents(s, d))
 
 def band_quality(spark, sf_dir):
     """Found and exhaustive pairs, and candidates met, of three ways to cut the hash into bands."""
-    h = hashed_documents(spark, sf_dir).persist()
+    h = hashed_documents(spark, sf_dir)
     full = dedup.exhaustive_edges(h).agg(F.count("*").alias("exhaustive"))
     rows = None
     for bands, bits in ((6, 24), (9, 16), (18, 8)):
@@ -198,11 +198,26 @@ _add("w07_band_quality", band_quality, _quality_sql())
 
 
 def embedded_documents(spark, sf_dir, encoder="word3"):
-    return fingerprints.embed(C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), encoder=encoder).select("id", "vec")
-
-
-_add("w08_vector_groups", lambda s, d: dedup.vector_groups(embedded_documents(s, d)))
-_add("w08_planted_edges", lambda s, d: dedup.cosine_edges(C.planted_vectors(s, d)).select("src", "dst", F.round("similarity", 6).alias("similarity")))
+    return fingerprints.kept(fingerprints.embed(C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), encoder=encoder).select("id", "vec"))
+
+
+VECTOR_SQL = """vb AS (SELECT doc_id, ('0x' || substr(md5(gram), 1, 8))::BIGINT % 512 AS k, sum(CASE WHEN substr(md5(gram), 9, 1) >= '8' THEN 1 ELSE -1 END)::DOUBLE AS w FROM g GROUP BY 1, 2),
+cells AS (SELECT doc_id, k FROM (SELECT DISTINCT doc_id FROM g), (SELECT unnest(range(0, 512)) AS k)),
+dense AS (SELECT doc_id AS id, list(coalesce(w, 0.0::DOUBLE) ORDER BY k) AS v FROM cells LEFT JOIN vb USING (doc_id, k) GROUP BY 1),
+vec AS (SELECT id, v, sqrt(list_inner_product(v, v)) AS s FROM dense),
+vnear AS (SELECT a.id AS src, b.id AS dst FROM vec a JOIN vec b ON a.id < b.id AND a.s > 0 AND b.s > 0 AND list_inner_product(a.v, b.v) >= 0.86::DOUBLE * a.s * b.s)"""
+VECTOR_GROUP_SQL = """vboth AS (SELECT src, dst FROM vnear UNION SELECT dst, src FROM vnear), vreach(id, far) AS (SELECT doc_id, doc_id FROM documents UNION SELECT vreach.id, vboth.dst FROM vreach JOIN vboth ON vreach.far = vboth.src), vector_groups AS (SELECT id, min(far) AS group_id FROM vreach GROUP BY 1)"""
+BOTH_SQL = "both_groups AS (SELECT h.id, min(h.id) OVER (PARTITION BY h.group_id, v.group_id) AS group_id FROM hash_groups h JOIN vector_groups v ON h.id = v.id)"
+CASCADE_SQL = """reps AS (SELECT hash, min(id) AS id FROM hashes GROUP BY 1), met AS (SELECT src, dst FROM banded WHERE src IN (SELECT id FROM reps) AND dst IN (SELECT id FROM reps) UNION SELECT r.id, h.id FROM hashes h JOIN reps r ON h.hash = r.hash AND h.id > r.id),
+ce AS (SELECT src, dst FROM met JOIN vec a ON a.id = src JOIN vec b ON b.id = dst WHERE list_inner_product(a.v, b.v) >= 0.86::DOUBLE * a.s * b.s), cboth AS (SELECT src, dst FROM ce UNION SELECT dst, src FROM ce),
+creach(id, far) AS (SELECT doc_id, doc_id FROM documents UNION SELECT creach.id, cboth.dst FROM creach JOIN cboth ON creach.far = cboth.src), cascade_groups AS (SELECT id, min(far) AS group_id FROM creach GROUP BY 1)"""
+ALL_GROUPS_SQL = f"WITH RECURSIVE {EDGE_SQL}, {GROUP_SQL}, {VECTOR_SQL}, {VECTOR_GROUP_SQL}, {BOTH_SQL}, {CASCADE_SQL}"
+PLANTED_SQL = """p AS (SELECT vec_id, v, unnest(range(0, CASE WHEN vec_id % 7 = 0 THEN (vec_id // 7) % 12 + 2 ELSE 1 END)) AS k FROM (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings)),
+m AS (SELECT vec_id, k, list_transform(range(1, len(v) + 1), lambda i: v[i] + 0.05::DOUBLE * k * v[(i - 1 + k) % len(v) + 1]) AS m FROM p),
+planted AS (SELECT vec_id || ':' || k AS id, vec_id AS truth_group, list_transform(m, lambda x: x / sqrt(list_inner_product(m, m))) AS vec FROM m),
+found AS (SELECT a.id AS src, b.id AS dst, a.truth_group = b.truth_group AS right_, list_inner_product(a.vec, b.vec) AS similarity FROM planted a JOIN planted b ON a.id < b.id AND list_inner_product(a.vec, b.vec) >= 0.86::DOUBLE)"""
+_add("w08_vector_groups", lambda s, d: dedup.vector_groups(embedded_documents(s, d)), f"WITH RECURSIVE {HASH_SQL}, {VECTOR_SQL}, {VECTOR_GROUP_SQL} SELECT id, group_id FROM vector_groups")
+_add("w08_planted_edges", lambda s, d: dedup.cosine_edges(C.planted_vectors(s, d)).select("src", "dst", F.round("similarity", 6).alias("similarity")), f"WITH {PLANTED_SQL} SELECT src, dst, round(similarity, 6) AS similarity FROM found")
 
 
 def planted_quality(spark, sf_dir):
@@ -211,7 +226,7 @@ def planted_quality(spark, sf_dir):
     return dedup.pair_metrics(dedup.cosine_edges(v), truth)
 
 
-_add("w08_planted_quality", planted_quality)
+_add("w08_planted_quality", planted_quality, f"WITH {PLANTED_SQL}, n AS (SELECT truth_group, count(*) AS n FROM planted GROUP BY 1), c AS (SELECT (SELECT count(*) FROM found) AS found, (SELECT sum(n * (n - 1) // 2)::BIGINT FROM n) AS truth, (SELECT count(*) FROM found WHERE right_) AS hits) SELECT found, truth, hits AS both, round(hits / found, 6)::DOUBLE AS precision, round(hits / truth, 6)::DOUBLE AS recall, round(2 * (hits / found) * (hits / truth) / (hits / found + hits / truth), 6)::DOUBLE AS f1 FROM c".replace("hits AS both", 'hits AS "both"'))
 
 
 def ann_recall(spark, sf_dir):
@@ -229,8 +244,9 @@ _add("w08_ann_recall", ann_recall)
 
 
 def strategies(spark, sf_dir):
-    h, v = hashed_documents(spark, sf_dir).persist(), embedded_documents(spark, sf_dir).persist()
-    by_hash, by_vector = dedup.hash_groups(h).persist(), dedup.vector_groups(v).persist()
+    prints = fingerprints.kept(fingerprints.fingerprint(C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")))
+    h, v = prints.select("id", "hash"), prints.select("id", "vec")
+    by_hash, by_vector = dedup.hash_groups(h), dedup.vector_groups(v)
     ways = (("hash", by_hash), ("vector", by_vector), ("both", dedup.intersect_groups(by_hash, by_vector).select("id", "group_id")), ("cascade", dedup.cascade_groups(h, v)))
     out = None
     for name, groups in ways:
@@ -239,9 +255,11 @@ def strategies(spark, sf_dir):
     return out
 
 
-_add("w09_strategies", strategies)
+_STATS = "SELECT '{0}' AS strategy, sum(m)::BIGINT AS elements, count(*) AS groups, round(1 - count(*) / sum(m), 6)::DOUBLE AS reduction, round(avg((m = 1)::INT), 6) AS singleton_share, max(m) AS largest FROM (SELECT count(*) AS m FROM {1} GROUP BY group_id)"
+_add("w09_strategies", strategies, ALL_GROUPS_SQL + " " + " UNION ALL ".join(_STATS.format(a, b) for a, b in (("hash", "hash_groups"), ("vector", "vector_groups"), ("both", "both_groups"), ("cascade", "cascade_groups"))))
+_add("w09_largest_groups", lambda s, d: collection.largest_groups(dedup.hash_groups(hashed_documents(s, d))), f"WITH RECURSIVE {EDGE_SQL}, {GROUP_SQL} SELECT group_id, count(*) AS members, min(id) AS first, max(id) AS last FROM hash_groups GROUP BY 1 ORDER BY members DESC, group_id LIMIT 10")
 _add("w09_group_sizes", lambda s, d: dedup.group_sizes(dedup.hash_groups(hashed_documents(s, d))), f"WITH RECURSIVE {EDGE_SQL}, {GROUP_SQL}, s AS (SELECT group_id, count(*) AS members FROM hash_groups GROUP BY 1) SELECT members, count(*) AS groups FROM s GROUP BY 1")
-_add("w09_cascade", lambda s, d: dedup.cascade_groups(hashed_documents(s, d), embedded_documents(s, d)))
+_add("w09_cascade", lambda s, d: dedup.cascade_groups(hashed_documents(s, d), embedded_documents(s, d)), ALL_GROUPS_SQL + " SELECT id, group_id FROM cascade_groups")
 
 
 def _truth_pairs(spark, sf_dir, least=0.5):
@@ -255,11 +273,12 @@ def _truth_pairs(spark, sf_dir, least=0.5):
 
 def sweep_vectors(spark, sf_dir):
     """Best threshold and its precision, recall and F1 for each encoder, against word n-gram overlap."""
-    truth = _truth_pairs(spark, sf_dir).persist()
+    truth = fingerprints.kept(_truth_pairs(spark, sf_dir))
     n = truth.count()
     out = None
-    for name, low in (("word3", 0.4), ("word1", 0.9), ("char3", 0.9), ("char1", 0.99)):
-        found = dedup.cosine_edges(embedded_documents(spark, sf_dir, name), low)
+    for name in ("word3", "word1", "char3", "char1"):
+        # every pair is scored: a baseline is judged over its whole range
+        found = dedup.cosine_edges(embedded_documents(spark, sf_dir, name), -2.0)
         scored = found.join(truth.withColumn("t", F.lit(True)), ["src", "dst"], "left").select(F.round("similarity", 4).alias("score"), F.coalesce("t", F.lit(False)).alias("is_true"))
         one = dedup.best_threshold(dedup.sweep(scored, max(n, 1))).select(F.lit(name).alias("encoder"), "*")
         out = one if out is None else out.unionByName(one)
@@ -270,14 +289,14 @@ _add("w06_sweep_vectors", sweep_vectors)
 
 
 def sweep_hashes(spark, sf_dir):
-    truth = _truth_pairs(spark, sf_dir).persist()
+    truth = fingerprints.kept(_truth_pairs(spark, sf_dir))
     n = truth.count()
     out = None
     docs = C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text")
-    h = fingerprints.sign_hash(docs).select("id", "hash")
-    d = fingerprints.dct_hash(docs, side=12).select("id", "hash")
-    for name, hashed in (("sign144", h), ("dct12", d)):
-        scored = dedup.exhaustive_edges(hashed, 48).join(truth.withColumn("t", F.lit(True)), ["src", "dst"], "left").select(F.col("distance").alias("score"), F.coalesce("t", F.lit(False)).alias("is_true"))
+    ways = [(f"sign{bits}", fingerprints.sign_hash(docs, bits=bits)) for bits in (64, 144, 256)] + [(f"dct{side}", fingerprints.dct_hash(docs, side=side)) for side in (8, 12, 16, 24)]
+    for name, hashed in ways:
+        pairs = dedup.wide_edges(fingerprints.kept(hashed.select("id", "hash")))
+        scored = pairs.join(truth.withColumn("t", F.lit(True)), ["src", "dst"], "left").select(F.col("distance").alias("score"), F.coalesce("t", F.lit(False)).alias("is_true"))
         one = dedup.best_threshold(dedup.sweep(scored, max(n, 1), ascending=True), ascending=True).select(F.lit(name).alias("hash"), "*")
         out = one if out is None else out.unionByName(one)
     return out
@@ -357,10 +376,11 @@ def gate_sweep(spark, sf_dir):
 
 
 _add("w12_gate_sweep", gate_sweep)
-_add("w13_prepare", A.flagship, f"""WITH RECURSIVE {EDGE_SQL}, {GROUP_SQL}, {A.ELEMENTS_SQL}, sure AS (SELECT e.*, h.group_id FROM elements e JOIN hash_groups h USING (id) WHERE detection_confidence >= 0.75),
+_add("w13_prepare", A.flagship, f"""{ALL_GROUPS_SQL}, {A.ELEMENTS_SQL}, sure AS (SELECT e.*, h.group_id FROM elements e JOIN both_groups h USING (id) WHERE detection_confidence >= 0.75),
 best AS (SELECT group_id, arg_max(id, (detection_confidence, -id)) AS id FROM sure GROUP BY 1), f AS (SELECT s.*, nullif(array_to_string(list_filter(regexp_split_to_array(coalesce(text, ''), '\\s+'), lambda x: x <> '')[1:50], ' '), '') AS caption FROM sure s JOIN best USING (id))
-SELECT id, barcode_src, language_src, round(detection_confidence, 6) AS detection_confidence_gen, CASE WHEN class_confidence < 0.70 THEN 'other' WHEN raw_class = 'music' AND NOT (class_confidence >= 0.99 OR regexp_matches(coalesce(caption, ''), '(?i)(?:^|[^\\p{{L}}\\p{{N}}])(?:the|und|que|les)(?:$|[^\\p{{L}}\\p{{N}}])')) THEN 'other' ELSE raw_class END AS class_gen,
-round(class_confidence, 6) AS class_confidence_gen, f.group_id AS group_gen, length(text)::INTEGER AS width_gen, 48 AS height_gen, round(greatest(length(text), 1) * 48 / 1e6, 6) AS megapixels_gen, CASE WHEN raw_class NOT IN ('decorative', 'artifact') THEN coalesce(caption, 'CAPTION FAILED') END AS caption_gen FROM f""")
+SELECT id, barcode_src, length(text)::INTEGER AS width_gen, 48 AS height_gen, round(greatest(length(text), 1) * 48 / 1e6, 6) AS pixel_count_mpx_gen, round(detection_confidence, 6) AS detection_confidence_gen, CASE WHEN class_confidence < 0.70 THEN 'other' WHEN raw_class = 'music' AND NOT (class_confidence >= 0.99 OR regexp_matches(coalesce(caption, ''), '(?i)(?:^|[^\\p{{L}}\\p{{N}}])(?:the|und|que|les)(?:$|[^\\p{{L}}\\p{{N}}])')) THEN 'other' ELSE raw_class END AS classification_gen,
+round(class_confidence, 6) AS classification_confidence_gen, CASE WHEN raw_class NOT IN ('decorative', 'artifact') THEN coalesce(caption, 'CAPTION FAILED') END AS caption_exp FROM f""")
+_add("w13_record", A.full_record)
 
 
 def leakage(spark, sf_dir):

@@ -1,6 +1,7 @@
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from figmine.functions import expressions as E
 from figmine.operators import dedup, elements, fingerprints, graph, knn
@@ -126,8 +127,11 @@ def test_release_keeps_what_only_one_grouping_joins(spark, tmp_path):
     spark.createDataFrame([(k, t, "en", "s") for k, t in zip(sure, texts)], "doc_id long, text string, lang string, source string").write.parquet(str(tmp_path / "documents.parquet"))
     hashed = fingerprints.sign_hash(spark.read.parquet(str(tmp_path / "documents.parquet")).select(F.col("doc_id").alias("id"), "text"))
     assert {r["group_id"] for r in dedup.hash_groups(hashed.select("id", "hash")).collect()} == {sure[0]}
-    got = {r["group_gen"] for r in analysis.flagship(spark, str(tmp_path)).collect()}
-    assert got == {sure[0], sure[1]}
+    groups = {r["id"]: r["group_id"] for r in analysis.release_groups(fingerprints.fingerprint(hashed.select("id", "text"))).collect()}
+    assert groups == {sure[0]: sure[0], sure[1]: sure[1], sure[2]: sure[0]}
+    got = analysis.full_record(spark, str(tmp_path))
+    assert [f.name for f in got.schema] == [f.name for f in T.StructType.fromDDL(analysis.FINAL_SCHEMA)] and len(got.columns) == 22
+    assert analysis.check_suffixes(got) == [] and got.count() == 2
 
 
 def test_language_profiles_read_whole_texts(spark):
