@@ -53,7 +53,7 @@ def sign_hash(rows: DataFrame, text: str = "text", bits: int = 144, n: int = 3)
                 out.append(_sign_of(_digests(grams, -(-bits // 8)), bits) if grams else None)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.string())], names=[*batch.schema.names, "hash"])
 
-    return rows.mapInArrow(run, _schema(rows, "hash string"))
+    return spread(rows).mapInArrow(run, _schema(rows, "hash string"))
 
 
 def fingerprint(rows: DataFrame, text: str = "text", key: str = "id", bits: int = 144, n: int = 3, width: int = 512) -> DataFrame:
@@ -69,7 +69,13 @@ def fingerprint(rows: DataFrame, text: str = "text", key: str = "id", bits: int
                 vectors.append(_unit(_signed_counts(digests, width)) if grams else None)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hashes, pa.string()), pa.array([None if v is None else v.tolist() for v in vectors], pa.list_(pa.float64()))], names=[key, "hash", "vec"])
 
-    return rows.select(key, text).mapInArrow(run, f"`{key}` {rows.schema[key].dataType.simpleString()}, hash string, vec array<double>")
+    return spread(rows.select(key, text)).mapInArrow(run, f"`{key}` {rows.schema[key].dataType.simpleString()}, hash string, vec array<double>")
+
+
+def spread(rows: DataFrame) -> DataFrame:
+    """``rows`` over all cores where the files give fewer parts than there are, as a single small file does; else as they are."""
+    cores = rows.sparkSession.sparkContext.defaultParallelism
+    return rows.repartition(cores) if rows.rdd.getNumPartitions() < cores else rows
 
 
 def kept(df: DataFrame) -> DataFrame:
@@ -166,4 +172,4 @@ def embed(rows: DataFrame, text: str = "text", encoder: str = "word3") -> DataFr
             vectors = [encode(t, kind, n, width) for t in batch.column(batch.schema.names.index(text)).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([None if v is None else v.tolist() for v in vectors], pa.list_(pa.float64()))], names=[*batch.schema.names, "vec"])
 
-    return rows.mapInArrow(run, _schema(rows, "vec array<double>"))
+    return spread(rows).mapInArrow(run, _schema(rows, "vec array<double>"))

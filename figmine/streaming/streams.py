@@ -78,7 +78,7 @@ def distinct_pairs(events: DataFrame) -> DataFrame:
 
 def answered_in_time(requests: DataFrame, responses: DataFrame, seconds: int = 20) -> DataFrame:
     """Requests with the response of the same conversation's next turn within the time allowed. Times are made of the ids."""
-    at = lambda c: F.timestamp_seconds(F.col("conv_id") * 1000 + F.col("turn") * c)
+    at = lambda c: F.timestamp_seconds(F.lit(1_000_000_000) + F.col("conv_id") * 1000 + F.col("turn") * c)
     a = requests.where("role = 'user'").select(F.col("conv_id").alias("c"), F.col("turn").alias("asked"), at(15).alias("t")).withWatermark("t", "1 hour")
     b = responses.where("role = 'assistant'").select("conv_id", F.col("turn").alias("answered"), at(15).alias("u")).withWatermark("u", "1 hour")
     met = (F.col("c") == F.col("conv_id")) & (F.col("u") > F.col("t")) & (F.col("u") <= F.col("t") + F.expr(f"INTERVAL {seconds} SECONDS"))
