@@ -7,15 +7,17 @@ better priority, or inside a longer one of the same priority, is suppressed. The
 word on their own and stay whatever the rules say.
 
 Nulls and edge cases: a null text is an empty one: no words, no labels, score 0; repeated rows give a row each; texts
-of any length are read whole; extra columns are ignored.
+of any length are read whole; extra columns pass through, and one named like a result column is replaced by it.
 """
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lower_ascii
+from .common import free_names, lower_ascii
 
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
@@ -83,10 +85,102 @@ COMMONS = (
 COMMONS_VERSIONS = ("1\\.0", "2\\.0", "2\\.5", "3\\.0", "4\\.0")
 
 
+#: Signatures of notices and licence bodies, written by hand: label, keyword (in every match), the words in their order.
+#: Between words there may be blanks, line ends and the marks of comments.
+SIGNATURES = (
+    ("mit", "granted", "permission is hereby granted, free of charge, to any person obtaining a copy"),
+    ("mit", "opensource.org", "opensource.org/licenses/mit"),
+    ("mit-0", "attribution", "mit no attribution"),
+    ("x11", "contained", "except as contained in this notice, the name"),
+    ("bsd", "redistribution", "redistribution and use in source and binary forms, with or without modification"),
+    ("bsd", "opensource.org", "opensource.org/licenses/bsd-license"),
+    ("bsd-3-clause", "endorse", "may be used to endorse or promote products derived from this software"),
+    ("bsd-3-clause", "opensource.org", "opensource.org/licenses/bsd-3-clause"),
+    ("bsd-2-clause", "opensource.org", "opensource.org/licenses/bsd-2-clause"),
+    ("bsd-4-clause", "advertising", "all advertising materials mentioning features or use of this software"),
+    ("isc", "distribute", "permission to use, copy, modify, and/or distribute this software for any purpose"),
+    ("postgresql", "documentation", "permission to use, copy, modify, and distribute this software and its documentation for any purpose, without fee"),
+    ("hpnd", "permission", "provided that the above copyright notice appears in all copies and that both that copyright notice and this permission notice appear"),
+    ("zlib", "misrepresented", "the origin of this software must not be misrepresented"),
+    ("libpng", "misrepresented", "the origin of this source code must not be misrepresented"),
+    ("apache-2", "compliance", "you may not use this file except in compliance with the license"),
+    ("apache-2", "apache.org", "apache.org/licenses/license-2.0"),
+    ("apache-1.1", "apache", "this product includes software developed by the apache software foundation"),
+    ("gpl", "redistribute", "this program is free software: you can redistribute it and/or modify"),
+    ("gpl", "redistribute", "this program is free software; you can redistribute it and/or modify"),
+    ("gpl", "gnu.org", "gnu.org/licenses/gpl"),
+    ("gpl", "copyleft", "gnu.org/copyleft/gpl"),
+    ("gpl", "convey", "you may convey verbatim copies of the program's source code as you receive it"),
+    ("lgpl", "library", "this library is free software; you can redistribute it and/or modify"),
+    ("lgpl", "library", "this library is free software: you can redistribute it and/or modify"),
+    ("lgpl", "gnu.org", "gnu.org/licenses/lgpl"),
+    ("agpl", "gnu.org", "gnu.org/licenses/agpl"),
+    ("agpl", "interacting", "all users interacting with it remotely through a computer network"),
+    ("gfdl", "gnu.org", "gnu.org/licenses/fdl"),
+    ("gfdl", "invariant", "with no invariant sections, no front-cover texts, and no back-cover texts"),
+    ("mpl-2", "subject", "this source code form is subject to the terms of the mozilla public license"),
+    ("mpl-2", "mozilla.org", "mozilla.org/mpl/2.0"),
+    ("mpl-1.1", "mozilla.org", "mozilla.org/mpl/mpl-1.1"),
+    ("epl-2", "accompanying", "this program and the accompanying materials are made available under the terms of the eclipse public license 2.0"),
+    ("epl-2", "eclipse.org", "eclipse.org/legal/epl-2.0"),
+    ("epl-1", "eclipse.org", "eclipse.org/legal/epl-v10"),
+    ("cddl", "cddl", "subject to the terms of the cddl"),
+    ("bsl-1", "boost.org", "boost.org/license_1_0.txt"),
+    ("bsl-1", "organization", "permission is hereby granted, free of charge, to any person or organization obtaining a copy"),
+    ("unlicense", "unencumbered", "this is free and unencumbered software released into the public domain"),
+    ("unlicense", "unlicense.org", "unlicense.org"),
+    ("public-domain", "dedicate", "we dedicate this work to the public domain"),
+    ("cc0", "creativecommons.org", "creativecommons.org/publicdomain/zero"),
+    ("cc0", "waived", "has waived all copyright and related or neighboring rights"),
+    ("cc-by", "creativecommons.org", "creativecommons.org/licenses/by/"),
+    ("cc-by-sa", "creativecommons.org", "creativecommons.org/licenses/by-sa/"),
+    ("cc-by-nc", "creativecommons.org", "creativecommons.org/licenses/by-nc/"),
+    ("cc-by-nd", "creativecommons.org", "creativecommons.org/licenses/by-nd/"),
+    ("cc-by-nc-sa", "creativecommons.org", "creativecommons.org/licenses/by-nc-sa/"),
+    ("cc-by-nc-nd", "creativecommons.org", "creativecommons.org/licenses/by-nc-nd/"),
+    ("openssl", "toolkit", "for use in the openssl toolkit"),
+    ("beerware", "retain", "as long as you retain this notice you can do whatever you want with this stuff"),
+    ("json", "evil", "the software shall be used for good, not evil"),
+    ("ofl", "font", "reserved font name"),
+    ("ofl", "scripts.sil.org", "scripts.sil.org/ofl"),
+    ("python", "psf", "psf is making python available to licensee on an \"as is\" basis"),
+    ("artistic", "artistic", "under the terms of the artistic license"),
+    ("artistic-2", "opensource.org", "opensource.org/licenses/artistic-license-2.0"),
+    ("ncsa", "illinois", "university of illinois/ncsa open source license"),
+    ("upl", "universal", "universal permissive license"),
+    ("blueoak", "oak", "blue oak model license"),
+    ("sspl", "server", "server side public license"),
+    ("busl", "business", "business source license"),
+    ("commons-clause", "commons", "commons clause license condition"),
+    ("elastic", "elastic", "elastic license 2.0"),
+    ("polyform", "polyform", "polyform noncommercial license"),
+    ("openrail", "openrail", "openrail-m"),
+    ("odc-by", "attribution", "open data commons attribution license"),
+    ("pddl", "dedication", "public domain dedication and license"),
+    ("odbl", "opendatacommons.org", "opendatacommons.org/licenses/odbl"),
+    ("ogl", "government", "open government licence"),
+    ("etalab", "ouverte", "licence ouverte"),
+    ("cern-ohl", "cern", "cern open hardware licence"),
+    ("mulan", "mulan", "mulan permissive software license"),
+    ("eupl", "eupl", "licensed under the eupl"),
+    ("cecill", "cecill", "governed by the cecill license"),
+    ("wtfpl", "wtfpl", "wtfpl.net"),
+    ("proprietary", "prohibited", "unauthorized copying of this file, via any medium is strictly prohibited"),
+    ("proprietary", "confidential", "this file contains confidential and proprietary information"),
+    ("proprietary", "reproduced", "no part of this publication may be reproduced"),
+)
+
+
+def _signature(words: str) -> str:
+    parts = [re.escape(w).replace("/", r"\/").replace(r"\ ", " ") for w in words.split(" ")]
+    return r"[\s*#/;]+".join(parts)
+
+
 def rules() -> list[tuple[int, str, str, str]]:
     """(priority, label, keyword, regular expression), best priority (smallest number) first.
 
-    Order of the forms: licence identifiers, names with a version, Creative Commons long and short names, bare names.
+    Order of the forms: licence identifiers, names with a version, written signatures of notices and bodies, Creative
+    Commons long and short names, bare names.
     """
     out: list[tuple[int, str, str, str]] = []
     spdx = {label for label, _, _, _ in FAMILIES if label not in ("proprietary", "public-domain")}
@@ -107,6 +201,8 @@ def rules() -> list[tuple[int, str, str, str]]:
             out.append((2, f"cc-{suffix}-{plain}", "creativecommons.org", rf"creativecommons\.org/licenses/{suffix}/{v}"))
         out.append((3, f"cc-{suffix}", "cc", rf"\bcc[\s\-]{short}(?![\s\-](?:sa|nd|nc)\b)"))
         out.append((3, f"cc-{suffix}", "commons", rf"creative\s+commons\s+{words}"))
+    for label, keyword, words in SIGNATURES:
+        out.append((2, label, keyword, _signature(words)))
     formed: set[str] = set()
     for label, keyword, names, _ in FAMILIES:
         for name in names:
@@ -124,7 +220,7 @@ def _needs(keyword: str, rule: str) -> str:
     """What a text must hold for the rule to match: the keyword, or a rarer piece of the rule."""
     if rule.startswith(_UNDER):
         return _UNDER
-    if "licen[cs]e" in rule or "license" in rule:
+    if "licen[cs]e" in rule or "license" in rule or "licence" in rule:
         return "licen"
     return r"cc[\s\-]by" if rule.startswith(r"\bcc[\s\-]by") else keyword
 
@@ -185,24 +281,26 @@ def _standing(found):
 
 def scan_licenses(docs: DataFrame, text: str = "text") -> DataFrame:
     """``docs`` with n_words, base (array of (label, start word)) and detections (array of (priority, label, start, stop))."""
+    docs = docs.drop("n_words", "base", "detections")
+    lowered, split = free_names(docs, "lowered", "split")
     lower = lower_ascii(F.coalesce(F.col(text), F.lit("")))
-    with_text = docs.withColumn("_lower", lower)
+    with_text = docs.withColumn(lowered, lower)
     phrase = r"(?:^|[\x00-\x2F\x3A-\x60\x7B-\x7F])(?:gnu|apache|cc|mit)[\x00-\x2F\x3A-\x60\x7B-\x7F]+(?:general|license|by)"
     no_base = F.array().cast("array<struct<label:string,start:int>>")
     no_detection = F.array().cast("array<struct<priority:int,label:string,start:int,stop:int>>")
-    words = F.regexp_extract_all("_lower", F.lit(WORD), F.lit(0))
-    at = base_places(F.col("_words"))
+    words = F.regexp_extract_all(lowered, F.lit(WORD), F.lit(0))
+    at = base_places(F.col(split))
 
     def named(label):
         return lambda i: F.struct(F.lit(label).alias("label"), i.alias("start"))
 
     base = F.concat(*[F.transform(at(p), named(label)) for p, label in BASE])
     return (
-        with_text.withColumn("n_words", F.regexp_count("_lower", F.lit(WORD)).cast("bigint"))
-        .withColumn("_words", F.when(F.col("_lower").rlike(phrase), words))
-        .withColumn("base", F.when(F.size("_words") > 0, base).otherwise(no_base))
-        .withColumn("detections", F.when(F.col("_lower").rlike(_GATE), _standing(_detections(F.col("_lower")))).otherwise(no_detection))
-        .drop("_words", "_lower")
+        with_text.withColumn("n_words", F.regexp_count(lowered, F.lit(WORD)).cast("bigint"))
+        .withColumn(split, F.when(F.col(lowered).rlike(phrase), words))
+        .withColumn("base", F.when(F.size(split) > 0, base).otherwise(no_base))
+        .withColumn("detections", F.when(F.col(lowered).rlike(_GATE), _standing(_detections(F.col(lowered)))).otherwise(no_detection))
+        .drop(split, lowered)
     )
 
 
