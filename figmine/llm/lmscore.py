@@ -8,11 +8,12 @@ otherwise 0.1 (or all, at the start of a text or after an unheld token) of the t
 
 The filter's size follows the number of distinct grams (``BITS_PER_KEY`` bits a key); it is cut into shards by hash,
 each built by one group of rows and broadcast after a check of its size. Shards that together exceed ``HELD_BYTES``
-are searched in several passes inside one scan, which hand their levels on as columns. The exact token counts of the
+are searched in several passes, one after the other, which hand their levels on as written columns. The exact token counts of the
 base score travel the same way, as sorted tables. Everything counts all training texts.
 
 Nulls and edge cases: a null or empty text is one end token; rows with a null id train the model and are not held out;
-repeated rows count and are scored each; an empty table gives an empty result; extra columns are ignored.
+repeated rows count and are scored each; an empty table gives an empty result; extra columns pass
+through, and one named like a result column is replaced by it.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textvec as V
-from .common import bounded_batches, remainder, stored
+from .common import bounded_batches, free_names, remainder, stored
 
 BITS_PER_KEY = 12
 PROBES = 4
@@ -33,6 +34,7 @@ PROBES = 4
 SHARD_GRAMS = 1_000_000
 #: Bytes of shards that one pass holds.
 HELD_BYTES = 400 << 20
+RESULT = ("n_tokens", "n_known", "base_score", "score")
 END = np.uint64(0x5851F42D4C957F2D)
 #: Tokens that a worker holds before it passes partial counts on.
 COUNTED_BATCH = 1 << 20
@@ -214,32 +216,39 @@ def _build(key, table):
 
 
 class Model:
-    """Broadcast shards of both kinds in passes of bounded size, and the totals."""
+    """The written shards of both kinds, which of them each pass reads, and the totals."""
 
-    def __init__(self, passes: list[list], shards: int, total: int, vocabulary: int):
-        self.passes, self.shards, self.total, self.vocabulary = passes, shards, total, vocabulary
+    def __init__(self, built: DataFrame, passes: list[list], shards: int, total: int, vocabulary: int):
+        self.built, self.passes, self.shards, self.total, self.vocabulary = built, passes, shards, total, vocabulary
+
+    def held(self, k: int) -> list:
+        """Broadcasts of the shards of pass k, none larger than a shard and all of them together than a pass may hold."""
+        sc = self.built.sparkSession.sparkContext
+        wanted = [s for _, s in self.passes[k]]
+        # one shard at a time passes through the driver
+        rows = self.built.where(F.col("shard").between(min(wanted), max(wanted))).orderBy("shard", "kind").toLocalIterator() if wanted else ()
+        return [(r["kind"], r["shard"], sc.broadcast((bytes(r["bits"]), bytes(r["grams"]), bytes(r["counts"])))) for r in rows if (r["kind"], r["shard"]) in set(self.passes[k])]
 
 
 def train(docs: DataFrame, text: str = "text", shard_grams: int = SHARD_GRAMS, held_bytes: int = HELD_BYTES) -> Model:
-    spark = docs.sparkSession
     # characters bound the number of grams, so the number of shards follows the input
     characters = docs.agg(F.sum(F.length(text)).alias("n")).first()["n"] or 0
     shards = max(1, math.ceil(characters / 6 / shard_grams))
     partial = docs.select(text).mapInArrow(_count(shards), "kind int, shard int, grams binary, counts binary")
     built = stored(partial.groupBy("kind", "shard").applyInArrow(_build, "kind int, shard int, distinct_grams bigint, total bigint, bits binary, grams binary, counts binary"), "op8-shards")
-    totals = {r["kind"]: (r["t"], r["d"]) for r in built.groupBy("kind").agg(F.sum("total").alias("t"), F.sum("distinct_grams").alias("d")).collect()}
-    total, vocabulary = totals.get(1, (0, 0))
+    size = sum(F.octet_length(c).cast("bigint") for c in ("bits", "grams", "counts"))
+    # a row of five numbers a shard
+    known = built.select("kind", "shard", "total", "distinct_grams", size.alias("size")).orderBy("shard", "kind").collect()
+    total, vocabulary = (sum(r[c] for r in known if r["kind"] == 1) for c in ("total", "distinct_grams"))
     passes: list[list] = [[]]
-    size = 0
-    # one shard at a time passes through the driver
-    for row in built.orderBy("shard", "kind").toLocalIterator():
-        bytes_ = len(row["bits"]) + len(row["grams"]) + len(row["counts"])
-        if passes[-1] and size + bytes_ > held_bytes:
+    now = 0
+    for r in known:
+        if passes[-1] and now + r["size"] > held_bytes:
             passes.append([])
-            size = 0
-        size += bytes_
-        passes[-1].append((row["kind"], row["shard"], spark.sparkContext.broadcast((bytes(row["bits"]), bytes(row["grams"]), bytes(row["counts"])))))
-    return Model(passes, shards, total, vocabulary)
+            now = 0
+        now += r["size"]
+        passes[-1].append((r["kind"], r["shard"]))
+    return Model(built, passes, shards, total, vocabulary)
 
 
 def _lookup(broadcasts: list, shards: int):
@@ -273,7 +282,10 @@ def _lookup(broadcasts: list, shards: int):
 
 
 def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
-    """``docs`` with n_tokens, n_known, base_score and score (log10 probabilities)."""
+    """``docs`` with n_tokens, n_known, base_score and score (log10 probabilities); given columns of such names are
+    replaced. What a pass finds is written before the next one begins, so shards of one pass are held at a time."""
+    docs = docs.drop(*RESULT)
+    state_names = free_names(docs, "_c", "_l", "_p")
     n, v, shards = model.total, model.vocabulary, model.shards
 
     def one_pass(broadcasts, is_first: bool, is_last: bool):
@@ -282,7 +294,7 @@ def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
             for batch in batches:
                 names = batch.schema.names
                 column = batch.column(names.index(text))
-                before = None if is_first else [batch.column(names.index(k)).to_pylist() for k in ("_c", "_l", "_p")]
+                before = None if is_first else [batch.column(names.index(k)).to_pylist() for k in state_names]
                 out: list[list] = [[], [], [], []]
                 for row, step in V.steps(column, 1 << 20):
                     tokens, first = _tokens(step)
@@ -299,21 +311,26 @@ def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
                     else:
                         for o, x in zip(out, state):
                             o += [x[first[k] : first[k + 1]].tobytes() for k in range(len(first) - 1)]
-                keep = [k for k in names if k not in ("_c", "_l", "_p")]
+                keep = [k for k in names if k not in state_names]
                 columns = [batch.column(names.index(k)) for k in keep]
                 if is_last:
                     new = {"n_tokens": pa.array(out[0], pa.int64()), "n_known": pa.array(out[1], pa.int64()), "base_score": pa.array(out[2], pa.float64()), "score": pa.array(out[3], pa.float64())}
                 else:
-                    new = {k: pa.array(o, pa.binary()) for k, o in zip(("_c", "_l", "_p"), out)}
+                    new = {k: pa.array(o, pa.binary()) for k, o in zip(state_names, out)}
                 yield pa.RecordBatch.from_arrays([*columns, *new.values()], names=[*keep, *new])
 
         return run
 
     fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields]
-    for k, held in enumerate(model.passes):
+    for k in range(len(model.passes)):
         last = k == len(model.passes) - 1
-        new = "n_tokens bigint, n_known bigint, base_score double, score double" if last else "_c binary, _l binary, _p binary"
+        new = "n_tokens bigint, n_known bigint, base_score double, score double" if last else ", ".join(f"`{c}` binary" for c in state_names)
+        held = model.held(k)
         docs = docs.mapInArrow(one_pass(held, k == 0, last), ", ".join([*fields, new]))
+        if not last:
+            docs = stored(docs, "op8-levels")
+            for _, _, b in held:
+                b.unpersist()
     return docs
 
 
