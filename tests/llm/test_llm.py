@@ -446,3 +446,53 @@ def test_large_families_of_near_copies(spark):
     links = {(a, b) for a in range(90) for b in range(90) if a != b and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b])}
     got = {r["doc_id"]: r["n_links"] for r in jaccard.jaccard_groups(docs(spark, texts), percent=80).collect()}
     assert got == {a: sum(x == a for x, _ in links) for a in range(90)}
+
+
+def test_short_mixed_and_trailing_spellings_are_decoded():
+    rows = {}
+    for w in ("ass", "idiot", "moron", "the", "what", "you"):
+        w = f"^^{w}^"
+        for k in range(len(w) - 2):
+            rows[w[k : k + 3]] = rows.get(w[k : k + 3], 0) + 50.0
+    m = toxicity.CharacterModel(rows)
+    for given, want in (("you a$$ you", "you ass you"), ("you a s s", "you ass"), ("what i d-i o-t", "what idiot"), ("m.o*r_o-n", "moron"), ("pay 401k in 3d", "pay 401k in 3d")):
+        assert m.restore(given) == want, given
+
+
+def test_toxicity_learns_and_scores_whatever_the_columns(spark):
+    rng = random.Random(8)
+    plain = "river bridge stone child boat green field water light morning".split()
+    texts = [" ".join(rng.choices(plain, k=30)) + (" you stupid moron" if k % 2 else "") for k in range(400)] + [None, ""]
+    given = docs(spark, texts).withColumn("restored", F.lit("mine"))
+    labels = spark.createDataFrame([(k, k % 2) for k in range(400)], "doc_id long, toxic int")
+    model = toxicity.train(given, labels)
+    got = {r["doc_id"]: r for r in toxicity.score(given, model).collect()}
+    assert len(got) == 402 and all(isinstance(r["restored"], bool) and 0 <= r["score"] <= 1 for r in got.values())
+    held = [k for k in range(400) if zlib.crc32(str(k).encode()) % 4 == 2]
+    assert sum((got[k]["score"] >= 0.3) == (k % 2 == 1) for k in held) >= 0.95 * len(held)
+    assert toxicity.score(given, None).where("score > 0").count() == 0 and toxicity.train(given, labels.limit(0)) is None
+
+
+def test_license_bodies_and_clashing_columns(spark):
+    texts = [
+        "/*\n * Permission is hereby granted, free of charge,\n * to any person obtaining a copy of it",
+        "Redistribution and use in source and binary forms, with or\n# without modification, are permitted",
+        "you may not use this file except in compliance with the License.",
+        "nothing of the kind is granted here",
+        None,
+    ]
+    given = docs(spark, texts)
+    for c in ("n_words", "base", "detections", "lowered", "split"):
+        given = given.withColumn(c, F.lit("mine"))
+    got = {r["doc_id"]: r for r in licenses.scan_licenses(given).collect()}
+    assert [sorted({d["label"] for d in got[k]["detections"]}) for k in range(5)] == [["mit"], ["bsd"], ["apache-2"], [], []]
+    assert got[0]["lowered"] == "mine" and got[4]["n_words"] == 0
+
+
+def test_model_scores_whatever_the_columns(spark):
+    given = docs(spark, ["a b a", "b b", None])
+    for c in ("n_tokens", "base_score", "_c", "_p"):
+        given = given.withColumn(c, F.lit("mine"))
+    model = lmscore.train(given)
+    got = lmscore.score(given, model)
+    assert got.where("_c = 'mine' AND score <= 0 AND base_score <= 0").count() == 3 and got.columns.count("score") == 1
