@@ -25,6 +25,7 @@ FANOUT = 16
 RANGE_BYTES = 256 << 10
 #: Records per archive file, by their number.
 FILE_RECORDS = 1000
+UNNUMBERED_FILES = 4096
 
 
 def record_bytes(url, body):
@@ -37,7 +38,9 @@ def record_bytes(url, body):
 def manifest(pages: DataFrame, page_id: str = "page_id", url: str = "url", body: str = "html", file_records: int = FILE_RECORDS) -> DataFrame:
     """(file, offset, length, record, copy, digest): where each record lies and what it hashes to."""
     raw = record_bytes(F.col(url), F.col(body))
-    rows = pages.select(F.floor(F.coalesce(F.col(page_id), F.lit(-1)) / file_records).cast("bigint").alias("file"), F.col(page_id).alias("record"), F.octet_length(raw).cast("bigint").alias("length"), F.sha2(raw, 256).alias("digest"))
+    # records without a number are dealt to files below 0 by what they hold
+    unnumbered = F.lit(-1) - F.pmod(F.xxhash64(url, body), F.lit(UNNUMBERED_FILES))
+    rows = pages.select(F.coalesce(F.floor(F.col(page_id) / file_records), unnumbered).cast("bigint").alias("file"), F.col(page_id).alias("record"), F.octet_length(raw).cast("bigint").alias("length"), F.sha2(raw, 256).alias("digest"))
     order = Window.partitionBy("file").orderBy("record", "digest")
     before = order.rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn("offset", F.coalesce(F.sum("length").over(before), F.lit(0)))
@@ -84,21 +87,23 @@ def _differing(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.join(b.withColumnRenamed("hash", "other"), keys, "full_outer").where(~F.col("hash").eqNullSafe(F.col("other"))).select(*keys)
 
 
-def audit(left: DataFrame, right: DataFrame, fanout: int = FANOUT, range_bytes: int = RANGE_BYTES) -> DataFrame:
+def audit(left: DataFrame, right: DataFrame, fanout: int = FANOUT, range_bytes: int = RANGE_BYTES, visited: list | None = None) -> DataFrame:
     """(file, record, copy, status, offset, length) of what differs in ``right`` from ``left``; both are manifests.
 
-    status: changed, missing, extra or moved (same bytes at another offset).
+    status: changed, missing, extra or moved (same bytes at another offset). ``visited`` takes, from the root down, the
+    nodes compared at each level and how many there are.
     """
     left, right = stored(left, "op3-manifest"), stored(right, "op3-manifest")
     spans = left.unionByName(right).agg(F.max("offset").alias("o"), F.max("file").alias("f"), F.min("file").alias("low")).first()
     if spans["o"] is None:
         return left.select("file", "record", "copy", F.lit("").alias("status"), "offset", "length").limit(0)
     levels = _levels(spans["o"] // range_bytes + 1, fanout)
-    file_levels = _levels(max(spans["f"] + 1, 1), fanout)
+    file_levels = _levels(max(spans["f"] + 1, -spans["low"], 1), fanout)
     a, b = (tree(x, levels, file_levels, fanout, range_bytes) for x in (left, right))
     live = None
     for k in range(len(a) - 1, -1, -1):
         x, y = a[k], b[k]
+        all_nodes = x
         if live is not None:
             # descend: only children of a branch that differs
             if k == levels:
@@ -108,6 +113,8 @@ def audit(left: DataFrame, right: DataFrame, fanout: int = FANOUT, range_bytes:
                 up = live.select("file", F.col("node").alias("up"))
                 x, y = (t.withColumn("up", F.floor(F.col("node") / fanout).cast("bigint")).join(up, ["file", "up"], "left_semi").drop("up") for t in (x, y))
         live = stored(_differing(x, y), "op3-differing")
+        if visited is not None:
+            visited.append((x.count(), all_nodes.count()))
     inside = live.withColumnRenamed("node", "leaf")
     p, q = (t.withColumn("leaf", F.floor(F.col("offset") / range_bytes).cast("bigint")).join(inside, ["file", "leaf"], "left_semi").drop("leaf") for t in (left, right))
     keys = ["file", "record", "copy"]
@@ -118,9 +125,10 @@ def audit(left: DataFrame, right: DataFrame, fanout: int = FANOUT, range_bytes:
 
 
 def damaged(pages: DataFrame) -> DataFrame:
-    """A replica with known damage, for audits on one table: of the page numbers, every 97th (rest 5) has a changed body
-    and every 89th (rest 7) is lost."""
-    return pages.where("page_id IS NULL OR page_id % 89 <> 7").withColumn("html", F.when(F.col("page_id") % 97 == 5, F.concat(F.coalesce("html", F.lit("")), F.lit("\0"))).otherwise(F.col("html")))
+    """A replica with known and rare damage, for audits on one table: of the page numbers, every 2003rd (rest 5) has one
+    byte of its body changed in place and every 4001st (rest 7) is lost, which moves what follows in its file."""
+    flipped = F.concat(F.lit("\0"), F.expr("substring(html, 2)"))
+    return pages.where("page_id IS NULL OR page_id % 4001 <> 7").withColumn("html", F.when((F.col("page_id") % 2003 == 5) & (F.col("html") != ""), flipped).otherwise(F.col("html")))
 
 
 def op3_merkle_fixity_audit(spark, sf_dir: str) -> DataFrame:
@@ -130,7 +138,7 @@ def op3_merkle_fixity_audit(spark, sf_dir: str) -> DataFrame:
 
 
 SQL = r"""
-WITH r AS (SELECT page_id, page_id // 1000 AS f, strlen('WARC/1.1' || chr(13) || chr(10) || 'WARC-Type: response' || chr(13) || chr(10) || 'WARC-Target-URI: ' || coalesce(url, '') || chr(13) || chr(10) || 'Content-Length: ' || strlen(coalesce(html, ''))::VARCHAR) + 4 + strlen(coalesce(html, '')) + 4 AS length FROM pages),
-o AS (SELECT page_id, length, coalesce(sum(length) OVER (PARTITION BY f ORDER BY page_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS "offset" FROM r)
-SELECT page_id AS record, CASE WHEN page_id % 89 = 7 THEN 'missing' ELSE 'changed' END AS status, "offset"::BIGINT AS "offset", length::BIGINT AS length FROM o WHERE page_id % 89 = 7 OR page_id % 97 = 5
+WITH r AS (SELECT page_id, page_id // 1000 AS f, coalesce(html, '') = '' AS empty, strlen('WARC/1.1' || chr(13) || chr(10) || 'WARC-Type: response' || chr(13) || chr(10) || 'WARC-Target-URI: ' || coalesce(url, '') || chr(13) || chr(10) || 'Content-Length: ' || strlen(coalesce(html, ''))::VARCHAR) + 4 + strlen(coalesce(html, '')) + 4 AS length FROM pages),
+o AS (SELECT page_id, length, empty, coalesce(sum(length) OVER (PARTITION BY f ORDER BY page_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS "offset" FROM r)
+SELECT page_id AS record, CASE WHEN page_id % 4001 = 7 THEN 'missing' ELSE 'changed' END AS status, "offset"::BIGINT AS "offset", length::BIGINT AS length FROM o WHERE page_id % 4001 = 7 OR (page_id % 2003 = 5 AND NOT empty)
 """
