@@ -496,3 +496,19 @@ def test_model_scores_whatever_the_columns(spark):
     model = lmscore.train(given)
     got = lmscore.score(given, model)
     assert got.where("_c = 'mine' AND score <= 0 AND base_score <= 0").count() == 3 and got.columns.count("score") == 1
+
+
+def test_audit_descends_only_where_roots_differ(spark):
+    rows = [(k, f"http://h/{k}", "x" * 300) for k in range(1280)] + [(None, f"u{k}", "y") for k in range(50)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    a = fixity.manifest(pages, file_records=20)
+    assert a.where("file < 0").select("file").distinct().count() > 30
+    b = fixity.manifest(pages.withColumn("html", F.when(F.col("page_id") == 777, F.lit("z" * 300)).otherwise(F.col("html"))), file_records=20)
+    visited: list = []
+    got = fixity.audit(a, b, fanout=4, range_bytes=1024, visited=visited).collect()
+    assert [(r["record"], r["status"]) for r in got] == [(777, "changed")]
+    compared, there = (sum(x) for x in zip(*visited))
+    assert compared <= 5 * len(visited) and there > 20 * compared
+    none: list = []
+    assert fixity.audit(a, a, fanout=4, range_bytes=1024, visited=none).count() == 0 and sum(x for x, _ in none[1:]) == 0
+    assert fixity.audit(a.limit(0), a.limit(0)).count() == 0
