@@ -265,6 +265,8 @@ _add("w09_cascade", lambda s, d: dedup.cascade_groups(hashed_documents(s, d), em
 def _truth_pairs(spark, sf_dir, least=0.5):
     """Pairs of documents whose sets of word 3-grams overlap by ``least``; rare grams keep the join small."""
     docs = C.read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "").alias("w"))
+    # written first: else the words are split again for each n-gram
+    docs = fingerprints.kept(docs)
     grams = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - 2, F.lit(1))), lambda i: F.array_join(F.slice("w", i, 3), " ")))
     e = docs.where("size(w) > 0").select("id", grams.alias("g")).select("id", F.size("g").alias("n"), F.explode("g").alias("x"))
     p = e.alias("a").join(e.alias("b"), (F.col("a.x") == F.col("b.x")) & (F.col("a.id") < F.col("b.id"))).groupBy(F.col("a.id").alias("src"), F.col("b.id").alias("dst")).agg(F.count("*").alias("i"), F.max("a.n").alias("n"), F.max("b.n").alias("m"))
