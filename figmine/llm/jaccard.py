@@ -38,7 +38,7 @@ CHUNK = 2_000_000
 CHUNK_DOCS = 60_000
 #: Bits by which a piece tells n-grams apart, and bytes of text a piece stands for: 64 values for each n-gram.
 VALUE_BITS = 28
-PIECE_BYTES = 24 << 20
+PIECE_BYTES = 12 << 20
 #: An n-gram in so many documents of a chunk is asked for once.
 HEAVY = 8
 #: Bits of the bitmap that keeps texts which nobody needs from being shuffled, and bits in a row of it.
@@ -53,6 +53,8 @@ FP_BYTES = 16
 NAME_BYTES = 8
 #: Lists up to this length are compared pair by pair, longer ones as arrays.
 SHORT = 8
+#: Earlier n-grams of a class that are looked at first, for all its pairs at once.
+HEAD = 32
 
 
 def _set_of(hashes: np.ndarray, n: int) -> np.ndarray:
@@ -94,7 +96,7 @@ def _planes(x: np.ndarray, width: int) -> bytes:
 def _unplaned(raw: bytes, width: int) -> np.ndarray:
     out = np.zeros((len(raw) // width, 4), np.uint8)
     out[:, :width] = np.frombuffer(raw, np.uint8).reshape(width, -1).T
-    return out.reshape(-1).view("<u4").astype(np.int64)
+    return out.reshape(-1).view("<u4")
 
 
 #: Rows of documents, of questions to a piece, and of what a chunk keeps to understand the answers.
@@ -125,10 +127,19 @@ def scan(docs: DataFrame, pieces: int, doc_id: str = "doc_id", text: str = "text
 
         def flush():
             chunk = (task << 24) + flushed
-            grams = np.concatenate(held)
-            which = np.repeat(np.arange(len(held), dtype=np.uint64), [len(x) for x in held])
-            piece = ((grams >> np.uint64(32)) * np.uint64(pieces)) >> np.uint64(32)
-            packed = (piece << np.uint64(VALUE_BITS + 16)) | ((grams & np.uint64((1 << VALUE_BITS) - 1)) << np.uint64(16)) | which
+            which = np.repeat(np.arange(len(held), dtype=np.uint16), [len(x) for x in held])
+            value = np.concatenate(held)
+            held.clear()
+            # piece, value in the piece and document in one number, in place
+            packed = value >> np.uint64(32)
+            packed *= np.uint64(pieces)
+            packed >>= np.uint64(32)
+            packed <<= np.uint64(VALUE_BITS)
+            value &= np.uint64((1 << VALUE_BITS) - 1)
+            packed |= value
+            packed <<= np.uint64(16)
+            packed |= which
+            del value, which
             packed.sort()
             key = packed >> np.uint64(16)
             starts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
@@ -138,22 +149,23 @@ def scan(docs: DataFrame, pieces: int, doc_id: str = "doc_id", text: str = "text
             heavy_key, heavy_n, heavy_docs = key[starts[heavy]], often[heavy], packed[inside] & np.uint64(0xFFFF)
             first = ~inside
             first[starts[heavy]] = True
-            many = np.ones(len(key), np.int64)
-            many[starts[heavy]] = heavy_n
-            key, packed, many = key[first], packed[first], np.minimum(many[first], 0xFFFF)
-            at = key >> np.uint64(VALUE_BITS)
+            many = np.ones(len(key), np.uint16)
+            many[starts[heavy]] = np.minimum(heavy_n, 0xFFFF)
+            del key, starts, often, heavy, inside
+            packed, many = packed[first], many[first]
+            at = (packed >> np.uint64(VALUE_BITS + 16)).astype(np.int32)
             cuts = np.flatnonzero(np.diff(at)) + 1
-            bounds = [0, *cuts.tolist(), len(key)]
-            value, doc = key & np.uint64((1 << VALUE_BITS) - 1), packed & np.uint64(0xFFFF)
+            bounds = [0, *cuts.tolist(), len(at)]
             spans = list(zip(bounds, bounds[1:]))
             yield rows(
                 [ASK] * len(spans),
                 piece=[int(at[lo]) for lo, _ in spans],
                 chunk=[chunk] * len(spans),
-                a=[_planes(np.diff(value[lo:hi], prepend=np.uint64(0)), 4) for lo, hi in spans],
-                b=[_planes(doc[lo:hi], 2) for lo, hi in spans],
+                a=[_planes(np.diff((packed[lo:hi] >> np.uint64(16)) & np.uint64((1 << VALUE_BITS) - 1), prepend=np.uint64(0)), 4) for lo, hi in spans],
+                b=[_planes(packed[lo:hi] & np.uint64(0xFFFF), 2) for lo, hi in spans],
                 c=[_planes(many[lo:hi], 2) for lo, hi in spans],
             )
+            del packed, many, at
             head = np.array([len(heavy_key)], np.int64)
             yield rows([KEEP], chunk=[chunk], a=[b"".join(fps)], b=[np.array(sizes, np.int64).tobytes()], c=[head.tobytes() + heavy_key.tobytes() + heavy_n.tobytes() + heavy_docs.astype("<u2").tobytes()])
 
@@ -186,24 +198,25 @@ def _answer(key, table):
     values, whose, documents, many = [], [], [], []
     chunks = table.column("chunk").to_pylist()
     for k, (a, b, c) in enumerate(zip(*(table.column(x).to_pylist() for x in "abc"))):
-        values.append(np.cumsum(_unplaned(a, 4)))
-        documents.append(_unplaned(b, 2))
-        many.append(_unplaned(c, 2))
-        whose.append(np.full(len(documents[-1]), k, np.int64))
+        values.append(np.cumsum(_unplaned(a, 4), dtype=np.uint32))
+        documents.append(_unplaned(b, 2).astype(np.uint16))
+        many.append(_unplaned(c, 2).astype(np.uint16))
+        whose.append(np.full(len(documents[-1]), k, np.int32))
     value, whose, document, many = (np.concatenate(x) for x in (values, whose, documents, many))
+    del values, documents
     order = np.argsort(value, kind="stable")
     value, whose, document, many = value[order], whose[order], document[order], many[order]
     starts = np.flatnonzero(np.concatenate([[True], value[1:] != value[:-1]]))
-    total = np.add.reduceat(many, starts)
-    often = np.repeat(total, np.diff(np.append(starts, len(value))))
-    shared = often > 1
-    value, whose, document, often = value[shared], whose[shared], document[shared], often[shared]
+    total = np.add.reduceat(many, starts, dtype=np.int64)
+    level = np.minimum(np.rint(8 * np.log2(np.maximum(total, 1))), 255).astype(np.uint8)
+    length = np.diff(np.append(starts, len(value)))
+    shared = np.repeat(total > 1, length)
+    value, whose, document, level = value[shared], whose[shared], document[shared], np.repeat(level, length)[shared]
     order = np.argsort(whose, kind="stable")
-    value, whose, document, often = value[order], whose[order], document[order], often[order]
+    value, whose, document, level = value[order], whose[order], document[order], level[order]
     cuts = [0, *(np.flatnonzero(np.diff(whose)) + 1).tolist(), len(whose)] if len(whose) else [0]
     spans = list(zip(cuts, cuts[1:]))
-    level = np.minimum(np.rint(8 * np.log2(np.maximum(often, 1))), 255).astype(np.uint8)
-    whole = (np.int64(key[0].as_py()) << VALUE_BITS) | value
+    whole = (np.int64(key[0].as_py()) << VALUE_BITS) | value.astype(np.int64)
     return pa.table(
         {
             "chunk": pa.array([chunks[whose[lo]] for lo, _ in spans], pa.int64()),
@@ -225,10 +238,10 @@ def _prefixes_of_chunk(percent: int):
         heavies = int(np.frombuffer(raw[:8], np.int64)[0])
         heavy_key = np.frombuffer(raw, np.int64, heavies, 8)
         heavy_n = np.frombuffer(raw, np.int64, heavies, 8 + 8 * heavies)
-        heavy_docs = np.frombuffer(raw, "<u2", -1, 8 + 16 * heavies).astype(np.int64)
+        heavy_docs = np.frombuffer(raw, "<u2", -1, 8 + 16 * heavies)
         heavy_from = np.cumsum(heavy_n) - heavy_n
         token = np.concatenate([np.frombuffer(x, np.int64) for x in answers.column("keys").to_pylist()])
-        doc = np.concatenate([np.frombuffer(x, "<u2") for x in answers.column("docs").to_pylist()]).astype(np.int64)
+        doc = np.concatenate([np.frombuffer(x, "<u2") for x in answers.column("docs").to_pylist()])
         level = np.concatenate([np.frombuffer(x, np.uint8) for x in answers.column("levels").to_pylist()])
         at = V.position_of(heavy_key, token)
         known = np.flatnonzero(at >= 0)
@@ -242,13 +255,13 @@ def _prefixes_of_chunk(percent: int):
         order = np.lexsort((token, level, doc))
         token, doc = token[order], doc[order]
         shared = np.bincount(doc, minlength=len(size))
-        rank = np.arange(len(doc)) - (np.cumsum(shared) - shared)[doc]
-        place = (size - shared)[doc] + rank
-        show = place < (size - -(-percent * size // 100) + 1)[doc]
+        # the place of a document's first shared n-gram is the number of those that it alone has
+        place = np.arange(len(doc), dtype=np.int32) + (size - np.cumsum(shared)).astype(np.int32)[doc]
+        show = place < (size - -(-percent * size // 100) + 1).astype(np.int32)[doc]
         show[1:] &= (token[1:] != token[:-1]) | (doc[1:] != doc[:-1])
         token, doc, place = token[show], doc[show], place[show]
         fps = pa.array([names[k * FP_BYTES : (k + 1) * FP_BYTES] for k in range(len(size))], pa.binary())
-        return pa.table({"token": pa.array(token), "fp": fps.take(pa.array(doc)), "place": pa.array(place.astype(np.int32)), "size": pa.array(size[doc])})
+        return pa.table({"token": pa.array(token), "fp": fps.take(pa.array(doc)), "place": pa.array(place), "size": pa.array(size[doc])})
 
     return run
 
@@ -354,6 +367,18 @@ def _edges(lists: DataFrame, column: str, width: int = FP_BYTES) -> DataFrame:
     return lists.where(F.octet_length(column) > 0).select("a", F.explode(each).alias("b"))
 
 
+def _shared_columns(values: pa.Array, offsets: np.ndarray) -> tuple[int, np.ndarray, np.ndarray]:
+    """The values that occur more than once between the offsets: how many, their numbers row by row, where rows start."""
+    coded = values[offsets[0] : offsets[-1]].dictionary_encode()
+    code = coded.indices.to_numpy()
+    several = np.bincount(code, minlength=len(coded.dictionary)) > 1
+    number = (np.cumsum(several) - 1).astype(np.int32)
+    inside = several[code]
+    start = np.zeros(len(code) + 1, np.int32)
+    np.cumsum(inside, dtype=np.int32, out=start[1:])
+    return int(several.sum()), number[code[inside]], start[offsets - offsets[0]].astype(np.int64)
+
+
 def _pairs_in_lists(percent: int):
     """For each class of a list (or of two tiles of it) the partners that no filter can rule out, and those of them that
     a spanning forest needs. Rows come sorted by list and tiles."""
@@ -361,21 +386,21 @@ def _pairs_in_lists(percent: int):
     def long_list(rows, same_tile: bool):
         size, place, tile, spreads, before = rows
         spread = np.stack(spreads)
-        _, inverse, often = np.unique(np.concatenate(before), return_inverse=True, return_counts=True)
-        owner = np.repeat(np.arange(len(before)), [len(b) for b in before])
-        column = np.cumsum(often > 1) - 1
-        several = often[inverse] > 1
-        earlier = [set() for _ in before]
-        for o, c in zip(owner[several].tolist(), column[inverse[several]].tolist()):
-            earlier[o].add(c)
+        shared, column, start = _shared_columns(*before)
+        stop, start = start[1:], start[:-1]
         left = np.flatnonzero(tile == tile[0])
         right = left if same_tile else np.flatnonzero(tile != tile[0])
         right = right[np.argsort(size[right], kind="stable")]
-        # few shared columns: one product tests a row against all; many: sets, for the pairs that are left at the end
-        dense = int((often > 1).sum()) <= 256
+        # few shared columns: one product tests a row against all; many: the first columns of each row, then the rest of
+        # those pairs that are left at the end
+        dense = shared <= 256
         if dense:
-            matrix = np.zeros((len(before), int((often > 1).sum())), np.float32)
-            matrix[owner[several], column[inverse[several]]] = 1
+            matrix = np.zeros((len(size), shared), np.float32)
+            matrix[np.repeat(np.arange(len(size), dtype=np.int32), stop - start), column] = 1
+        else:
+            mark = np.zeros(shared + 1, bool)
+            at = start[:, None] + np.arange(HEAD)
+            head = np.where(at < stop[:, None], column[np.minimum(at, len(column) - 1)], shared)
         sorted_size = size[right]
         for a in left.tolist():
             lo = np.searchsorted(sorted_size, -(-percent * size[a] // 100), "left")
@@ -383,7 +408,7 @@ def _pairs_in_lists(percent: int):
             other = right[lo:hi]
             if same_tile:
                 other = other[other > a]
-            if dense and len(other) and earlier[a]:
+            if dense and len(other) and start[a] < stop[a]:
                 other = other[matrix[other] @ matrix[a] == 0]
             if not len(other):
                 continue
@@ -391,13 +416,17 @@ def _pairs_in_lists(percent: int):
             near = np.minimum(size[a] - place[a], size[other] - place[other]) >= need
             other, need = other[near], need[near]
             other = other[np.minimum(spread[a], spread[other]).sum(axis=1, dtype=np.int64) >= need]
-            if not dense:
-                other = np.array([o for o in other.tolist() if earlier[a].isdisjoint(earlier[o])], np.int64)
+            if not dense and len(other):
+                mine = column[start[a] : stop[a]]
+                mark[mine] = True
+                other = other[~mark[head[other]].any(axis=1)]
+                other = np.array([o for o in other.tolist() if not mark[column[start[o] + HEAD : stop[o]]].any()], np.int64)
+                mark[mine] = False
             if len(other):
                 yield a, other
 
     def short_list(rows, same_tile: bool):
-        size, place, tile, spreads, ahead = rows
+        size, place, tile, spreads, (values, offsets) = rows
         size, place, tile = size.tolist(), place.tolist(), tile.tolist()
         before: list = [None] * len(size)
         for a in range(len(size) - 1):
@@ -410,7 +439,7 @@ def _pairs_in_lists(percent: int):
                     continue
                 for k in (a, b):
                     if before[k] is None:
-                        before[k] = set(ahead[k].tolist())
+                        before[k] = set(values[offsets[k] : offsets[k + 1]].to_pylist())
                 if before[a].isdisjoint(before[b]):
                     found.append(b)
             if found:
@@ -422,7 +451,7 @@ def _pairs_in_lists(percent: int):
         lists = np.stack([columns[k].astype(np.int64) for k in ("token", "tile_a", "tile_b")])
         cuts = [0, *(np.flatnonzero((lists[:, 1:] != lists[:, :-1]).any(axis=0)) + 1).tolist(), len(table)]
         before = table.column("before").combine_chunks()
-        values, offsets = before.values.to_numpy(), before.offsets.to_numpy()
+        values, offsets = before.values, before.offsets.to_numpy()
         fps, spreads = table.column("fp").to_pylist(), table.column("spread").to_pylist()
         size, place, tile = columns["size"].astype(np.int64), columns["place"].astype(np.int64), columns["tile"]
         out: list[tuple[bytes, bytes, bytes]] = []
@@ -435,7 +464,7 @@ def _pairs_in_lists(percent: int):
                 place[lo:hi],
                 tile[lo:hi],
                 [np.frombuffer(x, np.uint8 if len(x) == BINS else np.uint32) for x in spreads[lo:hi]],
-                [values[offsets[k] : offsets[k + 1]] for k in range(lo, hi)],
+                (values, offsets[lo : hi + 1]),
             )
             short = np.array([fp[:NAME_BYTES] for fp in fps[lo:hi]], f"V{NAME_BYTES}")
             for a, others, tree in _forest((short_list if hi - lo <= SHORT else long_list)(rows, bool(lists[1, lo] == lists[2, lo])), hi - lo):
@@ -539,6 +568,17 @@ def _ends(batches):
             seen = {}
 
 
+def _views(column: pa.ChunkedArray) -> list[np.ndarray]:
+    """The numbers in each binary value, where they lie."""
+    out = []
+    for chunk in column.chunks:
+        _, at, raw = chunk.buffers()
+        at = np.frombuffer(at, np.int64 if pa.types.is_large_binary(chunk.type) else np.int32)[chunk.offset : chunk.offset + len(chunk) + 1].tolist()
+        raw = np.frombuffer(raw, np.uint8) if raw else np.zeros(0, np.uint8)
+        out += [raw[lo:hi].view(np.uint64) for lo, hi in zip(at, at[1:])]
+    return out
+
+
 def _common(grams: list[np.ndarray], a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Common n-grams of the sets of each pair (a, b). Where most pairs of a tile are asked for, by products of matrices."""
     left, right = np.unique(a), np.unique(b)
@@ -550,10 +590,9 @@ def _common(grams: list[np.ndarray], a: np.ndarray, b: np.ndarray) -> np.ndarray
             out[k] = (both[1:] == both[:-1]).sum()
         return out
     used = np.unique(np.concatenate([left, right]))
-    owner = np.repeat(used, [len(grams[k]) for k in used])
-    _, column, often = np.unique(np.concatenate([grams[k] for k in used]), return_inverse=True, return_counts=True)
-    shared = often[column] > 1
-    owner, column = owner[shared], (np.cumsum(often > 1) - 1)[column[shared]]
+    bounds = np.cumsum([0, *(len(grams[k]) for k in used)])
+    _, column, start = _shared_columns(pa.array(np.concatenate([grams[k] for k in used])), bounds)
+    owner = np.repeat(used.astype(np.int32), np.diff(start))
     order = np.argsort(column, kind="stable")
     owner, column = owner[order], column[order]
     total = np.zeros((len(left), len(right)), np.float32)
@@ -592,7 +631,7 @@ def verify(candidates: DataFrame, docs: DataFrame, classes: DataFrame, percent:
 
     def run(key, left, right):
         fps = right.column("fp").to_pylist()
-        grams = [np.frombuffer(raw, np.uint64) for raw in right.column("grams").to_pylist()]
+        grams = _views(right.column("grams"))
         size = np.array([len(g) for g in grams], np.int64)
         copies = right.column("copies").to_numpy().astype(np.int64)
         names = np.array([int.from_bytes(fp[:NAME_BYTES], "little") for fp in fps], np.uint64)
