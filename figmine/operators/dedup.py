@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -48,6 +50,27 @@ def banded_edges(hashed: DataFrame, tau: int = 16, bands: int = 6, bits: int = 2
     return pairs.distinct() if max_bucket is not None else pairs
 
 
+def probed_edges(hashed: DataFrame, tau: int = 16, bands: int = 6, bits: int = 24, probes: int = 1) -> DataFrame:
+    """(src, dst, distance) of pairs within ``tau`` bits that have a band where at most ``probes`` bits differ; each pair once.
+
+    One side of the join asks for its band values with every choice of so many bits flipped: ``bits`` + 1 rows a band for
+    one probe. A pair is taken from its first such band, as in ``banded_edges``.
+    """
+    width = bits // 4
+    masks = F.array(*[F.lit(sum(1 << k for k in c)).cast("bigint") for r in range(probes + 1) for c in combinations(range(bits), r)])
+    values = F.array(*[F.conv(F.substring("hash", 1 + k * width, width), 16, 10).cast("bigint") for k in range(bands)])
+    rows = hashed.where("hash IS NOT NULL").select("id", pack_words(F.col("hash")).alias("words"), values.alias("all"))
+    held = rows.select("id", "words", "all", F.posexplode("all").alias("band", "value"))
+    asked = held.withColumn("value", F.explode(F.transform(masks, lambda m: F.col("value").bitwiseXOR(m))))
+    a, b = asked.alias("a"), held.alias("b")
+    first = F.lit(0)
+    for k in reversed(range(bands)):
+        first = F.when(F.bit_count(F.col("a.all")[k].bitwiseXOR(F.col("b.all")[k])) <= probes, k).otherwise(first)
+    distance = hamming(F.col("a.words"), F.col("b.words"))
+    met = (F.col("a.band") == F.col("b.band")) & (F.col("a.value") == F.col("b.value")) & (F.col("a.id") < F.col("b.id")) & (F.col("a.band") == first) & (distance <= tau)
+    return a.join(b, met).select(F.col("a.id").alias("src"), F.col("b.id").alias("dst"), distance.alias("distance"))
+
+
 def exhaustive_edges(hashed: DataFrame, tau: int = 16) -> DataFrame:
     """The quadratic baseline, for measuring what banding finds."""
     h = hashed.where("hash IS NOT NULL").select("id", pack_words(F.col("hash")).alias("words"))

@@ -18,12 +18,17 @@ from ..functions.expressions import iou
 BLOCK_CLASSES = {"article": "illustration", "ul": "chart", "li": "chart", "nav": "decorative", "footer": "decorative", "script": "artifact", "style": "artifact", "h1": "music"}
 
 
+def block_pattern() -> str:
+    """A block of any known tag but list items, which lie within lists."""
+    return "(?is)" + "|".join(rf"<{tag}\b[^>]*>.*?</{tag}>" for tag in BLOCK_CLASSES if tag != "li")
+
+
 def blocks(pages: DataFrame) -> DataFrame:
     """(page_id, block_no, tag, truth_class, confidence): html blocks as the regions of a page.
 
     Confidence grows with the share of a block's characters that are text and not markup.
     """
-    pattern = r"(?is)<(article|ul|nav|footer|script|style|h1)\b[^>]*>.*?</\1>"
+    pattern = block_pattern()
     found = pages.select("page_id", F.posexplode(F.regexp_extract_all("html", F.lit(pattern), F.lit(0))).alias("block_no", "raw"))
     tag = F.lower(F.regexp_extract("raw", r"^<(\w+)", 1))
     text = F.regexp_replace("raw", r"<[^>]*>", "")

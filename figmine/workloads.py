@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from .plans import chain_queries, operator_queries, relational_queries, step_queries
+from .plans import chain_queries, operator_queries, relational_queries, scan_queries, step_queries
 from .plans.analysis import flagship as FLAGSHIP  # noqa: N812
 from .streaming import streams
 
-MODULES = (chain_queries, operator_queries, relational_queries, step_queries, streams)
+MODULES = (chain_queries, operator_queries, relational_queries, scan_queries, step_queries, streams)
 
 
 def queries() -> dict:
