@@ -101,14 +101,6 @@ class LanguageModel:
         return V.per_text_sum(value[inverse], bounds), np.diff(bounds)
 
 
-def sampled(rows: DataFrame, doc_id: str, bound: int) -> DataFrame:
-    """About ``bound`` of the rows at most, picked by a hash of the id: the same rows whatever the partitioning."""
-    total = rows.count()
-    if total <= bound:
-        return rows
-    return rows.where(F.pmod(F.xxhash64(F.col(doc_id).cast("string"), F.lit("sample")), F.lit(1 << 20)) < int((1 << 20) * bound / total))
-
-
 def shares(counts: dict[str, int], bound: int) -> dict[str, int]:
     """Rows to take of each language, ``bound`` in all at most: small ones whole, the rest in equal parts."""
     out, left = {}, bound

@@ -6,8 +6,9 @@ Viterbi, and the restored word takes the place of the spelling; where a spelling
 reading is scored too. Score: the restored text is scored by the words and
 word beginnings that mark toxic training texts, brought to a probability by a logistic fit.
 
-Labels are learned from at most ``TRAIN_ROWS`` labelled rows, the lexicon holds ``LEXICON`` entries at most and the
-character model ``TRIGRAMS``; so what is broadcast has a fixed bound. Every word of every text is scored.
+Every labelled row teaches: six in ten count marks and trigrams, the others fit the logistic weights, by sums over all
+of them. The lexicon keeps the ``LEXICON`` strongest entries and the character model the ``TRIGRAMS`` commonest, so what
+is broadcast has a fixed bound. Every word of every text is scored.
 
 Nulls and edge cases: a null or empty text gets the score of a text without any marked word; rows with a null id or
 label teach nothing; a null id is scored, as not held out; repeated rows are scored each; without labels of both kinds
@@ -26,12 +27,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textvec as V
-from .common import bounded_batches, remainder
-from .language import sampled
+from .common import Scratch, bounded_batches, remainder
 
-TRAIN_ROWS = 20_000
 LEXICON = 20_000
 TRIGRAMS = 60_000
+#: Distinct keys and words that a worker holds before it passes partial counts on.
+COUNTED = 400_000
+FEATURES = 6
 BEGINNING = 6  # bytes of a word's beginning
 
 #: What a sign may stand for.
@@ -46,6 +48,7 @@ _HIDDEN = re.compile(
     r"|(?<![\w@$!|+])[^\W\d_]*([A-Za-z])\2{2,}[^\W\d_]*(?![\w@$!|+])"
 )
 _PROBABLE = re.compile(rf"[{_SIGNS}][A-Za-z]|[A-Za-z][{_SIGNS}]|([A-Za-z])\1\1|(?<!\w)[A-Za-z{_SIGNS}]{_BETWEEN}[A-Za-z{_SIGNS}]{_BETWEEN}[A-Za-z{_SIGNS}](?!\w)")
+_LETTERS = re.compile(r"[^\W\d_]+")
 #: Signs that also just end a word.
 _ENDS = re.compile(r"[!|+*]+$")
 
@@ -167,78 +170,127 @@ class ToxicModel:
         return np.stack([np.ones(len(n)), np.log1p(total), np.minimum(total / n, 5), strongest, np.minimum(hits / n * 10, 5), np.log1p(hits)], axis=1)
 
 
-def _marks():
-    """(kind, key, toxic, count): texts that hold a word or beginning (kind 0), or a character trigram's weight (kind 1)."""
+def _marks(batches):
+    """(key, tri, pos, neg): toxic and other texts that hold a word or beginning (tri null), or how often their words hold
+    a character trigram (key null), each word once a text."""
+    held: list[list] = [[], []]
+    words: list[Counter] = [Counter(), Counter()]
+    size = 0
+
+    def flush():
+        keys, inverse = np.unique(np.concatenate([*held[1], *held[0]]), return_inverse=True)
+        toxic = sum(len(x) for x in held[1])
+        pos = np.bincount(inverse[:toxic], minlength=len(keys))
+        neg = np.bincount(inverse[toxic:], minlength=len(keys))
+        tri: tuple[Counter, Counter] = (Counter(), Counter())
+        for label in (0, 1):
+            for w, c in words[label].items():
+                w = f"^^{w}^"
+                for k in range(len(w) - 2):
+                    tri[label][w[k : k + 3]] += c
+            held[label].clear()
+            words[label].clear()
+        both = list(tri[0] | tri[1])
+        none = len(both)
+        # tables of two long counts and a key, in parts that stay small
+        table = pa.table(
+            {
+                "key": pa.concat_arrays([pa.array(keys.view(np.int64)), pa.nulls(none, pa.int64())]),
+                "tri": pa.concat_arrays([pa.nulls(len(keys), pa.string()), pa.array(both, pa.string())]),
+                "pos": pa.array([*pos.tolist(), *(tri[1][t] for t in both)], pa.int64()),
+                "neg": pa.array([*neg.tolist(), *(tri[0][t] for t in both)], pa.int64()),
+            }
+        )
+        yield from table.to_batches(max_chunksize=20_000)
+
+    for batch in batches:
+        toxic = np.array(batch.column(1).to_pylist(), np.int64) > 0
+        for first, step in V.steps(batch.column(0)):
+            hashes, heads, bounds = _features(step)
+            for k in range(len(bounds) - 1):
+                a, b = bounds[k], bounds[k + 1]
+                own = np.unique(np.concatenate([hashes[a:b], heads[a:b]]))
+                held[int(toxic[first + k])].append(own)
+                size += len(own)
+        for text, t in zip(batch.column(0).to_pylist(), toxic):
+            if text:
+                words[int(t)].update(set(_LETTERS.findall(text.lower())))
+        # a key of many texts is held once a text, so this bounds memory from above
+        if size >= 8 * COUNTED or sum(map(len, words)) >= COUNTED:
+            yield from flush()
+            size = 0
+    if any(held) or any(words):
+        yield from flush()
+
+
+def _logistic(seen: DataFrame, ridge: float = 0.05) -> np.ndarray:
+    """Weights by Newton steps; each sums over all rows of ``seen`` (x, y), of which only the sums reach the driver."""
+    beta = np.zeros(FEATURES)
+
+    def sums(at: np.ndarray):
+        def run(batches):
+            curve, slope = np.zeros((FEATURES, FEATURES)), np.zeros(FEATURES)
+            for batch in batches:
+                x = np.asarray(batch.column(0).flatten()).reshape(-1, FEATURES)
+                p = 1 / (1 + np.exp(-np.clip(x @ at, -30, 30)))
+                w = np.maximum(p * (1 - p), 1e-6)
+                curve += (x * w[:, None]).T @ x
+                slope += x.T @ (np.asarray(batch.column(1)) - p)
+            yield pa.RecordBatch.from_arrays([pa.array([curve.ravel().tolist()], pa.list_(pa.float64())), pa.array([slope.tolist()], pa.list_(pa.float64()))], names=["curve", "slope"])
+
+        return run
 
-    def run(batches):
-        for batch in batches:
-            toxic = np.array(batch.column(1).to_pylist(), np.int64)
-            out = {0: [], 1: []}
-            for first, step in V.steps(batch.column(0)):
-                words, heads, bounds = _features(step)
-                for k in range(len(bounds) - 1):
-                    a, b = bounds[k], bounds[k + 1]
-                    out[int(toxic[first + k] > 0)].append(np.unique(np.concatenate([words[a:b], heads[a:b]])))
-            for label, sets in out.items():
-                if sets:
-                    h, c = np.unique(np.concatenate(sets), return_counts=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array([None] * len(h), pa.string()), pa.array([label] * len(h), pa.int32()), pa.array(c.astype(np.int64))], names=["key", "tri", "toxic", "count"])
-            for label in (0, 1):
-                tri: Counter = Counter()
-                for text, t in zip(batch.column(0).to_pylist(), toxic):
-                    if int(t > 0) == label and text:
-                        for w in set(re.findall(r"[^\W\d_]+", text.lower())):
-                            w = f"^^{w}^"
-                            tri.update(w[k : k + 3] for k in range(len(w) - 2))
-                yield pa.RecordBatch.from_arrays([pa.array([None] * len(tri), pa.int64()), pa.array(list(tri), pa.string()), pa.array([label] * len(tri), pa.int32()), pa.array(list(tri.values()), pa.int64())], names=["key", "tri", "toxic", "count"])
-
-    return run
-
-
-def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05) -> np.ndarray:
-    beta = np.zeros(x.shape[1])
     for _ in range(50):
-        p = 1 / (1 + np.exp(-np.clip(x @ beta, -30, 30)))
-        w = np.maximum(p * (1 - p), 1e-6)
-        step = np.linalg.solve((x * w[:, None]).T @ x + ridge * np.eye(x.shape[1]), x.T @ (y - p) - ridge * beta)
-        beta += step
+        parts = seen.mapInArrow(sums(beta), "curve array<double>, slope array<double>").collect()
+        curve = sum(np.array(r["curve"]) for r in parts).reshape(FEATURES, FEATURES)
+        slope = sum(np.array(r["slope"]) for r in parts)
+        step = np.linalg.solve(curve + ridge * np.eye(FEATURES), slope - ridge * beta)
+        beta = beta + step
         if np.abs(step).max() < 1e-8:
             break
     return beta
 
 
-def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, lexicon: int = LEXICON) -> ToxicModel | None:
+def train(docs: DataFrame, labels: DataFrame, lexicon: int = LEXICON) -> ToxicModel | None:
     spark = docs.sparkSession
-    known = labels.where(F.col("toxic").isNotNull() & (remainder("doc_id", 4) != 2)).select("doc_id", F.col("toxic").cast("int").alias("toxic"))
-    # at most train_rows rows of two numbers: small enough to broadcast whatever the size of labels
-    known = sampled(known, "doc_id", train_rows).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    rows = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id")
+    scratch = Scratch(spark)
+    known = labels.where(F.col("toxic").isNotNull() & (remainder("doc_id", 4) != 2)).groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
     fit = F.pmod(F.xxhash64(F.col("doc_id").cast("string"), F.lit("half")), F.lit(10)) < 6
-    counted = rows.where(fit).select("text", "toxic").mapInArrow(_marks(), "key bigint, tri string, toxic int, count bigint")
-    sizes = {r["toxic"]: r["n"] for r in known.where(fit).groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    # labels grow with the documents: the joins below are merged at every size and broadcast at none
+    learn = docs.select("doc_id", "text").where(remainder("doc_id", 4) != 2)
+    sizes = {r["toxic"]: r["n"] for r in known.where(fit).groupBy((F.col("toxic") > 0).cast("int").alias("toxic")).agg(F.count("*").alias("n")).collect()}
     p, n = sizes.get(1, 0), sizes.get(0, 0)
     if not p or not n:
         return None
-    table = counted.groupBy("key", "tri").agg(F.sum(F.when(F.col("toxic") == 1, F.col("count")).otherwise(0)).alias("pos"), F.sum(F.when(F.col("toxic") == 0, F.col("count")).otherwise(0)).alias("neg"))
+    counted = learn.where(fit).join(known.where(fit).hint("merge"), "doc_id").select("text", "toxic").mapInArrow(_marks, "key bigint, tri string, pos bigint, neg bigint")
+    table = scratch.put(counted.groupBy("key", "tri").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg")).where("tri IS NOT NULL OR pos >= 4"), "op6-counts")
     odds = F.log(((F.col("pos") + 0.5) / (p + 1)) / ((F.col("neg") + 0.5) / (n + 1)))
-    marked = table.where("key IS NOT NULL AND pos >= 4").withColumn("weight", odds).where(F.col("weight") > 1.2)
+    marked = table.where("key IS NOT NULL").withColumn("weight", odds).where(F.col("weight") > 1.2)
     marked = marked.withColumn("gain", F.col("pos") * F.col("weight")).where("gain > 14").orderBy(F.desc("gain"), "key").limit(lexicon).collect()
     # both kinds of text weigh the same in the character model
     share = F.col("pos") / F.lit(float(p)) + F.col("neg") / F.lit(float(n))
     characters = table.where("tri IS NOT NULL").select("tri", (share * F.lit(1000.0)).alias("w")).orderBy(F.desc("w"), "tri").limit(TRIGRAMS).collect()
+    scratch.drop(table)
     model = ToxicModel(np.array([r["key"] for r in marked], np.int64).astype(np.uint64), np.array([r["weight"] for r in marked], float), {r["tri"]: r["w"] for r in characters})
     shared = spark.sparkContext.broadcast(model)
 
     def describe(batches):
         m = shared.value
         for batch in batches:
-            x = np.concatenate([m.describe(s) for _, s in V.steps(batch.column(0))] or [np.zeros((0, 6))])
-            yield pa.RecordBatch.from_arrays([pa.array(x.tolist(), pa.list_(pa.float64())), batch.column(1)], names=["x", "y"])
-
-    seen = rows.where(~fit).select("text", "toxic").mapInArrow(describe, "x array<double>, y int").collect()
-    if len({r["y"] for r in seen}) < 2:
-        seen = rows.select("text", "toxic").mapInArrow(describe, "x array<double>, y int").collect()
-    model.beta = _logistic(np.array([r["x"] for r in seen]), np.array([float(r["y"] > 0) for r in seen]))
+            x = np.concatenate([m.describe(s) for _, s in V.steps(batch.column(1))] or [np.zeros((0, FEATURES))])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(x.tolist(), pa.list_(pa.float64()))], names=["doc_id", "x"])
+
+    def seen(which) -> DataFrame:
+        # texts are described where they lie: only their few numbers move to meet the labels
+        described = learn.where(which).mapInArrow(describe, f"doc_id {learn.schema['doc_id'].dataType.simpleString()}, x array<double>")
+        return scratch.put(described.join(known.where(which).hint("merge"), "doc_id").select("x", (F.col("toxic") > 0).cast("double").alias("y")), "op6-described")
+
+    found = seen(~fit)
+    if found.agg(F.count_distinct("y")).first()[0] < 2:
+        scratch.drop(found)
+        found = seen(F.lit(True))
+    model.beta = _logistic(found)
+    scratch.drop(found)
     return model
 
 

@@ -512,3 +512,28 @@ def test_audit_descends_only_where_roots_differ(spark):
     none: list = []
     assert fixity.audit(a, a, fanout=4, range_bytes=1024, visited=none).count() == 0 and sum(x for x, _ in none[1:]) == 0
     assert fixity.audit(a.limit(0), a.limit(0)).count() == 0
+
+
+def test_toxicity_learns_from_every_labelled_row(spark):
+    """A mark that 60 of 36,000 labelled rows hold: counted whole, not in a part of them."""
+    n = 36_000
+    plain = "river bridge stone child boat green field".split()
+    given = spark.createDataFrame([(k, " ".join(plain[k % 3 :]) + (" zorblat" if k % 600 == 0 else "") + (" moron" if k % 2 else "")) for k in range(n)], "doc_id long, text string")
+    labels = spark.createDataFrame([(k, int(k % 2 or k % 600 == 0)) for k in range(n)], "doc_id long, toxic int")
+    model = toxicity.train(given, labels)
+    fit = F.pmod(F.xxhash64(F.col("doc_id").cast("string"), F.lit("half")), F.lit(10)) < 6
+    learned = labels.where(fit & (F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 != 2))
+    sizes = {r["toxic"]: r["count"] for r in learned.groupBy("toxic").count().collect()}
+    marked = learned.where("doc_id % 600 = 0").count()
+    weights = dict(zip(model.keys.tolist(), model.weights.tolist()))
+    # every one of them, and no other row
+    assert np.isclose(weights[textvec.hash_word("zorblat")], np.log(((marked + 0.5) / (sizes[1] + 1)) / (0.5 / (sizes[0] + 1))))
+
+
+def test_logistic_sums_match_one_fit_over_all_rows(spark):
+    rng = np.random.default_rng(3)
+    x = np.hstack([np.ones((300, 1)), rng.normal(size=(300, toxicity.FEATURES - 1))])
+    y = (x @ [0.3, 1, -1, 0.5, 0, 2] + rng.logistic(size=300) > 0).astype(float)
+    beta = toxicity._logistic(spark.createDataFrame([(a.tolist(), float(b)) for a, b in zip(x, y)], "x array<double>, y double").repartition(7))
+    p = 1 / (1 + np.exp(-(x @ beta)))
+    assert np.abs(x.T @ (y - p) - 0.05 * beta).max() < 1e-6
