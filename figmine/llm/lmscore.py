@@ -39,6 +39,8 @@ END = np.uint64(0x5851F42D4C957F2D)
 #: Tokens that a worker holds before it passes partial counts on.
 COUNTED_BATCH = 1 << 20
 SENT_BYTES = 1 << 20
+#: Bytes of text scored together.
+SCORED_BYTES = 1 << 19
 
 
 def _tokens(step: V.Step) -> tuple[np.ndarray, np.ndarray]:
@@ -127,12 +129,19 @@ def _wide(raw: bytes) -> np.ndarray:
     return out.view(np.uint64).ravel()
 
 
+_WIDTHS = {1: np.uint8, 4: np.uint32, 8: np.uint64}
+
+
 def _small(c: np.ndarray) -> bytes:
-    return b"\1" + c.astype(np.uint8).tobytes() if c.max() < 256 else b"\4" + c.astype(np.uint32).tobytes()
+    """Counts in the narrowest width that holds them all, after a byte that names it."""
+    most = int(c.max(initial=0))
+    width = 1 if most < 1 << 8 else 4 if most < 1 << 32 else 8
+    return bytes([width]) + c.astype(_WIDTHS[width]).tobytes()
 
 
-def _large(raw: bytes) -> np.ndarray:
-    return np.frombuffer(raw[1:], np.uint8 if raw[0] == 1 else np.uint32).astype(np.int64)
+def _counts(raw: bytes) -> np.ndarray:
+    """What ``_small`` wrote, as it lies there."""
+    return np.frombuffer(raw, _WIDTHS[raw[0]], offset=1)
 
 
 def _bits(h: np.ndarray, level: int, size: int):
@@ -164,28 +173,26 @@ class BloomShard:
 class Filters:
     """The filters of many shards as one string of bits, so that a probe serves grams of all shards at once."""
 
-    def __init__(self, parts: dict[int, bytes], shards: int):
+    def __init__(self, shards: int):
         self.base, self.size = np.zeros(shards, np.uint64), np.zeros(shards, np.uint64)
-        at = 0
-        for shard, raw in parts.items():
-            self.base[shard], self.size[shard] = 8 * at, 8 * len(raw)
-            at += len(raw)
-        self.bits = np.empty(at, np.uint8)
-        for shard, raw in parts.items():
-            first = int(self.base[shard]) // 8
-            self.bits[first : first + len(raw)] = np.frombuffer(raw, np.uint8)
+        self.raw = bytearray()
+
+    def add(self, shard: int, bits: bytes) -> None:
+        self.base[shard], self.size[shard] = 8 * len(self.raw), 8 * len(bits)
+        self.raw += bits
 
     def levels(self, grams: np.ndarray, shard: np.ndarray) -> np.ndarray:
         """Level of each gram, by probing until a miss; 0 for the shards that are not here."""
         out = np.zeros(len(grams), np.int8)
         live = np.flatnonzero(self.size[shard])
+        bits = np.frombuffer(self.raw, np.uint8) if len(live) else None
         level = 1
         while len(live) and level < 64:
             base = self.base[shard[live]]
             hit = np.ones(len(live), bool)
             for at in _bits(grams[live], level, self.size[shard[live]]):
                 at += base
-                hit &= (self.bits[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & 1 > 0
+                hit &= (bits[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8)) & 1 > 0
             live = live[hit]
             out[live] = level
             level += 1
@@ -197,7 +204,7 @@ def _build(key, table):
     kind = key[0].as_py()
     raw = table.column("grams").to_pylist()
     grams = np.concatenate([np.frombuffer(r, np.uint64) if kind == 1 else _wide(r) for r in raw])
-    counts = np.concatenate([_large(c) for c in table.column("counts").to_pylist()])
+    counts = np.concatenate([_counts(c) for c in table.column("counts").to_pylist()])
     grams, inverse = np.unique(grams, return_inverse=True)
     counts = np.bincount(inverse, weights=counts, minlength=len(grams)).astype(np.int64)
     shard = BloomShard.build(grams & np.uint64((1 << 40) - 1), counts)
@@ -210,7 +217,7 @@ def _build(key, table):
             "total": pa.array([int(counts.sum())], pa.int64()),
             "bits": pa.array([shard.bits.tobytes()], pa.binary()),
             "grams": pa.array([grams.tobytes() if exact else b""], pa.binary()),
-            "counts": pa.array([counts.tobytes() if exact else b""], pa.binary()),
+            "counts": pa.array([_small(counts) if exact else b""], pa.binary()),
         }
     )
 
@@ -254,13 +261,15 @@ def train(docs: DataFrame, text: str = "text", shard_grams: int = SHARD_GRAMS, h
 def _lookup(broadcasts: list, shards: int):
     """Fills in, for the shards of this pass, the count and level of each token and the level of each pair."""
     exact = {}
-    raw: dict[int, dict[int, bytes]] = {1: {}, 2: {}}
+    words, doubles = Filters(shards), Filters(shards)
     for kind, shard, b in broadcasts:
         bits, grams, counts = b.value
-        raw[kind][shard] = bits
+        (words if kind == 1 else doubles).add(shard, bits)
         if kind == 1:
-            exact[shard] = (np.frombuffer(grams, np.uint64), np.frombuffer(counts, np.int64))
-    words, doubles = Filters(raw[1], shards), Filters(raw[2], shards)
+            exact[shard] = (np.frombuffer(grams, np.uint64), _counts(counts))
+        # a worker would keep the bits a second time; the next task reads them from the executor's file again
+        if getattr(b, "_path", None):
+            b.__dict__.pop("_value", None)
     low = np.uint64((1 << 40) - 1)
 
     def fill(tokens, pairs, counts, levels, pair_levels):
@@ -296,7 +305,7 @@ def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
                 column = batch.column(names.index(text))
                 before = None if is_first else [batch.column(names.index(k)).to_pylist() for k in state_names]
                 out: list[list] = [[], [], [], []]
-                for row, step in V.steps(column, 1 << 20):
+                for row, step in V.steps(column, SCORED_BYTES):
                     tokens, first = _tokens(step)
                     pairs = _pairs(tokens, first)
                     if is_first:

@@ -537,3 +537,32 @@ def test_logistic_sums_match_one_fit_over_all_rows(spark):
     beta = toxicity._logistic(spark.createDataFrame([(a.tolist(), float(b)) for a, b in zip(x, y)], "x array<double>, y double").repartition(7))
     p = 1 / (1 + np.exp(-(x @ beta)))
     assert np.abs(x.T @ (y - p) - 0.05 * beta).max() < 1e-6
+
+
+def test_a_worker_holds_each_filter_once(spark):
+    texts = [f"w{k} x{k % 50} the" for k in range(3000)]
+    model = lmscore.train(docs(spark, texts), shard_grams=500)
+    held, shards = model.held(0), model.shards
+
+    def kept(batches):
+        import pyarrow as pa
+
+        for _ in batches:
+            for _ in range(2):  # the second time they are read again
+                fill = lmscore._lookup(held, shards)
+            tokens = np.array([textvec.hash_word("the"), textvec.hash_word("w7"), 5], np.uint64)
+            counts, levels = np.zeros(3, np.int64), np.zeros(3, np.int8)
+            fill(tokens, np.zeros(3, np.uint64), counts, levels, np.zeros(3, np.int8))
+            yield pa.RecordBatch.from_arrays([pa.array([sum("_value" in b.__dict__ for _, _, b in held)], pa.int64()), pa.array([counts.tolist()], pa.list_(pa.int64())), pa.array([levels.tolist()], pa.list_(pa.int64()))], names=["kept", "counts", "levels"])
+
+    assert len(held) > 20
+    (r,) = spark.range(1).repartition(1).mapInArrow(kept, "kept long, counts array<long>, levels array<long>").collect()
+    assert r["kept"] == 0 and r["counts"] == [3000, 1, 0] and r["levels"][:2] == [12, 1]
+
+
+def test_counts_of_any_size_are_written_whole():
+    for top in (1, 255, 256, (1 << 32) - 1, 1 << 32, 1 << 40):
+        c = np.array([1, top], np.int64)
+        raw = lmscore._small(c)
+        assert lmscore._counts(raw).tolist() == c.tolist()
+    assert len(lmscore._small(np.array([255]))) == 2
