@@ -14,6 +14,7 @@ texts of any length are cut, never dropped; extra columns are ignored; an empty
 from __future__ import annotations
 
 import itertools
+import json
 import re
 import zlib
 from bisect import bisect_left, bisect_right, insort
@@ -34,13 +35,53 @@ CACHED_WORDS = 400_000
 # characters for which the fast splitter below and the tokenizer's own agree: ASCII text and Latin letters
 _UNSAFE = re.compile(r"[^\t\n\r -~À-ÖØ-öø-ɏ]")
 _SPLIT = re.compile(r"'(?:s|t|re|ve|m|ll|d)| ?[A-Za-zÀ-ÖØ-öø-ɏ]+| ?[0-9]+| ?[^\sA-Za-zÀ-ÖØ-öø-ɏ0-9]+|\s+(?!\S)|\s+")
-# ids of words seen lately and, once that is full, of those seen before: bounded, and words in use stay
-_cache: dict[str, bytes] = {}
-_older: dict[str, bytes] = {}
 _loaded: dict = {}
 
 
+def _byte_signs() -> dict[int, str]:
+    """The sign by which a byte-level vocabulary writes each byte: printable Latin-1 as it is, the others in order from 256."""
+    plain = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    others = iter(range(0x100, 0x200))
+    return {b: chr(b if b in plain else next(others)) for b in range(256)}
+
+
+class _Words(dict):
+    """Ids of words seen lately, as bytes; a missing word is encoded, or taken from those seen before: bounded, and words
+    in use stay."""
+
+    def __init__(self, tokenizer):
+        self.older: dict[str, bytes] = {}
+        signs = _byte_signs()
+        letters = {c: "".join(signs[b] for b in chr(c).encode()) for c in range(0x250)}
+        tokenize = tokenizer.model.tokenize
+
+        def bare(word: str) -> bytes:
+            return np.array([t.id for t in tokenize(word.translate(letters))], "<u4").tobytes()
+
+        def whole(word: str) -> bytes:
+            return np.array(tokenizer.encode(word, add_special_tokens=False).ids, "<u4").tobytes()
+
+        # a word of the splitter is one piece for the model, unless the tokenizer changes text before
+        step = json.loads(tokenizer.to_str())
+        before = step.get("pre_tokenizer") or {}
+        plain = step.get("normalizer") is None and before.get("type") == "ByteLevel" and not before.get("add_prefix_space")
+        self.encode = bare if plain and step["model"].get("type") == "BPE" and not step["model"].get("dropout") else whole
+
+    def __missing__(self, word: str) -> bytes:
+        found = self.older.get(word)
+        if found is None:
+            found = self.encode(word)
+        self[word] = found
+        return found
+
+    def turn(self) -> None:
+        if len(self) > CACHED_WORDS:
+            self.older = dict(self)
+            self.clear()
+
+
 def _tokenizer(path: str):
+    """The tokenizer and its words."""
     if path not in _loaded:
         import os
 
@@ -48,38 +89,25 @@ def _tokenizer(path: str):
         from tokenizers import Tokenizer
 
         _loaded.clear()
-        _cache.clear()
-        _older.clear()
-        _loaded[path] = Tokenizer.from_file(path)
+        tokenizer = Tokenizer.from_file(path)
+        _loaded[path] = (tokenizer, _Words(tokenizer))
     return _loaded[path]
 
 
 def token_bytes(texts: list[str | None], path: str) -> list[bytes]:
     """Ids of each text as little-endian 32-bit numbers. Words seen before come from a bounded cache."""
-    global _cache, _older
-    tokenizer = _tokenizer(path)
-    whole, split, fresh = {}, {}, {}
-    if len(_cache) > CACHED_WORDS:
-        _cache, _older = {}, _cache
+    tokenizer, words = _tokenizer(path)
+    whole: dict[int, str] = {}
+    out = [b""] * len(texts)
+    ids_of = words.__getitem__
     for k, text in enumerate(texts):
         if not text:
             continue
         if _UNSAFE.search(text) or "<|" in text:
             whole[k] = text
         else:
-            split[k] = words = _SPLIT.findall(text)
-            for w in words:
-                if w not in _cache:
-                    if w in _older:
-                        _cache[w] = _older[w]
-                    else:
-                        fresh[w] = None
-    if fresh:
-        for w, e in zip(fresh, tokenizer.encode_batch(list(fresh), add_special_tokens=False)):
-            _cache[w] = np.array(e.ids, "<u4").tobytes()
-    out = [b""] * len(texts)
-    for k, words in split.items():
-        out[k] = b"".join([_cache[w] for w in words])
+            out[k] = b"".join(map(ids_of, _SPLIT.findall(text)))
+            words.turn()
     if whole:
         for k, e in zip(whole, tokenizer.encode_batch(list(whole.values()), add_special_tokens=False)):
             out[k] = np.array(e.ids, "<u4").tobytes()

@@ -566,3 +566,33 @@ def test_counts_of_any_size_are_written_whole():
         raw = lmscore._small(c)
         assert lmscore._counts(raw).tolist() == c.tolist()
     assert len(lmscore._small(np.array([255]))) == 2
+
+
+def test_words_go_to_the_model_of_the_tokenizer(monkeypatch):
+    """Only texts that the splitter does not know pass the whole tokenizer; words in and out of the cache give its ids."""
+    import tokenizers
+
+    real = tokenizers.Tokenizer.from_file(packing.default_tokenizer())
+    asked = []
+
+    class Watched:
+        model, to_str = real.model, real.to_str
+
+        @staticmethod
+        def from_file(path):
+            return Watched()
+
+        def encode_batch(self, texts, **how):
+            asked.extend(texts)
+            return real.encode_batch(texts, **how)
+
+    rng = random.Random(9)
+    signs = [*"abcXYZ019 '\t\n\r.,!?-_#~|<>\\\"", "é", "ÿ", "À", "ɏ", "'s", "'ll", "  ", " the"]
+    texts = ["".join(rng.choices(signs, k=rng.randint(0, 80))) for _ in range(400)] + [None, "日本", "<|endoftext|>"]
+    packing._loaded.clear()
+    monkeypatch.setattr(tokenizers, "Tokenizer", Watched)
+    monkeypatch.setattr(packing, "CACHED_WORDS", 50)
+    got = packing.token_bytes(texts, packing.default_tokenizer())
+    packing._loaded.clear()
+    assert got == [np.array(real.encode(t or "", add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+    assert {"日本", "<|endoftext|>"} <= set(asked) and all(packing._UNSAFE.search(t) or "<|" in t for t in asked)
