@@ -55,6 +55,8 @@ NAME_BYTES = 8
 SHORT = 8
 #: Earlier n-grams of a class that are looked at first, for all its pairs at once.
 HEAD = 32
+#: Edges of a graph that one task groups at most; a larger graph is grouped in rounds by all.
+EDGES = 1 << 18
 
 
 def _set_of(hashes: np.ndarray, n: int) -> np.ndarray:
@@ -299,7 +301,7 @@ def _marks(wanted: DataFrame) -> np.ndarray:
         return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "bits": pa.array([np.packbits(bits).tobytes()], pa.binary())})
 
     out = np.zeros(MARKS // 8, np.uint8)
-    for row in wanted.mapInArrow(count, "part int, at binary").groupBy("part").applyInArrow(add, "part int, bits binary").toLocalIterator():
+    for row in wanted.mapInArrow(count, "part int, at binary").groupBy("part").applyInArrow(add, "part int, bits binary").collect():
         out[row["part"] * MARK_ROW // 8 : (row["part"] + 1) * MARK_ROW // 8] = np.frombuffer(row["bits"], np.uint8)
     return out
 
@@ -367,6 +369,43 @@ def _edges(lists: DataFrame, column: str, width: int = FP_BYTES) -> DataFrame:
     return lists.where(F.octet_length(column) > 0).select("a", F.explode(each).alias("b"))
 
 
+def _grouped_in_one(batches):
+    """(node, component) of all edges from a to each name in tree, at most ``EDGES`` of them: trees of names whose roots
+    hook onto smaller neighbours, so each pass halves the number of trees that are not done."""
+    left, right = [], []
+    for batch in batches:
+        for a, tree in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            left.append(a * (len(tree) // FP_BYTES))
+            right.append(tree)
+    ends = np.frombuffer(b"".join(left + right), ">u8").astype(np.uint64).reshape(-1, FP_BYTES // 8)
+    names, at = np.unique(ends, axis=0, return_inverse=True)
+    a, b = at.reshape(2, -1)
+    low = np.arange(len(names))
+    while (apart := low[a] != low[b]).any():
+        a, b = a[apart], b[apart]
+        x, y = low[a], low[b]
+        np.minimum.at(low, np.maximum(x, y), np.minimum(x, y))
+        while ((further := low[low]) != low).any():
+            low = further
+    raw = names.astype(">u8").tobytes()
+    each = [raw[k : k + FP_BYTES] for k in range(0, len(raw), FP_BYTES)]
+    for lo in range(0, len(each), 1 << 16):
+        own = each[lo : lo + (1 << 16)]
+        yield pa.RecordBatch.from_arrays([pa.array(own, pa.binary()), pa.array([each[k] for k in low[lo : lo + len(own)].tolist()], pa.binary())], names=["node", "component"])
+
+
+def _graph_groups(lists: DataFrame, scratch: Scratch) -> DataFrame:
+    """(node, component) of the edges (a, each name in tree); component is the smallest name reachable.
+
+    Rounds cost many tasks whatever the size, and the sorts and hash tables of each take their pages from the heap of
+    the executor; so a graph of up to ``EDGES`` edges is grouped by one task, and only a larger one in rounds."""
+    linked = lists.where(F.octet_length("tree") > 0).select("a", "tree")
+    amount = linked.agg(F.sum(F.octet_length("tree").cast("bigint"))).first()[0] or 0
+    if amount > EDGES * FP_BYTES:
+        return scratch.put(components(_edges(linked, "tree"), "a", "b"), "op5-components")
+    return scratch.put(linked.coalesce(1).mapInArrow(_grouped_in_one, "node binary, component binary"), "op5-components")
+
+
 def _shared_columns(values: pa.Array, offsets: np.ndarray) -> tuple[int, np.ndarray, np.ndarray]:
     """The values that occur more than once between the offsets: how many, their numbers row by row, where rows start."""
     coded = values[offsets[0] : offsets[-1]].dictionary_encode()
@@ -618,9 +657,11 @@ def verify(candidates: DataFrame, docs: DataFrame, classes: DataFrame, percent:
     Pairs are checked family by family (a component of the candidate graph), large families tile by tile: a set
     travels once per tile pair it is needed in and not once per pair, and no row per pair is made.
     """
-    family = components(_edges(candidates, "tree"), "a", "b").withColumnRenamed("component", "family")
+    groups = _graph_groups(candidates, scratch)
+    family = groups.withColumnRenamed("component", "family")
     size = family.groupBy("family").agg(F.count("*").alias("members"))
     family = scratch.put(family.join(size, "family").select(F.col("node").alias("a"), "family", "members"), "op5-families")
+    scratch.drop(groups)
     placed = candidates.select("a", "partners").join(family, "a").select("a", "partners", "family", "members")
     placed = scratch.put(placed.mapInArrow(_place(tile), "family binary, tile_a int, tile_b int, a binary, partners binary"), "op5-placed")
     scratch.drop(candidates)
@@ -673,11 +714,12 @@ def grouped_classes(docs: DataFrame, doc_id: str, text: str, n: int, percent: in
     candidates = scratch.put(candidate_lists(rows, classes, percent), "op5-pairs")
     scratch.drop(rows)
     links = scratch.put(verify(candidates, docs, classes, percent, text, n, scratch), "op5-links")
-    found = components(_edges(links, "tree"), "a", "b").withColumnRenamed("node", "fp")
+    groups = _graph_groups(links, scratch)
+    found = groups.withColumnRenamed("node", "fp")
     degree = links.groupBy(F.col("a").alias("fp")).agg(F.sum("others").alias("others"))
     grouped = classes.drop("spread").join(found, "fp", "left").join(degree, "fp", "left")
     grouped = scratch.put(grouped.select("fp", "low", "copies", F.coalesce("component", "fp").alias("component"), F.coalesce("others", F.lit(0)).alias("others")), "op5-classes")
-    scratch.drop(links, classes)
+    scratch.drop(links, classes, groups)
     return sets, grouped
 
 

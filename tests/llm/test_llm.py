@@ -1,3 +1,4 @@
+import hashlib
 import random
 import re
 import zlib
@@ -7,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from figmine.llm import decontaminate, fixity, jaccard, language, licenses, lmscore, packing, secrets, textvec, topk, toxicity
-from figmine.llm.common import stored
+from figmine.llm.common import Scratch, stored
 
 DOC = "doc_id long, text string, lang string, source string, score double"
 
@@ -596,3 +597,28 @@ def test_words_go_to_the_model_of_the_tokenizer(monkeypatch):
     packing._loaded.clear()
     assert got == [np.array(real.encode(t or "", add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
     assert {"日本", "<|endoftext|>"} <= set(asked) and all(packing._UNSAFE.search(t) or "<|" in t for t in asked)
+
+
+@pytest.mark.parametrize("edges", [1 << 18, 5])
+def test_graphs_are_grouped_alike_by_one_task_and_in_rounds(spark, monkeypatch, edges):
+    rng, name = np.random.default_rng(5), lambda k: hashlib.blake2b(str(k).encode(), digest_size=16).digest()
+    ends = [(int(a), int(b)) for a, b in rng.integers(0, 60, (25, 2))] + [(k, k + 1) for k in range(300, 306)] + [(999, 999)]
+    low = {k: name(k) for pair in ends for k in pair}
+    for _ in low:
+        for a, b in ends:
+            low[a] = low[b] = min(low[a], low[b])
+    rows = [(name(a), name(b)) for a, b in ends] + [(name(300), name(302) + name(304)), (name(5000), b"")]
+    monkeypatch.setattr(jaccard, "EDGES", edges, raising=False)
+    got = jaccard._graph_groups(spark.createDataFrame(rows, "a binary, tree binary").repartition(3), Scratch(spark)).collect()
+    assert {(bytes(r["node"]), bytes(r["component"])) for r in got} == {(name(k), x) for k, x in low.items()}
+    assert len(got) == len(low)
+
+
+def test_small_graphs_need_no_rounds(spark):
+    given = docs(spark, [" ".join(f"w{k * 100 + j}" for j in range(60)) + f" end{k} {c}" for k in range(12) for c in range(3)])
+    spark.sparkContext.setJobGroup("near", "")
+    try:
+        assert jaccard.keep_one_per_group(given).count() == 12
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("near")) < 64
