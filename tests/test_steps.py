@@ -137,3 +137,15 @@ def test_streams_equal_their_batch_twins(spark, tmp_path, name):
     spark.createDataFrame([(c, t, ["user", "assistant"][t % 2], "x") for c in range(20) for t in range(c % 5)], "conv_id long, turn long, role string, text string").write.parquet(str(tmp_path / "conversations.parquet"))
     stream, batch = streams.LATER[name]
     assert rows(stream(spark, str(tmp_path))) == rows(batch(spark, str(tmp_path)))
+
+
+def test_sessions_do_not_pass_through_the_driver(spark, tmp_path):
+    minutes = [(0, 1), (10, 1), (39, 1), (70, 1), (5, 2), (95, 2), (50, None)]
+    made = spark.createDataFrame([(f"2024-01-01 {m // 60:02d}:{m % 60:02d}:00", u) for m, u in minutes], "ts string, user_id long").withColumn("ts", F.col("ts").cast("timestamp_ntz"))
+    made.union(spark.createDataFrame([(None, 7)], made.schema)).write.parquet(str(tmp_path / "events.parquet"))
+    got = streams.QUERIES["op_stream_session"](spark, str(tmp_path))
+    at = "2024-01-01 0{}:00".format
+    assert rows(got) == sorted([(at("0:00"), 1, 3), (at("1:10"), 1, 1), (at("0:05"), 2, 1), (at("1:35"), 2, 1), (at("0:50"), None, 1)], key=str)
+    assert got.inputFiles()
+    made.limit(0).write.parquet(str(tmp_path / "none" / "events.parquet"))
+    assert streams.all_sessions(spark, str(tmp_path / "none")).count() == 0
