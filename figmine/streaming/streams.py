@@ -41,12 +41,15 @@ def distinct_events(events: DataFrame) -> DataFrame:
 
 
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream over all that is there and returns what its sink holds."""
+    """Runs a stream over all that is there and returns what its sink holds: files for rows that are only added, else a
+    table of the driver, which is for results of bounded size."""
     spark = stream.sparkSession
+    folder = _shared(spark, "drained")
+    if mode == "append":
+        stream.writeStream.format("parquet").option("path", f"{folder}/out").outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{folder}/out")
     name = f"drained_{uuid.uuid4().hex}"
-    folder = spark.sparkContext._conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="figmine-")
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{folder}/{name}").trigger(availableNow=True).start()
-    query.awaitTermination()
+    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
     return spark.table(name)
 
 

@@ -149,3 +149,9 @@ def test_sessions_do_not_pass_through_the_driver(spark, tmp_path):
     assert got.inputFiles()
     made.limit(0).write.parquet(str(tmp_path / "none" / "events.parquet"))
     assert streams.all_sessions(spark, str(tmp_path / "none")).count() == 0
+
+
+def test_added_rows_are_drained_into_files(spark, tmp_path):
+    spark.createDataFrame([(1, "view"), (2, None), (3, "other")], "event_id long, event_type string").write.parquet(str(tmp_path / "events.parquet"))
+    got = streams.QUERIES["op_stream_static_join"](spark, str(tmp_path))
+    assert got.inputFiles() and rows(got) == [(1, 2), (2, 0), (3, 0)]
