@@ -140,3 +140,25 @@ def test_language_profiles_read_whole_texts(spark):
     rows = spark.createDataFrame([("en", "ab " * 60 + "xyz"), ("en", None), ("de", "Ü")], "lang string, text string")
     got = {(r["lang"], r["gram"]): r["c"] for r in chain_queries.gram_counts(rows).collect()}
     assert got["en", "xyz"] == 1 and got["en", "ab "] == 60 and got["en", ""] == 1 and got["de", "ü"] == 1
+
+
+def test_near_hashes_without_comparing_all_pairs(spark):
+    rng = np.random.default_rng(5)
+    base = [int.from_bytes(rng.bytes(18), "big") for _ in range(10)] + [0, (1 << 144) - 1]
+    numbers = base + [b ^ sum(1 << int(k) for k in rng.choice(144, int(rng.integers(0, 19)), replace=False)) for b in base for _ in range(12)]
+    # one bit in each band but one, where none does; two bits in all bands but two, where one does
+    numbers += [sum(1 << 16 * k for k in range(8)), sum(3 << 16 * k for k in range(2, 9)) | 1 << 3 | 1 << 29]
+    rows = spark.createDataFrame([(k, f"{x:036x}") for k, x in enumerate(numbers)] + [(999, None)], "id int, hash string")
+    truth = {(a, b, (x ^ y).bit_count()) for a, x in enumerate(numbers) for b, y in enumerate(numbers) if a < b and (x ^ y).bit_count() <= 16}
+    found = dedup.exhaustive_edges(rows)
+    assert "NestedLoop" not in found._jdf.queryExecution().toString() and "CartesianProduct" not in found._jdf.queryExecution().toString()
+    got = list(map(tuple, found.collect()))
+    assert len(got) == len(set(got)) and set(got) == truth
+    ways = [(6, 24, 0), (9, 16, 0), (18, 8, 0), (6, 24, 1)]
+    counts = dedup.found_counts(rows, ways).first()
+    assert counts["exhaustive"] == len(truth)
+    for k, (bands, bits, probes) in enumerate(ways):
+        assert counts[f"found{k}"] == dedup.probed_edges(rows, 16, bands, bits, probes).count()
+        assert probes or counts[f"found{k}"] == dedup.banded_edges(rows, 16, bands, bits).count()
+    none = dedup.found_counts(rows.where("hash IS NULL"), ways).first()
+    assert set(none) == {0} and dedup.exhaustive_edges(rows.where("hash IS NULL")).count() == 0
