@@ -162,3 +162,25 @@ def test_near_hashes_without_comparing_all_pairs(spark):
         assert probes or counts[f"found{k}"] == dedup.banded_edges(rows, 16, bands, bits).count()
     none = dedup.found_counts(rows.where("hash IS NULL"), ways).first()
     assert set(none) == {0} and dedup.exhaustive_edges(rows.where("hash IS NULL")).count() == 0
+
+
+def test_vector_groups_are_searched_by_heads(spark):
+    rng = np.random.default_rng(7)
+    base = rng.normal(size=(8, 64))
+    v = np.concatenate([base[k % 8] + rng.uniform(0, 0.9) * rng.normal(size=64) for k in range(90)]).reshape(90, 64)
+    v /= np.linalg.norm(v, axis=1, keepdims=True)
+    v[70:] = v[3]  # a class of equal vectors
+    rows = spark.createDataFrame([(k, x.tolist()) for k, x in enumerate(v)] + [(90, None)], "id long, vec array<double>")
+    kept = fingerprints.packed(rows)
+    assert {r["id"]: r["v"] for r in kept.select("id", fingerprints.unpacked(F.col("packed")).alias("v")).collect()} == {r["id"]: r["vec"] for r in rows.collect()}
+    label = np.arange(90)
+    sims = v @ v.T
+    for _ in range(90):
+        label = np.array([label[sims[k] >= 0.86].min() for k in range(90)])
+    want = dict(enumerate(label.tolist())) | {90: 90}
+    for tile in (16, 1000):
+        edges = dedup.near_vectors(kept, tile=tile)
+        assert {r["id"]: r["group_id"] for r in dedup.vector_groups(kept, edges=edges).collect()} == want
+    assert len(set(want.values())) < 60 and edges.where("src = 3 AND dst >= 70").count() == 20
+    assert {r["id"]: r["group_id"] for r in dedup.vector_groups(rows).collect()} == want
+    assert dedup.vector_groups(rows.where("vec IS NULL")).first()["group_id"] == 90
