@@ -184,3 +184,16 @@ def test_vector_groups_are_searched_by_heads(spark):
     assert len(set(want.values())) < 60 and edges.where("src = 3 AND dst >= 70").count() == 20
     assert {r["id"]: r["group_id"] for r in dedup.vector_groups(rows).collect()} == want
     assert dedup.vector_groups(rows.where("vec IS NULL")).first()["group_id"] == 90
+
+
+def test_release_and_strategies_keep_vectors_packed(spark, tmp_path):
+    from figmine.plans import analysis, chain_queries
+
+    texts = ["one two three four five six seven eight", "one two three four five six seven eight", "quite other words stand in this one", "", None]
+    spark.createDataFrame([(k, t, "en", "s") for k, t in enumerate(texts)], "doc_id long, text string, lang string, source string").write.parquet(str(tmp_path / "documents.parquet"))
+    release, prints = analysis.released(spark, str(tmp_path))
+    assert prints.columns == ["id", "hash", "packed"]
+    vectors = {r["id"]: r["vec"] for r in fingerprints.fingerprint(spark.read.parquet(str(tmp_path / "documents.parquet")).withColumnRenamed("doc_id", "id")).collect()}
+    record = analysis.release_record(spark, str(tmp_path), release, prints).collect()
+    assert {r["id"]: r["embedding_gen"] and np.float64(r["embedding_gen"]).tolist() for r in record} == {r["id"]: vectors[r["id"]] for r in record}
+    assert [tuple(r)[:3] for r in chain_queries.strategies(spark, str(tmp_path)).collect()] == [(name, 5, 4) for name in ("hash", "vector", "both", "cascade")]
