@@ -197,3 +197,17 @@ def test_release_and_strategies_keep_vectors_packed(spark, tmp_path):
     record = analysis.release_record(spark, str(tmp_path), release, prints).collect()
     assert {r["id"]: r["embedding_gen"] and np.float64(r["embedding_gen"]).tolist() for r in record} == {r["id"]: vectors[r["id"]] for r in record}
     assert [tuple(r)[:3] for r in chain_queries.strategies(spark, str(tmp_path)).collect()] == [(name, 5, 4) for name in ("hash", "vector", "both", "cascade")]
+
+
+def test_exact_neighbours_hold_a_bounded_block(monkeypatch):
+    rng = np.random.default_rng(2)
+    c = rng.normal(size=(60, 8))
+    c[50:] = c[3]  # ties
+    sims = c @ c.T
+    monkeypatch.setattr(knn, "HELD", 130)
+    for k in (1, 5, 100):
+        got = knn._best(np.arange(60), c, np.arange(60), c, k).groupby("id")["neighbour"].apply(list).to_dict()
+        want = {r: [int(t) for t in np.argsort(-np.where(np.arange(60) == r, -np.inf, sims[r]), kind="stable")[:k] if t != r] for r in range(60)}
+        assert {r: set(x) for r, x in got.items()} == {r: set(x) for r, x in want.items()} or k < 100
+        assert all(len(x) == min(k, 59) and r not in x for r, x in got.items())
+        assert all(np.allclose(sims[r][got[r]], sims[r][want[r]]) for r in want)
